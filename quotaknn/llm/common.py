@@ -8,6 +8,7 @@ import uuid
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 MIX = np.uint64(0x9E3779B97F4A7C15)
 
@@ -90,3 +91,114 @@ def slabs(offsets: np.ndarray, limit: int):
         j = max(i + 1, int(np.searchsorted(offsets, offsets[i] + limit, side="right")) - 1)
         yield i, j
         i = j
+
+
+def numbered(rows: DataFrame, group: str, order: list[str], name: str) -> DataFrame:
+    """Adds `name`, gapless from 0 within each value of the integer column `group` (no nulls), in the given order.
+
+    Range partitions in the order (group, *order) are numbered from their own starts, then moved by the count of that
+    group's rows in the partitions before. Only those counts, one for each partition and group in it, reach the driver,
+    and no task holds more than its range, however large one group is.
+    """
+    cols = rows.columns
+    ranged = rows.repartitionByRange(*[F.col(c) for c in [group, *order]]).sortWithinPartitions(group, *order)
+
+    def number(batches):
+        import pyarrow as pa
+        from pyspark import TaskContext
+
+        part, last, seen = TaskContext.get().partitionId(), None, 0
+        for b in batches:
+            g = b.column(b.schema.get_field_index(group)).to_numpy(zero_copy_only=False)
+            if not len(g):
+                continue
+            starts = np.flatnonzero(np.diff(g, prepend=g[0] - 1))
+            at = np.arange(len(g)) - np.repeat(starts, np.diff(np.append(starts, len(g))))
+            if g[0] == last:
+                head = starts[1] if len(starts) > 1 else len(g)
+                at[:head] += seen
+            last, seen = g[-1], int(at[-1]) + 1
+            yield pa.RecordBatch.from_arrays(
+                [*b.columns, pa.array(np.full(len(g), part, np.int32)), pa.array(at.astype(np.int64))],
+                names=[*cols, "part_", "local_"],
+            )
+
+    schema = T.StructType([*ranged.schema.fields, T.StructField("part_", T.IntegerType()), T.StructField("local_", T.LongType())])
+    done = materialise(ranged.mapInArrow(number, schema), "numbered")
+    base, total = [], {}
+    for r in sorted(done.groupBy("part_", group).count().collect(), key=lambda r: (r[group], r["part_"])):
+        base.append((r["part_"], r[group], total.get(r[group], 0)))
+        total[r[group]] = total.get(r[group], 0) + r["count"]
+    kind = rows.schema[group].dataType
+    starts = done.sparkSession.createDataFrame(
+        base, T.StructType([T.StructField("part_", T.IntegerType()), T.StructField(group, kind), T.StructField("start_", T.LongType())])
+    )
+    joined = done.join(F.broadcast(starts), ["part_", group])
+    return joined.withColumn(name, F.col("start_") + F.col("local_")).select(*cols, name)
+
+
+def tokenizer_path(name: str) -> str:
+    """Where a public vocabulary file lies; pass a path of your own to the operators to use another."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def encoder(path: str, end_id: int, at_once: int = 128 << 10):
+    """texts -> iterator of little-endian uint32 id arrays, `end_id` appended to each; batches of bounded bytes."""
+    import os
+
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(path)
+
+    def run(texts: list[str]):
+        i = 0
+        while i < len(texts):
+            j, size = i, 0
+            while j < len(texts) and (j == i or size < at_once):
+                size += len(texts[j])
+                j += 1
+            for e in tok.encode_batch_fast(texts[i:j], add_special_tokens=False):
+                ids = np.empty(len(e) + 1, "<u4")
+                ids[:-1] = e.ids
+                ids[-1] = end_id
+                yield ids
+            i = j
+
+    return run
+
+
+def components(edges: DataFrame) -> DataFrame:
+    """(node, root) of every node in `edges` (u, v), root the least node reachable.
+
+    Alternating star contractions, each two joins on narrow rows, until nothing changes; only a count and a checksum of
+    each round reach the driver. A node with very many links is pre-aggregated (minimum) and its join may be split.
+    """
+    spark = edges.sparkSession
+
+    def stamp(df: DataFrame):
+        return tuple(df.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v") % (1 << 31))).head())
+
+    def star(e: DataFrame, large: bool) -> DataFrame:
+        both = e.unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v"))) if large else e.select(
+            F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")
+        )
+        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+        moved = both.join(least, "u")
+        moved = moved.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")) if large else moved.select(
+            F.col("v").alias("u"), F.col("m").alias("v")
+        ).unionByName(least.select("u", F.col("m").alias("v")))
+        return moved.where("u <> v").distinct()
+
+    now = materialise(edges.select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).where("u <> v").distinct(), "links")
+    mark = stamp(now)
+    while mark[0]:
+        now = materialise(star(star(now, True), False), "links")
+        new = stamp(now)
+        if new == mark:
+            break
+        mark = new
+    pairs = now.select(F.greatest("u", "v").alias("node"), F.least("u", "v").alias("root"))
+    return pairs.unionByName(pairs.select(F.col("root").alias("node"), "root")).groupBy("node").agg(F.min("root").alias("root"))

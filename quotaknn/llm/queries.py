@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-from quotaknn.llm import exact_dedup, langid, sharding
+from quotaknn.llm import exact_dedup, langid, minhash, packing, sharding, tokens_out
 
 
 def queries() -> dict:
     return {
+        "op1_token_codes": tokens_out.query,
         "op4_exact_dedup": exact_dedup.query,
         "op6_sharding": sharding.query,
+        "op7_minhash": minhash.query,
         "op9_language_id": langid.query,
+        "op10_packing": packing.query,
     }
 
 

@@ -13,12 +13,10 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
-from quotaknn.llm.common import keyed, materialise
+from quotaknn.llm.common import keyed, numbered
 
 
 @dataclass(frozen=True)
@@ -76,43 +74,6 @@ def place(key: Column, tree: Tree) -> Column:
     return pick("region", region_w, rack)
 
 
-def slotted(rows: DataFrame, order: list[str]) -> DataFrame:
-    """Adds `slot`, gapless from 0 within each `shard`: range partitions in the order (shard, *order) are numbered from
-    their own starts, then moved by the count of that shard's rows in the partitions before. Only those counts, one for
-    each partition and shard in it, reach the driver; no task holds more than its range."""
-    cols = rows.columns
-    ranged = rows.repartitionByRange(*[F.col(c) for c in ["shard", *order]]).sortWithinPartitions("shard", *order)
-
-    def number(batches):
-        import pyarrow as pa
-        from pyspark import TaskContext
-
-        part, last, seen = TaskContext.get().partitionId(), None, 0
-        for b in batches:
-            shard = b.column(b.schema.get_field_index("shard")).to_numpy(zero_copy_only=False)
-            if not len(shard):
-                continue
-            starts = np.flatnonzero(np.diff(shard, prepend=shard[0] - 1))
-            at = np.arange(len(shard)) - np.repeat(starts, np.diff(np.append(starts, len(shard))))
-            if shard[0] == last:
-                head = starts[1] if len(starts) > 1 else len(shard)
-                at[:head] += seen
-            last, seen = shard[-1], int(at[-1]) + 1
-            yield pa.RecordBatch.from_arrays(
-                [*b.columns, pa.array(np.full(len(shard), part, np.int32)), pa.array(at.astype(np.int64))],
-                names=[*cols, "part", "local"],
-            )
-
-    schema = T.StructType([*ranged.schema.fields, T.StructField("part", T.IntegerType()), T.StructField("local", T.LongType())])
-    done = materialise(ranged.mapInArrow(number, schema), "slots")
-    base, total = [], {}
-    for r in sorted(done.groupBy("part", "shard").count().collect(), key=lambda r: (r["shard"], r["part"])):
-        base.append((r["part"], r["shard"], total.get(r["shard"], 0)))
-        total[r["shard"]] = total.get(r["shard"], 0) + r["count"]
-    starts = done.sparkSession.createDataFrame(base, "part int, shard int, start long")
-    return done.join(F.broadcast(starts), ["part", "shard"]).withColumn("slot", F.col("start") + F.col("local")).select(*cols, "slot")
-
-
 def shard_documents(docs: DataFrame, tree: Tree, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, size, text_crc32, law, shard, slot, grown_shard for every row."""
     key = F.coalesce(F.col("doc_id").cast("string"), F.lit("null key"))
@@ -126,7 +87,7 @@ def shard_documents(docs: DataFrame, tree: Tree, doc_id: str = "doc_id", text: s
         F.xxhash64("text").alias("group_hash"),
         "row_key",
     )
-    return slotted(rows, ["group_hash", "row_key"]).drop("group_hash", "row_key")
+    return numbered(rows, "shard", ["group_hash", "row_key"], "slot").drop("group_hash", "row_key")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
