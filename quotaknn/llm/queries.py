@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from quotaknn.llm import exact_dedup, langid, minhash, packing, sharding, tokens_out
+from quotaknn.llm import exact_dedup, langid, minhash, packing, sharding, suffix, tokens_out
 
 
 def queries() -> dict:
     return {
         "op1_token_codes": tokens_out.query,
+        "op3_suffix_dedup": suffix.query,
         "op4_exact_dedup": exact_dedup.query,
         "op6_sharding": sharding.query,
         "op7_minhash": minhash.query,
