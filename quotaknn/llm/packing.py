@@ -157,7 +157,7 @@ def pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, doc_id:
         run = encoder(tokenizer, end_id)
         for b in batches:
             cols: list[list] = [[], [], [], [], [], []]
-            for key, k, ids in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), run(b.column(2).to_pylist())):
+            for key, k, ids in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), run(b.column(2))):
                 for i, at in enumerate(range(0, len(ids), capacity)):
                     own = ids[at : at + capacity]
                     for c, v in zip(cols, (key, k, i, at, len(own), zlib.crc32(own.tobytes()))):
