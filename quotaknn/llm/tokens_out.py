@@ -115,7 +115,7 @@ def write(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, doc_id: s
 
         for b in batches:
             held = 0
-            for k, own in zip(b.column(0).to_pylist(), run(b.column(2).to_pylist())):
+            for k, own in zip(b.column(0).to_pylist(), run(b.column(2))):
                 ids.append(k)
                 parts.append(own)
                 held = held + len(own) if len(parts) > 1 else sum(map(len, parts))
