@@ -24,7 +24,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import hash_rows, keyed, materialise, slabs, text_bytes
+from quotaknn.llm.common import hash_rows, keyed, materialise, slabs, slice_hashes, text_bytes
 
 GRAM = 32
 PART = 1 << 20
@@ -32,8 +32,6 @@ SHARD_BYTES = 2 << 20
 HOT = 1500
 
 _MUL = hash_rows(np.arange(71, 75, dtype=np.uint64)) | np.uint64(1)
-_BYTES = [hash_rows(np.arange(1, 257, dtype=np.uint64) * np.uint64(k)) for k in (3, 5)]
-_STEPS = [0xD1342543DE82EF95, 0xA3B195354A39B70D]
 _LOW = np.uint64(0xFFFFFFFF)
 
 
@@ -58,23 +56,6 @@ def least_in(keys: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(back[: n - width + 1], ahead[width - 1 : n])
 
 
-_powers: dict = {}
-
-
-def digests(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> list[np.ndarray]:
-    """Two 64-bit hashes of each slice, from prefix sums; slices are far shorter than the hash's weak lengths."""
-    out = []
-    for k in (0, 1):
-        if k not in _powers or len(_powers[k][0]) < len(data) + 1:
-            size = max(len(data) + 1, PART + 4096)
-            _powers[k] = (np.cumprod(np.full(size, _STEPS[k], np.uint64)), np.cumprod(np.full(size, pow(_STEPS[k], -1, 1 << 64), np.uint64)))
-        up, down = _powers[k]
-        sums = np.zeros(len(data) + 1, np.uint64)
-        np.cumsum(_BYTES[k][data] * up[: len(data)], out=sums[1:])
-        out.append(hash_rows((sums[starts + lengths] - sums[starts]) * down[starts] + lengths.astype(np.uint64) * _MUL[k]))
-    return out
-
-
 def segments(data: np.ndarray, offsets: np.ndarray, span: int) -> dict[str, np.ndarray]:
     """Anchor hash, digests, text number, start in the text and number of windows for each run of windows with one anchor.
 
@@ -104,7 +85,7 @@ def segments(data: np.ndarray, offsets: np.ndarray, span: int) -> dict[str, np.n
     windows = np.diff(np.append(run, len(v)))
     lo = v[run]
     size = windows + span - 1
-    d1, d2 = digests(data, lo, size)
+    d1, d2 = slice_hashes(data, lo, size)
     text = np.searchsorted(offsets, lo, side="right") - 1
     same = np.zeros(len(lo), bool)
     same[1:] = (d1[1:] == d1[:-1]) & (d2[1:] == d2[:-1]) & (text[1:] == text[:-1])
@@ -250,54 +231,60 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
 
     bytes_ = sent.mapInArrow(cut, "shard int, hot boolean, single boolean, row_key long, start long, piece binary")
 
+    hot_windows = chosen.where(F.col("contents") > HOT).agg(F.sum(F.col("size") - span + 1)).head()[0] or 0
+    ranges = max(1, -(-hot_windows // 500_000))
+    kind = [("d1", "<u8"), ("d2", "<u8"), ("row_key", "<i8"), ("start", "<i8")]
+
     def sort_shard(table):
         import pyarrow as pa
 
         pieces = table.column("piece").to_pylist()
-        out: list[list] = [[], [], [], [], [], []]
-        shard = table.column("shard")[0].as_py() if len(pieces) else 0
+        out: list[list] = [[], [], [], [], []]
+        told = []
         rows = zip(pieces, repeated(pieces, span), table.column("single").to_pylist(), table.column("hot").to_pylist(), table.column("row_key").to_pylist(), table.column("start").to_pylist())
         for piece, mark, single, hot, key, start in rows:
             if single and mark.any():
                 edge = np.diff(np.concatenate([[0], mark.view(np.int8), [0]]))
                 lo, hi = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
-                for c, v in zip(out, ([shard] * len(lo), [key] * len(lo), lo + start, hi - lo, [None] * len(lo), [None] * len(lo))):
+                for c, v in zip(out, ([key] * len(lo), lo + start, hi - lo, [0] * len(lo), [None] * len(lo))):
                     c.extend(v)
             if hot:
+                own = np.empty(len(mark), kind)
                 at = np.arange(len(mark))
-                d1, d2 = digests(np.frombuffer(piece, np.uint8), at, np.full(len(at), span))
-                own = single & ~mark
-                # windows that need no mark are told once, without their place
-                for c, v in zip(out, ([shard] * len(at), np.where(own, key, -1), at + start, [0] * len(at), d1.view(np.int64), d2.view(np.int64))):
-                    c.extend(v)
-        return pa.Table.from_arrays([pa.array(c, pa.int64()) for c in out], names=["shard", "row_key", "start", "windows", "d1", "d2"])
+                own["d1"], own["d2"] = slice_hashes(np.frombuffer(piece, np.uint8), at, np.full(len(at), span))
+                # a window that needs no mark (any more) is told without its place
+                own["row_key"], own["start"] = np.where(single & ~mark, key, -1), np.where(single & ~mark, at + start, -1)
+                told.append(own)
+        if told:
+            run = np.unique(np.concatenate(told))
+            part = ((run["d1"] >> np.uint64(32)) * np.uint64(ranges)) >> np.uint64(32)
+            for r in np.unique(part).tolist():
+                for c, v in zip(out, (-1, -1, 0, r, run[part == r].tobytes())):
+                    c.append(v)
+        kinds = [pa.int64()] * 4 + [pa.binary()]
+        return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(out, kinds)], names=["row_key", "start", "windows", "part", "run"])
 
-    sorted_ = materialise(bytes_.groupBy("shard").applyInArrow(sort_shard, "shard long, row_key long, start long, windows long, d1 long, d2 long"), "shards")
-    handed = sorted_.where("windows = 0")
-    seen = handed.select("shard", "d1", "d2").distinct()
-    pieces = max(1, -(-handed.count() // 500_000))
+    sorted_ = materialise(bytes_.groupBy("shard").applyInArrow(sort_shard, "row_key long, start long, windows long, part long, run binary"), "shards")
 
     def merge(table):
         import pyarrow as pa
 
-        kind = np.dtype([("a", np.int64), ("b", np.int64)])
-        runs_ = {}
-        shard = table.column("shard").to_numpy()
-        both = np.empty(len(shard), kind)
-        both["a"], both["b"] = table.column("d1").to_numpy(), table.column("d2").to_numpy()
-        for k in np.unique(shard):
-            runs_[k] = np.sort(both[shard == k])
-        every = np.sort(both)
-        hit = []
-        for own in runs_.values():
-            times = np.searchsorted(every, own, side="right") - np.searchsorted(every, own, side="left")
-            hit.append(own[times > 1])
-        shared = np.unique(np.concatenate(hit)) if hit else np.zeros(0, kind)
-        return pa.Table.from_arrays([pa.array(shared["a"].copy()), pa.array(shared["b"].copy())], names=["d1", "d2"])
-
-    across = seen.withColumn("range", F.pmod(F.col("d1"), F.lit(pieces))).groupBy("range").applyInArrow(merge, "d1 long, d2 long")
-    met = handed.where("row_key >= 0").join(across, ["d1", "d2"]).select("row_key", "start", F.lit(1).cast("long").alias("windows"))
-    return again.unionByName(sorted_.where("windows > 0").select("row_key", "start", "windows")).unionByName(met)
+        runs_ = [np.frombuffer(r, kind) for r in table.column("run").to_pylist()]
+        key = lambda x: x[["d1", "d2"]].astype([("d1", "<u8"), ("d2", "<u8")])
+        keys, hit = [key(r) for r in runs_], []
+        for i, own in enumerate(keys):
+            open_ = runs_[i]["row_key"] >= 0
+            met = np.zeros(int(open_.sum()), bool)
+            for j, other in enumerate(keys):
+                if j != i:
+                    at = np.minimum(np.searchsorted(other, own[open_]), len(other) - 1)
+                    met |= other[at] == own[open_]
+            hit.append(runs_[i][open_][met])
+        found = np.concatenate(hit)
+        return pa.Table.from_arrays([pa.array(found["row_key"].copy()), pa.array(found["start"].copy()), pa.array(np.ones(len(found), np.int64))], names=["row_key", "start", "windows"])
+
+    across = sorted_.where("windows = 0").select("part", "run").groupBy("part").applyInArrow(merge, "row_key long, start long, windows long")
+    return again.unionByName(sorted_.where("windows > 0").select("row_key", "start", "windows")).unionByName(across)
 
 
 def remove_repeats(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str = "text", with_text: bool = False) -> DataFrame:
