@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 
 from quotaknn.llm.common import col, fresh, hash_rows, slabs, text_bytes
 
+SLAB = 1 << 20
 LETTER = regex.compile(r"\p{L}")
 _FOLD = np.full(256, 32, np.uint8)
 _FOLD[97:123] = np.arange(97, 123)
@@ -65,18 +66,17 @@ class Model:
 
     def score(self, column) -> tuple[np.ndarray, np.ndarray]:
         """Best language (-1: und) and its corrected share of n-grams, for an Arrow array of texts."""
-        texts = column.to_pylist()
-        best, score = np.full(len(texts), -1), np.zeros(len(texts))
+        best, score = np.full(len(column), -1), np.zeros(len(column))
         if not self.langs:
             return best, score
         import pyarrow as pa
 
-        has = np.array([bool(t and LETTER.search(t)) for t in texts], bool)
-        low, offs = text_bytes(pa.array([(f" {t.lower()} " if h else "") for t, h in zip(texts, has)], pa.large_string()))
         fp = self.false_rate()
-        for i, j in slabs(offs, 4 << 20):
-            o = offs[i : j + 1] - offs[i]
-            g = grams(low[offs[i] : offs[j]], self.n)
+        for i, j in slabs(text_bytes(column)[1], SLAB):
+            texts = column.slice(i, j - i).to_pylist()
+            has = np.array([bool(t and LETTER.search(t)) for t in texts], bool)
+            low, o = text_bytes(pa.array([(f" {t.lower()} " if h else "") for t, h in zip(texts, has)], pa.large_string()))
+            g = grams(low, self.n)
             m = self.masks(g)
             # n-grams that cross into the next text do not count
             inside = np.ones(len(g), bool)
@@ -92,8 +92,7 @@ class Model:
                 run = np.concatenate([[0], np.cumsum(bit)])
                 hits = run[hi] - run[lo]
                 share[:, k] = np.clip((hits - total * fp[k]) / np.maximum(total * (1 - fp[k]), 1e-9), 0, 1)
-            best[i:j], score[i:j] = share.argmax(1), share.max(1)
-        best[~has], score[~has] = -1, 0.0
+            best[i:j], score[i:j] = np.where(has, share.argmax(1), -1), np.where(has, share.max(1), 0.0)
         return best, score
 
 
@@ -115,24 +114,28 @@ def train(docs: DataFrame, may_learn: Column, text: str = "text", lang: str = "l
     def count(batches):
         import pyarrow as pa
 
-        def flush(sums):
-            for k, (g, c) in sums.items():
+        def flush():
+            for k, parts in held.items():
+                g, inv = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
+                c = np.bincount(inv, weights=np.concatenate([p[1] for p in parts])).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array([k] * len(g)), pa.array(g.view(np.int64)), pa.array(c)], names=["lang", "gram", "n"])
+            held.clear()
 
-        sums: dict = {}
+        held: dict = {}
+        size = 0
         for b in batches:
             langs_in = b.column(0).to_pylist()
-            texts = b.column(1).to_pylist()
-            for k in set(langs_in):
-                joined = " ".join(f" {t.lower()} " for t, x in zip(texts, langs_in) if x == k)
-                g, c = np.unique(grams(np.frombuffer(joined.encode(), np.uint8), n), return_counts=True)
-                if k in sums:
-                    g, inv = np.unique(np.concatenate([sums[k][0], g]), return_inverse=True)
-                    c = np.bincount(inv, weights=np.concatenate([sums[k][1], c])).astype(np.int64)
-                sums[k] = (g, c.astype(np.int64))
-                if len(g) > 2_000_000:
-                    yield from flush({k: sums.pop(k)})
-        yield from flush(sums)
+            for i, j in slabs(text_bytes(b.column(1))[1], SLAB):
+                texts = b.column(1).slice(i, j - i).to_pylist()
+                for k in set(langs_in[i:j]):
+                    joined = " ".join(f" {t.lower()} " for t, x in zip(texts, langs_in[i:j]) if x == k)
+                    g, c = np.unique(grams(np.frombuffer(joined.encode(), np.uint8), n), return_counts=True)
+                    held.setdefault(k, []).append((g, c))
+                    size += len(g)
+            if size > 1_500_000:
+                yield from flush()
+                size = 0
+        yield from flush()
 
     counts = drawn.select("lang", "text").mapInArrow(count, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
     totals = counts.groupBy("lang").agg(F.sum("n").alias("total"))
