@@ -141,7 +141,7 @@ def match_cells_xor(cells: DataFrame, asked: DataFrame) -> DataFrame:
 
 def value_bitmaps(cells: DataFrame, dictionary: CellDictionary) -> DataFrame:
     """attr, value, cells as a bitmap: numbered cells by the values that they have."""
-    numbered = cells.withColumn("cell_no", F.row_number().over(_by_code()) - 1).select("cell_no", "cell_code")
+    numbered = cells.withColumn("cell_no", F.row_number().over(_by_code()).cast("long")).select("cell_no", "cell_code")
     long = numbered.select("cell_no", F.explode(F.array(*[
         F.struct(F.lit(a).alias("attr"), dictionary.decode(F.col("cell_code"))[a].alias("value")) for a in dictionary.attrs
     ])).alias("x")).select("cell_no", "x.*").where("value is not null")
