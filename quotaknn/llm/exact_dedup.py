@@ -24,14 +24,17 @@ LOG = "row_key long, doc_id long, digest binary, n_bytes long, locator string"
 
 @contextmanager
 def state_on_disk(spark: SparkSession):
-    """RocksDB holds the state for the streams started inside; the session's own choice comes back after."""
-    key = "spark.sql.streaming.stateStore.providerClass"
-    before = spark.conf.get(key)
-    spark.conf.set(key, ROCKS)
+    """RocksDB holds the state for the streams started inside, and lets go of its working folder with each commit; the
+    session's own choices come back after."""
+    chosen = {"spark.sql.streaming.stateStore.providerClass": ROCKS, "spark.sql.streaming.stateStore.unloadOnCommit": "true"}
+    before = {k: spark.conf.get(k, None) for k in chosen}
+    for k, v in chosen.items():
+        spark.conf.set(k, v)
     try:
         yield
     finally:
-        spark.conf.set(key, before)
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
 
 
 def arrivals(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -65,6 +68,20 @@ def run_state(spark: SparkSession, log_path: str, state_path: str, files_per_bat
         return state.select(F.col("key.digest").alias("digest"), F.col(f"value.{keeper}").alias("keeper"), F.col(f"value.{n}").alias("n"))
 
 
+def differing(texts: DataFrame, state: DataFrame, parts: int = 256) -> DataFrame:
+    """digest of the hits whose texts are not all equal, byte by byte. A digest with more than a thousandth of all rows, of
+    which there are fewer than a thousand, is dealt over `parts` tasks, each of which finds its least and greatest text."""
+    hits = state.where("n > 1").select("digest", "n")
+    total = state.agg(F.sum("n")).head()[0] or 0
+    hot = hits.where(F.col("n") > max(1000, total // 1000)).select("digest", F.lit(parts).alias("parts"))
+    dealt = texts.select("row_key", "text", "digest").join(F.broadcast(hot), "digest", "left")
+    dealt = dealt.withColumn("part", F.coalesce(F.pmod(F.xxhash64("row_key"), F.col("parts")), F.lit(0).cast("long")))
+    asked = hits.select("digest").join(F.broadcast(hot), "digest", "left")
+    asked = asked.select("digest", F.explode(F.sequence(F.lit(0).cast("long"), F.coalesce(F.col("parts") - 1, F.lit(0)).cast("long"))).alias("part"))
+    ends = dealt.join(asked, ["digest", "part"]).groupBy("digest", "part").agg(F.min("text").alias("a"), F.max("text").alias("b"))
+    return ends.groupBy("digest").agg(F.min("a").alias("a"), F.max("b").alias("b")).where("a <> b").select("digest")
+
+
 def exact_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """Decisions, one per row: row_key, doc_id, digest, keep_id, keep_row, group_size, kept."""
     spark = docs.sparkSession
@@ -76,13 +93,8 @@ def exact_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") ->
     else:
         with state_on_disk(spark):
             state = materialise(run_state(spark, log_path, scratch(spark, "state")), "seen")
-    hits = state.where("n > 1").select("digest")
     texts = keyed(docs, doc_id, text).select("row_key", "doc_id", "text", F.unhex(F.sha2("text", 256)).alias("digest"))
-    differ = materialise(
-        texts.join(hits, "digest").groupBy("digest").agg(F.min("text").alias("a"), F.max("text").alias("b"))
-        .where("a <> b").select("digest"),
-        "collisions",
-    )
+    differ = materialise(differing(texts, state), "collisions")
     found = log.join(state, "digest").select(
         "row_key", "doc_id", "digest", F.col("keeper.doc_id").alias("keep_id"), F.col("keeper.row_key").alias("keep_row"),
         F.col("n").alias("group_size"),
