@@ -118,7 +118,7 @@ def train(docs: DataFrame, may_learn: Column, text: str = "text", lang: str = "l
             for k, parts in held.items():
                 g, inv = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
                 c = np.bincount(inv, weights=np.concatenate([p[1] for p in parts])).astype(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array([k] * len(g)), pa.array(g.view(np.int64)), pa.array(c)], names=["lang", "gram", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array([k] * len(g), pa.string()), pa.array(g.view(np.int64)), pa.array(c, pa.int64())], names=["lang", "gram", "n"])
             held.clear()
 
         held: dict = {}
