@@ -58,11 +58,17 @@ def place(key: Column, tree: Tree) -> Column:
         live = [(n, w) for n, w in options.items() if w > 0]
         if len(live) == 1:
             return below(live[0][0])
-        draws = {n: _draw(key, level, n, w) for n, w in live}
-        least, out = F.least(*draws.values()), None
-        for n, drawn in draws.items():
-            out = F.when(drawn == least, below(n)) if out is None else out.when(drawn == least, below(n))
-        return out
+        draws = F.array(*[_draw(key, level, n, w) for n, w in live])
+        chosen = F.array_position(draws, F.array_min(draws))
+
+        def branch(c: Column) -> Column:
+            out = None
+            for i, (n, _) in enumerate(live):
+                out = F.when(c == i + 1, below(n)) if out is None else out.when(c == i + 1, below(n))
+            return out
+
+        # the choice is named once, so that its expression is not repeated for each branch
+        return F.get(F.transform(F.array(chosen), branch), F.lit(0))
 
     def rack(g: str) -> Column:
         racks = tree.regions[g]
