@@ -145,7 +145,17 @@ def value_bitmaps(cells: DataFrame, dictionary: CellDictionary) -> DataFrame:
     long = numbered.select("cell_no", F.explode(F.array(*[
         F.struct(F.lit(a).alias("attr"), dictionary.decode(F.col("cell_code"))[a].alias("value")) for a in dictionary.attrs
     ])).alias("x")).select("cell_no", "x.*").where("value is not null")
-    return long.groupBy("attr", "value").agg(F.bitmap_construct_agg(F.bitmap_bit_position("cell_no")).alias("bits"))
+    bucket = F.bitmap_bucket_number("cell_no").alias("bucket")
+    return long.groupBy("attr", "value", bucket).agg(F.bitmap_construct_agg(F.bitmap_bit_position("cell_no")).alias("bits"))
+
+
+def match_counts_by_bitmap(bitmaps: DataFrame, quotas: DataFrame) -> DataFrame:
+    """query_id, n_cells: how many cells are relevant, by OR over an attribute's needed values and AND over attributes."""
+    asked = quotas.where("need > 0").join(F.broadcast(bitmaps), ["attr", "value"])
+    either = asked.groupBy("query_id", "attr", "bucket").agg(F.bitmap_or_agg("bits").alias("bits"))
+    m = quotas.where("need > 0").groupBy("query_id").agg(F.count_distinct("attr").alias("m_"))
+    both = either.groupBy("query_id", "bucket").agg(F.count(F.lit(1)).alias("n_"), F.bitmap_and_agg("bits").alias("bits")).join(m, "query_id")
+    return both.groupBy("query_id").agg(F.sum(F.when(F.col("n_") == F.col("m_"), F.bitmap_count("bits")).otherwise(0)).alias("n_cells"))
 
 
 def _by_code():

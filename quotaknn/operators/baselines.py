@@ -79,3 +79,15 @@ def per_attribute_postings(index: Index) -> DataFrame:
     masks = F.array(*[F.lit(index.dictionary.mask(a)) for a in index.attrs])
     own = F.col("cell_code").bitwiseAND(F.get(masks, F.col("c_.no"))) + F.col("c_.no") * F.col("c_.top")
     return postings_of(rows.select("rec_id", "vec", own.alias("cell_code")), index.family)
+
+
+def mllib_lsh_candidates(index: Index, queries: DataFrame, threshold: float, seed: int = 42) -> DataFrame:
+    """query_id, rec_id, dist by Spark ML's bucketed projections, which OR tables but do not join hashes to longer keys."""
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=index.family.width, numHashTables=index.family.tables, seed=seed)
+    data = index.vectors.select("rec_id", array_to_vector("vec").alias("features"))
+    asked = queries.select("query_id", array_to_vector("qvec").alias("features"))
+    joined = model.fit(data).approxSimilarityJoin(data, asked, threshold, "dist")
+    return joined.select("datasetB.query_id", "datasetA.rec_id", "dist")

@@ -92,3 +92,8 @@ def collision_curve(vectors: DataFrame, family, step: float = 0.1, pairs_of: int
     rows = bands.collect()  # at most the number of bands
     out = [(int(r["band"]), float(r["band"] * step), int(r["pairs"]), float(r["agree"]), p_collide(family.kind, (r["band"] + 0.5) * step, family.width)) for r in rows]
     return vectors.sparkSession.createDataFrame(out, "band long, at_least double, pairs long, agree double, planned double")
+
+
+def speedup(seconds: dict[str, float], slow: str, fast: str) -> float:
+    """How many times as long one method takes as another."""
+    return seconds[slow] / max(seconds[fast], 1e-9)

@@ -40,6 +40,11 @@ def scan_counts(found: DataFrame) -> DataFrame:
     return found.groupBy("query_id").agg(F.count_distinct("rec_id").alias("scanned"))
 
 
+def cells_scanned(requests: DataFrame) -> DataFrame:
+    """What a scan of all cells asked for compares, from the cell sizes: no row is counted again."""
+    return requests.select("query_id", "cell_code", "n_cell").distinct().groupBy("query_id").agg(F.sum("n_cell").alias("scanned"))
+
+
 def with_distance(pairs: DataFrame, index: Index, queries: DataFrame) -> DataFrame:
     q = F.broadcast(queries.select("query_id", "qvec"))
     return pairs.join(q, "query_id").withColumn("dist", distance(index.metric, "vec", "qvec")).drop("vec", "qvec")
@@ -49,7 +54,7 @@ def exhaustive(index: Index, queries: DataFrame, requests: DataFrame, exclude: D
     """Exact distances to every record of the cells asked for; (candidates, scanned)."""
     rows = index.vectors.select("rec_id", "vec", "cell_code").join(F.broadcast(requests.select("query_id", "group_id", "cell_code", "quota")), "cell_code")
     found = with_distance(_without(rows, exclude), index, queries).select("query_id", "group_id", "rec_id", "dist", "quota")
-    return nearest(found, most_asked(requests)), scan_counts(found)
+    return nearest(found, most_asked(requests)), cells_scanned(requests)
 
 
 def _without(rows: DataFrame, exclude: DataFrame | None) -> DataFrame:
@@ -141,8 +146,7 @@ def exhaustive_blocks(index: Index, queries: DataFrame, requests: DataFrame, mos
             yield pa.RecordBatch.from_arrays([pa.array(o, t) for o, t in zip(out, kinds)], names=["query_id", "group_id", "rec_id", "dist", "quota"])
 
     found = index.vectors.select("rec_id", "vec", "cell_code").mapInArrow(run, "query_id long, group_id long, rec_id long, dist double, quota int")
-    scanned = requests.groupBy("query_id").agg(F.sum("n_cell").alias("scanned"))
-    return nearest(_without(found, exclude), most_asked(requests)), scanned
+    return nearest(_without(found, exclude), most_asked(requests)), cells_scanned(requests)
 
 
 def knn(index: Index, queries: DataFrame, k: int, retriever=exhaustive, predicate=None, **options) -> DataFrame:

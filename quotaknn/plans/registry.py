@@ -178,7 +178,7 @@ def cell_bitmaps(spark, sf_dir):
     """How many cells each value has, from the bitmaps of cells by value."""
     v = vector_relation(spark, sf_dir, "V_EMB")
     d = C.build_dictionary(v, ATTRS["V_EMB"])
-    return C.value_bitmaps(C.cell_stats(v, d), d).select("attr", "value", F.bitmap_count("bits").alias("n_cells"))
+    return C.value_bitmaps(C.cell_stats(v, d), d).groupBy("attr", "value").agg(F.sum(F.bitmap_count("bits")).alias("n_cells"))
 
 
 # quotas --------------------------------------------------------------------------------------------------------------

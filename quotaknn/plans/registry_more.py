@@ -6,10 +6,12 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from quotaknn.functions import sql as surface
-from quotaknn.functions.cells import build_dictionary
+from quotaknn.functions.cells import build_dictionary, match_counts_by_bitmap, value_bitmaps
 from quotaknn.functions.lsh import Family
 from quotaknn.operators import relational as R
+from quotaknn.operators.baselines import mllib_lsh_candidates
 from quotaknn.plans import oracle as O
+from quotaknn.plans import workloads as W
 from quotaknn.plans.index import append_index, build_index, delete_from_index, load_index
 from quotaknn.plans.lineage import cut, shared_path
 from quotaknn.plans.registry import N, _exact, _report, _setup, register
@@ -147,6 +149,38 @@ def use_text_cosine(spark, sf_dir):
     return _report(search(index, q, u, exclude=x))
 
 
+@register("cell_match_bitmaps", f"with {O.base('V_EMB', ATTRS['V_EMB'], N, 6)}, cells as (select distinct status, priority, lang from v) select q.query_id, cast(count(*) as bigint) as n_cells from q, cells c where exists (select 1 from quotas u where u.query_id = q.query_id and u.attr = 'status' and u.value = c.status) and exists (select 1 from quotas u where u.query_id = q.query_id and u.attr = 'priority' and u.value = c.priority) and exists (select 1 from quotas u where u.query_id = q.query_id and u.attr = 'lang' and u.value = c.lang) group by 1")
+def cell_match_bitmaps(spark, sf_dir):
+    index, _, u, _ = _setup(spark, sf_dir)
+    return match_counts_by_bitmap(value_bitmaps(index.cells, index.dictionary), u)
+
+
+@register("lsh_mllib", f"with {O.base('V_EMB', ATTRS['V_EMB'], N, 6)} select q.query_id, count(*) filter (list_distance(v.vec, q.qvec) < 0.5) as n from q, v group by 1")
+def lsh_mllib(spark, sf_dir):
+    """Spark ML's hashing as a contrast; with these tables it finds each query's own record."""
+    index, q, _, _ = _setup(spark, sf_dir, tables=8, width=2.0)
+    return mllib_lsh_candidates(index, q, 0.5).groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
+
+
+@register("rel_sketches")
+def rel_sketches(spark, sf_dir):
+    """Approximate domain sizes, quantiles and heavy values, all mergeable."""
+    o = table(spark, sf_dir, "orders")
+    return o.agg(F.approx_count_distinct("o_custkey").alias("customers"), F.percentile_approx("o_totalprice", 0.5).alias("median"), F.to_json(F.expr("approx_top_k(o_orderpriority, 2)")).alias("heavy"))
+
+
+@register("rel_unpivot", "select o_orderkey, 'status' as attr, o_orderstatus as value from orders union all select o_orderkey, 'priority', o_orderpriority from orders")
+def rel_unpivot(spark, sf_dir):
+    o = table(spark, sf_dir, "orders").select("o_orderkey", F.col("o_orderstatus").alias("status"), F.col("o_orderpriority").alias("priority"))
+    return o.unpivot("o_orderkey", ["status", "priority"], "attr", "value")
+
+
+register("exp_times_by_relation")(lambda s, d: W.times_by_relation(s, d, ("V_EMB", "V_DOC"), 10, 2, 3))
+register("exp_metrics")(lambda s, d: W.by_metric(s, d, 4))
+register("exp_passages_as_queries")(lambda s, d: W.passages_as_queries(s, d))
+register("exp_near_recall")(lambda s, d: W.near_recall(s, d))
+
+
 # index life ----------------------------------------------------------------------------------------------------------
 
 

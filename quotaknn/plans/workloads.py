@@ -228,11 +228,11 @@ def index_costs(spark: SparkSession, sf_dir: str, relations=("V_EMB", "V_DOC"),
     return spark.createDataFrame(out, "relation string, policy string, tables int, hashes int, posting_rows long, bytes long, seconds double")
 
 
-def query_times(spark: SparkSession, sf_dir: str, relation: str = "V_LINE", m: int = 2, ks=(5, 20), n: int = 20, tables: int = 8, width: float = 1.0) -> DataFrame:
+def query_times(spark: SparkSession, sf_dir: str, relation: str = "V_LINE", m: int = 2, ks=(5, 20), n: int = 20, tables: int = 16, width: float = 1.0, hashes: int = 2) -> DataFrame:
     """Seconds of a batch by k, hashing against exact search."""
     attrs = ATTRS[relation][:m]
     vectors = cut(vector_relation(spark, sf_dir, relation), "vectors")
-    index = build_index(vectors, attrs, METRIC.get(relation, "l2"), tables=tables, width=width, hashes=4)
+    index = build_index(vectors, attrs, METRIC.get(relation, "l2"), tables=tables, width=width, hashes=hashes)
     total = vectors.count()
     out = []
     for k in ks:
@@ -264,3 +264,48 @@ def planned_coverage(near_angle: float = 0.3, dim: int = 32, n: int = 400, delta
         family = Family("sign", dim, plan["tables"], plan["hashes"], seed=s)
         hit += bool((family.keys(x) == family.keys(q[None])).any(1).all())
     return plan | {"covered": hit / seeds, "promised": 1 - delta / 2}
+
+
+def times_by_relation(spark: SparkSession, sf_dir: str, relations=("V_EMB", "V_LINE", "V_DOC"), k: int = 20, m: int = 3, n: int = 5) -> DataFrame:
+    """Seconds of a batch on several relations, hashing against exact search; distance by relation."""
+    out = []
+    for relation in relations:
+        rows = query_times(spark, sf_dir, relation, min(m, len(ATTRS[relation])), (k,), n).collect()
+        out += [(relation, METRIC.get(relation, "l2"), r["method"], r["seconds"], r["answered"]) for r in rows]
+    return spark.createDataFrame(out, "relation string, metric string, method string, seconds double, answered double")
+
+
+def by_metric(spark: SparkSession, sf_dir: str, n: int = 5, k: int = 6, tables: int = 32) -> DataFrame:
+    """The same vectors under l2, l1 and cosine distance, each with its own family."""
+    vectors = cut(vector_relation(spark, sf_dir, "V_EMB"), "vectors")
+    attrs, total, out = ATTRS["V_EMB"], vectors.count(), []
+    q, u, x = feasible_queries(vectors, attrs, n, k)
+    for metric, hashes, width in (("l2", 2, 1.0), ("l1", 1, 8.0), ("cosine", 4, 1.0)):
+        index = build_index(vectors, attrs, metric, tables=tables, hashes=hashes, width=width)
+        out += [(metric, *row) for row in compare(index, q, u, x, {"cell_lsh": {"retriever": "lsh"}}, total)]
+    return _rows(spark, out, "metric string")
+
+
+def passages_as_queries(spark: SparkSession, sf_dir: str, k: int = 6, n: int = 10) -> DataFrame:
+    """Benchmark passages as query vectors over documents, with counts in proportion to the languages."""
+    from quotaknn.functions.quota import from_population
+
+    vectors = cut(vector_relation(spark, sf_dir, "V_DOC"), "vectors")
+    index = build_index(vectors, ["lang"], "cosine", tables=16, hashes=6)
+    queries = cut(vector_relation(spark, sf_dir, "V_BENCH").where(F.col("rec_id") < n).select(F.col("rec_id").alias("query_id"), F.col("vec").alias("qvec")), "queries")
+    needs = from_population(vectors, ["lang"], k).select("attr", "value", "need")
+    quotas = cut(queries.select("query_id").join(F.broadcast(needs)), "quotas")
+    return search(index, queries, quotas, options={"on_short": "scan"}).status.select("query_id", "status", F.round("total_dist", 6).alias("total_dist"), "scanned")
+
+
+def near_recall(spark: SparkSession, sf_dir: str, radius: float = 1.25, tables: int = 64) -> DataFrame:
+    """query_id, covered, inspected, false_positives against the bound: near points found and far points met in probing."""
+    vectors = cut(vector_relation(spark, sf_dir, "V_EMB"), "vectors")
+    index = build_index(vectors, ["status"], tables=tables)
+    q, u, x = feasible_queries(vectors, ["status"], 6, 6)
+    requests = cut(retrieve.cell_requests(index, u), "requests")
+    met = retrieve.probe(index, q, requests, cap=False, exclude=x)
+    found = cut(retrieve.with_distance(met.join(index.vectors.select("rec_id", "vec"), "rec_id"), index, q).select("query_id", "rec_id", "dist"), "met")
+    every, _ = retrieve.exhaustive(index, q, requests.withColumn("quota", F.lit(10_000)), x)
+    near = every.where(F.col("dist") <= radius).select("query_id", "rec_id")
+    return measures.coverage(found, near).join(measures.false_positives(found, 1.4), "query_id", "full")
