@@ -30,7 +30,17 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = scratch(spark, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    table = spark.read.schema(df.schema).parquet(path)
+    table.scratch_path = path
+    return table
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete materialised tables that no plan to come reads."""
+    for t in tables:
+        spark = t.sparkSession
+        path = spark._jvm.org.apache.hadoop.fs.Path(t.scratch_path)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def fresh(df: DataFrame, base: str) -> str:
@@ -377,7 +387,8 @@ def components(edges: DataFrame) -> DataFrame:
     now = materialise(edges.select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).where("u <> v").distinct(), "links")
     mark = stamp(now)
     while mark[0]:
-        now = materialise(star(star(now, True), False), "links")
+        last, now = now, materialise(star(star(now, True), False), "links")
+        discard(last)
         new = stamp(now)
         if new == mark:
             break

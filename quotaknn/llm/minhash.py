@@ -23,10 +23,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from quotaknn.llm.common import components, fresh, hash_rows, keyed, materialise, slabs, text_bytes
+from quotaknn.llm.common import components, discard, fresh, hash_rows, keyed, materialise, slabs, text_bytes
 
 SKETCH, RETAINED = 64, 40
-LONG_LIST, BLOCK = 48, 192
+LONG_LIST, BLOCK, WIDE = 16, 768, 256
 #: An estimate below this from 64 values has a chance near 1e-8 for sets of similarity 0.8.
 LEAST_ESTIMATE = 0.5
 
@@ -188,56 +188,125 @@ def fits(a: str, b: str, percent: int):
     return F.least(F.col(a), F.col(b)) * 100 >= F.greatest(F.col(a), F.col(b)) * percent
 
 
-def unresolved(shared: DataFrame, roots: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) in one list, sizes near enough, not yet in one component."""
-    here = shared.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    mixed = here.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).where("r0 <> r1").select("key")
-    open_ = materialise(here.join(mixed, "key"), "open")
+def shared_counts(values: list[np.ndarray], chunk: int) -> np.ndarray:
+    """(i, j): how many values two arrays (of distinct values) share, by products of their incidence, some columns at once."""
+    n = len(values)
+    _, inv, times = np.unique(np.concatenate(values), return_inverse=True, return_counts=True)
+    column, met = np.cumsum(times > 1) - 1, times[inv] > 1
+    at, column = np.repeat(np.arange(n), [len(v) for v in values])[met], column[inv[met]]
+    out = np.zeros((n, n), np.float32)
+    for c in range(0, int((times > 1).sum()), chunk):
+        own = (column >= c) & (column < c + chunk)
+        m = np.zeros((n, chunk), np.float32)
+        m[at[own], column[own] - c] = 1
+        out += m @ m.T
+    return out
+
+
+def cores(members: DataFrame, texts: DataFrame, words: int) -> DataFrame:
+    """node, core: how many of a node's shingles occur in another node of `members` too. No partner there can share more."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            nodes = b.column(0).to_numpy()
+            sets = list(sets_of(b.column(1), words))
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(np.concatenate(sets).view(np.int64)), pa.array(np.repeat(nodes, [len(x) for x in sets]))], names=["shingle", "node"]
+            )
+
+    every = texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(run, "shingle long, node long")
+    own = every.groupBy("shingle").agg(F.count(F.lit(1)).alias("times"), F.min("node").alias("node")).where("times = 1")
+    lone = own.groupBy("node").agg(F.count(F.lit(1)).alias("lone"))
+    return members.join(lone, "node", "left").withColumn("core", F.col("n") - F.coalesce("lone", F.lit(0))).drop("lone")
+
+
+def wide_sketches(members: DataFrame, texts: DataFrame, words: int) -> DataFrame:
+    """node, sketch: the `WIDE` least values, for the nodes that meet in blocks."""
+
+    def run(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x[:WIDE].tobytes() for x in sets_of(b.column(1), words)], pa.binary())], names=["node", "sketch"])
+
+    return texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(run, "node long, sketch binary")
+
+
+def mixed(members: DataFrame) -> DataFrame:
+    """The members of lists with more than one component, and `c`, how many the list has."""
+    lists = members.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count(F.lit(1)).alias("c"), F.min("n").alias("least"))
+    return members.drop("c", "least").join(lists.where("r0 <> r1").select("key", "c", "least"), "key")
+
+
+def unresolved(shared: DataFrame, roots: DataFrame, nodes: DataFrame, texts: DataFrame, words: int, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Pairs (a, b) in one list that may still be links between two components, after two tables they are made from."""
+    open_ = materialise(mixed(shared.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))), "open")
     short = open_.where(F.col("c") <= LONG_LIST).select("key", "node", "n", "root")
     other = short.select("key", F.col("node").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"))
     few = short.join(other, "key").where("node < b and root <> rb").where(fits("n", "nb", percent)).select(F.col("node").alias("a"), "b").distinct()
-    # a long list is dealt into blocks; each two blocks meet in one place, where sketches rule most pairs out
-    many = open_.where(F.col("c") > LONG_LIST).withColumn("blocks", F.ceil(F.col("c") / BLOCK).cast("int"))
+    # members that hold too many shingles of their own to be like any other member are done
+    long_ = cores(open_.where(F.col("c") > LONG_LIST), texts, words)
+    least = F.greatest(F.col("least") * 100, F.col("n") * percent)
+    kept = materialise(mixed(long_.where(F.col("core") * (100 + percent) * 100 >= percent * (F.col("n") * 100 + least))), "long")
+    # a long list is dealt into blocks; each two blocks meet in one place, where sizes, cores and sketches rule most pairs out
+    many = kept.withColumn("blocks", F.ceil(F.col("c") / BLOCK).cast("int"))
     many = many.withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     many = many.withColumn("with", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    many = many.select("key", F.least("own", "with").alias("i"), F.greatest("own", "with").alias("j"), "own", "node", "n", "root")
-    many = many.join(nodes.select("node", "sketch"), "node").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
+    many = many.select("key", F.least("own", "with").alias("i"), F.greatest("own", "with").alias("j"), "own", "node", "n", "root", "core")
+    lists = kept.groupBy("node").agg(F.collect_list("key").alias("keys"))
+    many = many.join(lists.join(wide_sketches(kept, texts, words), "node"), "node").repartition("key", "i", "j").sortWithinPartitions("key", "i", "j")
 
     def run(batches):
         import pyarrow as pa
 
+        none = pa.RecordBatch.from_arrays([pa.array([], pa.int64())] * 2, names=["a", "b"])
+
         def close(rows):
             ids = np.array([r[1] for r in rows])
-            own, size, root = (np.array([r[k] for r in rows]) for k in (0, 2, 3))
-            values = [np.frombuffer(r[4], np.uint64) for r in rows]
-            where, inv = np.unique(np.concatenate(values), return_inverse=True)
-            m = np.zeros((len(rows), len(where)), np.float32)
-            m[np.repeat(np.arange(len(rows)), [len(v) for v in values]), inv] = 1
-            common = m @ m.T
-            held = np.array([len(v) for v in values])
-            # no union sketch can show more common values than this
-            ok = common >= LEAST_ESTIMATE * np.minimum(SKETCH, np.minimum.outer(held, held)) - 1e-6
-            ok &= root[:, None] != root[None, :]
-            ok &= (ids[:, None] < ids[None, :]) & (100 * np.minimum.outer(size, size) >= percent * np.maximum.outer(size, size))
+            # two nodes are compared in the first list that they share
+            lower = [np.array(r[8], np.int64) for r in rows]
+            lower = [k[k < rows[0][9]] for k in lower]
+            fresh_ = ~shared_counts(lower, 2048).astype(bool)
+            fresh_ &= ids[:, None] < ids[None, :]
+            own, size, root, core = (np.array([r[k] for r in rows]) for k in (0, 2, 3, 7))
+            both, most = np.add.outer(size, size), np.maximum.outer(size, size)
+            ok = fresh_ & (root[:, None] != root[None, :])
+            ok &= 100 * np.minimum.outer(size, size) >= percent * most
+            ok &= (100 + percent) * np.minimum.outer(core, core) >= percent * both
             if rows[0][6] != rows[0][5]:
                 ok &= own[:, None] != own[None, :]
+            left = np.flatnonzero(ok.any(0) | ok.any(1))
+            if not len(left):
+                return none
+            at = np.ix_(left, left)
+            ids, both, most, ok = ids[left], both[at], most[at], ok[at]
+            values = [np.frombuffer(rows[i][4], np.uint64) for i in left]
+            common = shared_counts(values, 4096)
+            # where both sketches are whole sets this is exact; else what similar sets must share, less six deviations
+            held = np.array([len(v) for v in values])
+            share = np.minimum(1.0, percent * both / ((100 + percent) * most))
+            some = np.minimum.outer(held, held)
+            ok &= common >= some * share - 6 * np.sqrt(some * share * (1 - share)) - 1e-3
+            ok &= (most > WIDE) | (100 * common >= percent * (both - common) - 1e-3)
             x, y = np.nonzero(ok)
             return pa.RecordBatch.from_arrays([pa.array(ids[x], pa.int64()), pa.array(ids[y], pa.int64())], names=["a", "b"])
 
         rows, last = [], None
         for b in batches:
-            d = [b.column(k).to_pylist() for k in range(8)]
-            for key, i, j, own, node, n, root, sk in zip(*d):
+            d = [b.column(k).to_pylist() for k in range(10)]
+            for key, i, j, own, node, n, root, sk, core, keys in zip(*d):
                 if (key, i, j) != last and rows:
                     yield close(rows)
                     rows = []
                 last = (key, i, j)
-                rows.append((own, node, n, root, sk, i, j))
+                rows.append((own, node, n, root, sk, i, j, core, keys, key))
         if rows:
             yield close(rows)
 
-    dense = many.select("key", "i", "j", "own", "node", "n", "root", "sketch").mapInArrow(run, "a long, b long")
-    return few.unionByName(dense).distinct()
+    dense = many.select("key", "i", "j", "own", "node", "n", "root", "sketch", "core", "keys").mapInArrow(run, "a long, b long")
+    return open_, kept, plausible(few, nodes).unionByName(dense).distinct()
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -261,8 +330,9 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, doc_id:
     )
     first = materialise(verify(plausible(stars, nodes), texts, words, percent), "verified")
     roots = materialise(components(first), "roots")
-    rest = plausible(unresolved(shared, roots, nodes, percent), nodes)
+    open_, many, rest = unresolved(shared, roots, nodes, texts, words, percent)
     second = materialise(verify(rest, texts, words, percent), "verified")
+    discard(open_, many, shared, texts)
     if not second.isEmpty():
         roots = materialise(components(first.unionByName(second)), "roots")
     rooted = nodes.select("digest", "node", "least_id").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))

@@ -24,7 +24,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import hash_rows, keyed, materialise, slabs, slice_hashes, text_bytes
+from quotaknn.llm.common import discard, hash_rows, keyed, materialise, slabs, slice_hashes, text_bytes
 
 GRAM = 32
 PART = 1 << 20
@@ -284,7 +284,9 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
         return pa.Table.from_arrays([pa.array(found["row_key"].copy()), pa.array(found["start"].copy()), pa.array(np.ones(len(found), np.int64))], names=["row_key", "start", "windows"])
 
     across = sorted_.where("windows = 0").select("part", "run").groupBy("part").applyInArrow(merge, "row_key long, start long, windows long")
-    return again.unionByName(sorted_.where("windows > 0").select("row_key", "start", "windows")).unionByName(across)
+    every = materialise(again.unionByName(sorted_.where("windows > 0").select("row_key", "start", "windows")).unionByName(across), "marks")
+    discard(found, kinds, chosen, sorted_)
+    return every
 
 
 def remove_repeats(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str = "text", with_text: bool = False) -> DataFrame:
