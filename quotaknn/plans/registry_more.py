@@ -253,12 +253,14 @@ def sql_centroids(spark, sf_dir):
 
 def _events(spark, sf_dir):
     rows = E.read_stream(spark, f"{sf_dir.rstrip('/')}/events.parquet*", table(spark, sf_dir, "events").schema)
-    return rows.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need instants
+    if dict(rows.dtypes)["ts"] == "timestamp_ntz":  # watermarks need instants: the wall clock is read as UTC
+        rows = rows.withColumn("ts", F.expr("cast(convert_timezone('UTC', current_timezone(), ts) as timestamp)"))
+    return rows
 
 
 def _plain(rows):
-    """Window starts without a zone, as other engines have them."""
-    return rows.withColumn("start", F.col("start").cast("timestamp_ntz"))
+    """Window starts as UTC's wall clock, without a zone, as other engines have them."""
+    return rows.withColumn("start", F.expr("convert_timezone(current_timezone(), 'UTC', cast(start as timestamp_ntz))"))
 
 
 @register("stream_tumbling", "select date_trunc('hour', ts) as start, event_type, count(*) as n from events group by 1, 2")
