@@ -24,7 +24,7 @@ def intersected(found: DataFrame, requests: DataFrame, quotas: DataFrame) -> Dat
     m = quotas.where("need > 0").groupBy("query_id").agg(F.count_distinct("attr").alias("m_"))
     attr = F.floor(F.col("group_id") / 1_000_000)
     seen = found.groupBy("query_id", "rec_id").agg(F.min("dist").alias("dist"), F.count_distinct(attr).alias("n_"))
-    return seen.join(F.broadcast(m), "query_id").where("n_ = m_").select("query_id", "rec_id", "dist")
+    return seen.join(m, "query_id").where("n_ = m_").select("query_id", "rec_id", "dist")
 
 
 def marginals(index: Index) -> DataFrame:
@@ -45,7 +45,7 @@ def independence_requests(index: Index, quotas: DataFrame) -> DataFrame:
     per = codes.join(F.broadcast(shares), (F.col("mask").bitwiseAND(F.col("m_")) != 0) & (F.col("qcode").bitwiseAND(F.col("m_")) == F.col("at_")))
     per = per.groupBy("mask", "qcode").agg(F.product("prop").alias("prop"))
     budget = F.ceil(F.round(F.col("k_") * F.col("prop"), 9)).cast("int")
-    return match_cells(index.cells, asked).join(F.broadcast(per), ["mask", "qcode"]).join(F.broadcast(k), "query_id").select(
+    return match_cells(index.cells, asked).join(per, ["mask", "qcode"]).join(k, "query_id").select(
         "query_id", F.col("cell_code").alias("group_id"), "cell_code", "n_cell", budget.alias("quota")
     )
 
@@ -54,7 +54,7 @@ def direct(pool: DataFrame, quotas: DataFrame) -> DataFrame:
     """The pool's k nearest as they are; counts are checked afterwards."""
     k = quotas.groupBy("query_id", "attr").agg(F.sum("need").alias("t_")).groupBy("query_id").agg(F.max("t_").alias("k_"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy("dist", "rec_id"))
-    rows = pool.withColumn("rank_", rank).join(F.broadcast(k), "query_id").where("rank_ <= k_")
+    rows = pool.withColumn("rank_", rank).join(k, "query_id").where("rank_ <= k_")
     return rows.select("query_id", "rec_id", "dist", F.lit("ok").alias("status"), F.lit(0.0).alias("seconds"), F.lit(None).cast("boolean").alias("certified"))
 
 

@@ -32,7 +32,7 @@ def knn_edges(index: Index, degree: int, per_cell: bool = False, min_cell: int =
     thousands; lsh only pairs that share a bucket."""
     rows = index.vectors.select("rec_id", "vec", "cell_code")
     if min_cell:
-        rows = rows.join(F.broadcast(index.cells.where(F.col("n_cell") >= min_cell).select("cell_code")), "cell_code")
+        rows = rows.join(index.cells.where(F.col("n_cell") >= min_cell).select("cell_code"), "cell_code")
     a = rows.select(F.col("rec_id").alias("src"), F.col("vec").alias("v_"), F.col("cell_code").alias("c_"))
     b = rows.select(F.col("rec_id").alias("dst"), F.col("vec").alias("w_"), F.col("cell_code").alias("e_"))
     if candidates == "exact":
@@ -79,7 +79,7 @@ def build(index: Index, degree: int = 8, per_cell: bool = False, min_cell: int =
     scope = F.col("cell_code") if per_cell else F.lit(0).cast("long")
     dims = index.vectors.select(scope.alias("scope"), F.posexplode("vec").alias("i", "x"))
     centre = dims.groupBy("scope", "i").agg(F.avg("x").alias("x")).groupBy("scope").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("c_"))
-    rows = index.vectors.select("rec_id", "vec", scope.alias("scope")).join(F.broadcast(centre), "scope")
+    rows = index.vectors.select("rec_id", "vec", scope.alias("scope")).join(centre, "scope")
     medoid = rows.groupBy("scope").agg(F.min(F.struct(distance(index.metric, "vec", "c_").alias("d"), "rec_id"))["rec_id"].alias("rec_id"))
     return Graph(edges, cut(medoid, "entries"), per_cell, min_cell)
 
@@ -88,13 +88,13 @@ def walk(graph: Graph, index: Index, queries: DataFrame, starts: DataFrame, allo
     """query_id, scope, rec_id, dist, accepted: all nodes visited from `starts` (query_id, scope, rec_id). `allowed`
     (query_id, cell_code) tells which nodes may be results; strict walks do not expand the others either."""
     vec = index.vectors.select("rec_id", "vec", "cell_code")
-    q = F.broadcast(queries.select("query_id", "qvec"))
+    q = queries.select("query_id", "qvec")
 
     def judged(ids: DataFrame) -> DataFrame:
         rows = ids.join(vec, "rec_id").join(q, "query_id").withColumn("dist", distance(index.metric, "vec", "qvec")).drop("vec", "qvec")
         if allowed is None:
             return rows.withColumn("accepted", F.lit(True)).drop("cell_code")
-        ok = F.broadcast(allowed.select("query_id", "cell_code", F.lit(True).alias("accepted")).distinct())
+        ok = allowed.select("query_id", "cell_code", F.lit(True).alias("accepted")).distinct()
         return rows.join(ok, ["query_id", "cell_code"], "left").withColumn("accepted", F.coalesce("accepted", F.lit(False))).drop("cell_code")
 
     beam_order = Window.partitionBy("query_id", "scope").orderBy("dist", "rec_id")
@@ -134,7 +134,7 @@ def retrieve(graph: Graph, kind: str, index: Index, queries: DataFrame, requests
         seen = walk(graph, index, queries, starts, None, width)
         met = seen.withColumnRenamed("scope", "cell_code").join(large.select("query_id", "group_id", "cell_code", "quota"), ["query_id", "cell_code"]).select("query_id", "group_id", "rec_id", "dist", "quota")
         small = requests.where(F.col("n_cell") < graph.min_cell).select("query_id", "group_id", "cell_code", "quota")
-        scan = index.vectors.select("rec_id", "vec", "cell_code").join(F.broadcast(small), "cell_code")
+        scan = index.vectors.select("rec_id", "vec", "cell_code").join(small, "cell_code")
         scan = r.with_distance(scan, index, queries).select("query_id", "group_id", "rec_id", "dist", "quota")
         met = met.unionByName(scan)
         visited = met.select("query_id", "rec_id")

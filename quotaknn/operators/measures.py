@@ -49,7 +49,7 @@ def scanned_share(status: DataFrame, n: int) -> DataFrame:
 def quota_gap(answer: DataFrame, quotas: DataFrame, attrs: list[str]) -> DataFrame:
     """query_id, gap: sum over all values of |asked for - returned|."""
     have = _long(answer, attrs).groupBy("query_id", "attr", "value").agg(F.count(F.lit(1)).alias("have"))
-    have = have.join(F.broadcast(quotas.select("query_id", "attr").distinct()), ["query_id", "attr"], "left_semi")
+    have = have.join(quotas.select("query_id", "attr").distinct(), ["query_id", "attr"], "left_semi")
     both = quotas.join(have, ["query_id", "attr", "value"], "full")
     return both.groupBy("query_id").agg(F.sum(F.abs(F.coalesce("need", F.lit(0)) - F.coalesce("have", F.lit(0)))).cast("long").alias("gap"))
 

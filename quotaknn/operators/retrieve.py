@@ -46,19 +46,19 @@ def cells_scanned(requests: DataFrame) -> DataFrame:
 
 
 def with_distance(pairs: DataFrame, index: Index, queries: DataFrame) -> DataFrame:
-    q = F.broadcast(queries.select("query_id", "qvec"))
+    q = queries.select("query_id", "qvec")
     return pairs.join(q, "query_id").withColumn("dist", distance(index.metric, "vec", "qvec")).drop("vec", "qvec")
 
 
 def exhaustive(index: Index, queries: DataFrame, requests: DataFrame, exclude: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """Exact distances to every record of the cells asked for; (candidates, scanned)."""
-    rows = index.vectors.select("rec_id", "vec", "cell_code").join(F.broadcast(requests.select("query_id", "group_id", "cell_code", "quota")), "cell_code")
+    rows = index.vectors.select("rec_id", "vec", "cell_code").join(requests.select("query_id", "group_id", "cell_code", "quota"), "cell_code")
     found = with_distance(_without(rows, exclude), index, queries).select("query_id", "group_id", "rec_id", "dist", "quota")
     return nearest(found, most_asked(requests)), cells_scanned(requests)
 
 
 def _without(rows: DataFrame, exclude: DataFrame | None) -> DataFrame:
-    return rows if exclude is None else rows.join(F.broadcast(exclude.select("query_id", "rec_id")), ["query_id", "rec_id"], "left_anti")
+    return rows if exclude is None else rows.join(exclude.select("query_id", "rec_id"), ["query_id", "rec_id"], "left_anti")
 
 
 def probe(index: Index, queries: DataFrame, requests: DataFrame, delta: float = 0.1, cap: bool = True, keep: str = "first", probes: int = 1,
@@ -73,7 +73,7 @@ def probe(index: Index, queries: DataFrame, requests: DataFrame, delta: float =
         around = F.explode(F.sequence(F.lit(1 - probes), F.lit(probes - 1)))
         keys = keys.withColumn("off_", around).select("query_id", "table_no", (F.col("bucket") + F.col("off_")).alias("bucket"))
     wanted = requests.select("query_id", "group_id", "cell_code", "quota").join(keys, "query_id")
-    met = index.postings.join(F.broadcast(wanted), ["cell_code", "table_no", "bucket"])
+    met = index.postings.join(wanted, ["cell_code", "table_no", "bucket"])
     met = met.groupBy("query_id", "group_id", "rec_id").agg(F.min("table_no").alias("first_"), F.count(F.lit(1)).alias("times_"), F.first("quota").alias("quota"))
     met = _without(met, exclude)
     if not cap:
@@ -96,14 +96,14 @@ def cell_lsh(index: Index, queries: DataFrame, requests: DataFrame, delta: float
     large = requests.where(F.col("n_cell") > scan_below) if scan_below else requests
     met = probe(index, queries, large, delta, cap, keep, probes, exclude)
     if small is not None:
-        rows = index.vectors.select("rec_id", "cell_code").join(F.broadcast(small.select("query_id", "group_id", "cell_code", "quota")), "cell_code").drop("cell_code")
+        rows = index.vectors.select("rec_id", "cell_code").join(small.select("query_id", "group_id", "cell_code", "quota"), "cell_code").drop("cell_code")
         met = met.unionByName(_without(rows, exclude)).dropDuplicates(["query_id", "group_id", "rec_id"])
     if on_short == "scan":
         sizes = requests.groupBy("query_id", "group_id").agg(F.sum("n_cell").alias("n_"), F.max("quota").alias("q_"))
         have = met.groupBy("query_id", "group_id").agg(F.count(F.lit(1)).alias("h_"))
         short = sizes.join(have, ["query_id", "group_id"], "left").where(F.coalesce("h_", F.lit(0)) < F.least("n_", "q_")).select("query_id", "group_id")
         again = requests.join(short, ["query_id", "group_id"], "left_semi").select("query_id", "group_id", "cell_code", "quota")
-        rows = index.vectors.select("rec_id", "cell_code").join(F.broadcast(again), "cell_code").drop("cell_code")
+        rows = index.vectors.select("rec_id", "cell_code").join(again, "cell_code").drop("cell_code")
         met = met.unionByName(_without(rows, exclude)).dropDuplicates(["query_id", "group_id", "rec_id"])
     found = with_distance(met.join(index.vectors.select("rec_id", "vec"), "rec_id"), index, queries).select("query_id", "group_id", "rec_id", "dist", "quota")
     return nearest(found, most_asked(requests)), scan_counts(found)
@@ -155,6 +155,6 @@ def knn(index: Index, queries: DataFrame, k: int, retriever=exhaustive, predicat
     if predicate is not None:
         named = cells.select("*", index.dictionary.decode(F.col("cell_code")).alias("v_")).select("cell_code", "n_cell", "v_.*")
         cells = named.where(predicate).select("cell_code", "n_cell")
-    requests = queries.select("query_id").join(F.broadcast(cells)).select("query_id", F.lit(0).cast("long").alias("group_id"), "cell_code", "n_cell", F.lit(k).alias("quota"))
+    requests = queries.select("query_id").crossJoin(cells).select("query_id", F.lit(0).cast("long").alias("group_id"), "cell_code", "n_cell", F.lit(k).alias("quota"))
     found, _ = retriever(index, queries, requests, **options)
     return found.select("query_id", "rec_id", "dist")

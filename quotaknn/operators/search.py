@@ -85,7 +85,7 @@ def search(index: Index, queries: DataFrame, quotas: DataFrame, retriever: str =
     from pyspark.sql import Window
 
     pos = F.row_number().over(Window.partitionBy("query_id").orderBy("dist", "rec_id"))
-    answer = cut(own.join(F.broadcast(ok), "query_id", "left_semi").withColumn("pos", pos).select("query_id", "pos", "rec_id", "dist", *index.attrs), "answer")
+    answer = cut(own.join(ok, "query_id", "left_semi").withColumn("pos", pos).select("query_id", "pos", "rec_id", "dist", *index.attrs), "answer")
     seconds["select"] = time.monotonic() - began
     return SearchResult(answer, status, pool, seconds)
 

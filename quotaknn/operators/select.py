@@ -22,14 +22,14 @@ def _long(pool: DataFrame, attrs: list[str]) -> DataFrame:
 
 def select_single(pool: DataFrame, quotas: DataFrame, attrs: list[str]) -> DataFrame:
     """One attribute: the nearest `need` records of each value. Records of a value not asked for are left."""
-    asked = F.broadcast(quotas.where("need > 0"))
+    asked = quotas.where("need > 0")
     rank = F.row_number().over(Window.partitionBy("query_id", "attr", "value").orderBy("dist", "rec_id"))
     return _long(pool, attrs).join(asked, ["query_id", "attr", "value"]).withColumn("rank_", rank).where(F.col("rank_") <= F.col("need")).select("query_id", "rec_id", "dist")
 
 
 def _grouped(pool: DataFrame, quotas: DataFrame, attrs: list[str], solve) -> DataFrame:
     needs = quotas.where("need > 0").groupBy("query_id").agg(F.to_json(F.map_from_entries(F.collect_list(F.struct(F.concat_ws("\x1f", "attr", "value"), "need")))).alias("needs_"))
-    rows = pool.join(F.broadcast(needs), "query_id").select("query_id", "rec_id", "dist", "needs_", *[F.col(a).cast("string").alias(a) for a in attrs])
+    rows = pool.join(needs, "query_id").select("query_id", "rec_id", "dist", "needs_", *[F.col(a).cast("string").alias(a) for a in attrs])
 
     def run(pdf):
         import json
@@ -129,7 +129,7 @@ def select(pool: DataFrame, quotas: DataFrame, attrs: list[str], selector: str =
     mix them."""
     if selector == "multi":
         return select_multi(pool, quotas, attrs, **options)
-    m = F.broadcast(quotas.groupBy("query_id").agg(F.count_distinct("attr").alias("m_")))
+    m = quotas.groupBy("query_id").agg(F.count_distinct("attr").alias("m_"))
     part = lambda df, cond: df.join(m.where(cond).select("query_id"), "query_id", "left_semi")
     one = select_single(part(pool, "m_ = 1"), part(quotas, "m_ = 1"), attrs).select("*", F.lit("ok").alias("status"), F.lit(0.0).alias("seconds"), F.lit(None).cast("boolean").alias("certified"))
     two = select_pair(part(pool, "m_ = 2"), part(quotas, "m_ = 2"), attrs)
@@ -142,7 +142,7 @@ def verify(answer: DataFrame, quotas: DataFrame, attrs: list[str]) -> DataFrame:
     Values asked for but absent, values not asked for, and missing answers all fail."""
     counted = _long(answer.where("rec_id is not null"), attrs).groupBy("query_id", "attr", "value").agg(F.count(F.lit(1)).alias("have"))
     constrained = quotas.select("query_id", "attr").distinct()
-    counted = counted.join(F.broadcast(constrained), ["query_id", "attr"], "left_semi")
+    counted = counted.join(constrained, ["query_id", "attr"], "left_semi")
     needs = quotas.groupBy("query_id", "attr", "value").agg(F.sum("need").alias("need"))
     both = needs.withColumnRenamed("value", "v_").join(
         counted.withColumnRenamed("value", "w_"), (needs.query_id == counted.query_id) & (needs.attr == counted.attr) & F.col("v_").eqNullSafe(F.col("w_")), "full"

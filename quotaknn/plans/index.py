@@ -74,7 +74,7 @@ def build_index(vectors: DataFrame, attrs: list[str], metric: str = "l2", tables
     postings = postings_of(stored, family)
     if per_cell:
         planned = cells.select("cell_code", plan_cells(F.col("n_cell"), **per_cell)["tables"].alias("need_tables"))
-        postings = postings.join(F.broadcast(planned), "cell_code").where(F.col("table_no") < F.col("need_tables")).drop("need_tables")
+        postings = postings.join(planned, "cell_code").where(F.col("table_no") < F.col("need_tables")).drop("need_tables")
     postings.repartitionByRange("table_no", "cell_code", "bucket").sortWithinPartitions("table_no", "cell_code", "bucket").write.parquet(f"{path}/postings")
     postings = spark.read.schema(postings.schema).parquet(f"{path}/postings")
     seconds["postings"] = time.monotonic() - began

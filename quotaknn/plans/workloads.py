@@ -37,7 +37,7 @@ def feasible_queries(vectors: DataFrame, attrs: list[str], n: int, k: int, seed:
     order = draw_order(F.col("query_id"), F.col("rec_id"), seed)
     if minority:
         sizes = rows.groupBy(*attrs).agg(F.count(F.lit(1)).alias("n_"))
-        drawn = drawn.join(F.broadcast(sizes), attrs)
+        drawn = drawn.join(sizes, attrs)
         order = (order % 1024) * F.col("n_") * 4096 + order / 1024 / 4096
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(order, "rec_id"))
     drawn = cut(drawn.withColumn("rank_", rank).where(F.col("rank_") <= k + 1).drop("n_"), "draws")
