@@ -52,6 +52,31 @@ def fresh(df: DataFrame, base: str) -> str:
     return name
 
 
+def release() -> None:
+    """Give memory that a worker has freed back to the machine, as idle workers stay beside later stages."""
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library: nothing to give back by this call
+
+
+def tidied(run):
+    """`run`, a generator over Arrow batches, with release() at the end of each task."""
+
+    def both(batches):
+        yield from run(batches)
+        release()
+
+    return both
+
+
 def col(name: str) -> Column:
     return F.col(f"`{name}`")
 

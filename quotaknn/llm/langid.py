@@ -19,7 +19,7 @@ import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import col, fresh, hash_rows, slabs, text_bytes
+from quotaknn.llm.common import col, fresh, hash_rows, release, slabs, text_bytes, tidied
 
 SLAB = 1 << 20
 LETTER = regex.compile(r"\p{L}")
@@ -137,7 +137,7 @@ def train(docs: DataFrame, may_learn: Column, text: str = "text", lang: str = "l
                 size = 0
         yield from flush()
 
-    counts = drawn.select("lang", "text").mapInArrow(count, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
+    counts = drawn.select("lang", "text").mapInArrow(tidied(count), "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
     totals = counts.groupBy("lang").agg(F.sum("n").alias("total"))
     rates = counts.join(F.broadcast(totals), "lang").withColumn("rate", F.col("n") / F.col("total"))
     top = rates.groupBy("gram").agg(F.max("rate").alias("most"))
@@ -166,6 +166,7 @@ def predictor(spark: SparkSession, model: Model):
 
         m = Model(*shared.value)
         best, score = m.score(texts)
+        release()
         names = pa.array([m.langs[b] if b >= 0 else "und" for b in best], pa.string())
         return pa.StructArray.from_arrays([names, pa.array(score)], names=["lang_pred", "score"])
 

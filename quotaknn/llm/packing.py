@@ -20,7 +20,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import encoder, keyed, materialise, numbered, tokenizer_path
+from quotaknn.llm.common import encoder, keyed, materialise, numbered, tidied, tokenizer_path
 
 PIECES = "row_key long, doc_id long, piece int, start long, length int, ids_crc32 long"
 
@@ -166,7 +166,7 @@ def pieces(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, doc_id:
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], names=["row_key", "doc_id", "piece", "start", "length", "ids_crc32"])
 
     rows = keyed(docs, doc_id, text).select("row_key", F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return rows.mapInArrow(cut, PIECES)
+    return rows.mapInArrow(tidied(cut), PIECES)
 
 
 def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, capacity: int = 4096, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
