@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from quotaknn.llm.common import components, discard, fresh, hash_rows, keyed, materialise, slabs, text_bytes
+from quotaknn.llm.common import components, discard, fresh, hash_rows, keyed, materialise, slabs, text_bytes, tidied
 
 SKETCH, RETAINED = 64, 40
 LONG_LIST, BLOCK, WIDE = 16, 768, 256
@@ -108,7 +108,7 @@ def sketches(docs: DataFrame, words: int, doc_id: str = "doc_id", text: str = "t
             )
 
     rows = keyed(docs, doc_id, text).select("row_key", F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return rows.mapInArrow(run, "row_key long, doc_id long, n long, digest binary, sketch binary")
+    return rows.mapInArrow(tidied(run), "row_key long, doc_id long, n long, digest binary, sketch binary")
 
 
 def postings(nodes: DataFrame) -> DataFrame:
@@ -130,7 +130,7 @@ def postings(nodes: DataFrame) -> DataFrame:
                     [pa.array(np.concatenate(keys).view(np.int64)), b.column(0).take(at), b.column(1).take(at)], names=["key", "node", "n"]
                 )
 
-    return nodes.select("node", "n", "sketch").mapInArrow(run, "key long, node long, n long")
+    return nodes.select("node", "n", "sketch").mapInArrow(tidied(run), "key long, node long, n long")
 
 
 def estimate(a: bytes, b: bytes) -> float:
@@ -181,7 +181,7 @@ def verify(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> Data
                     vs.append(node)
             yield pa.RecordBatch.from_arrays([pa.array(us, pa.int64()), pa.array(vs, pa.int64())], names=["u", "v"])
 
-    return sent.mapInArrow(run, "u long, v long")
+    return sent.mapInArrow(tidied(run), "u long, v long")
 
 
 def fits(a: str, b: str, percent: int):
@@ -216,7 +216,7 @@ def cores(members: DataFrame, texts: DataFrame, words: int) -> DataFrame:
                 [pa.array(np.concatenate(sets).view(np.int64)), pa.array(np.repeat(nodes, [len(x) for x in sets]))], names=["shingle", "node"]
             )
 
-    every = texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(run, "shingle long, node long")
+    every = texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(tidied(run), "shingle long, node long")
     own = every.groupBy("shingle").agg(F.count(F.lit(1)).alias("times"), F.min("node").alias("node")).where("times = 1")
     lone = own.groupBy("node").agg(F.count(F.lit(1)).alias("lone"))
     return members.join(lone, "node", "left").withColumn("core", F.col("n") - F.coalesce("lone", F.lit(0))).drop("lone")
@@ -231,13 +231,14 @@ def wide_sketches(members: DataFrame, texts: DataFrame, words: int) -> DataFrame
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x[:WIDE].tobytes() for x in sets_of(b.column(1), words)], pa.binary())], names=["node", "sketch"])
 
-    return texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(run, "node long, sketch binary")
+    return texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(tidied(run), "node long, sketch binary")
 
 
 def mixed(members: DataFrame) -> DataFrame:
     """The members of lists with more than one component, and `c`, how many the list has."""
     lists = members.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count(F.lit(1)).alias("c"), F.min("n").alias("least"))
-    return members.drop("c", "least").join(lists.where("r0 <> r1").select("key", "c", "least"), "key")
+    lists = materialise(lists.where("r0 <> r1").select("key", "c", "least"), "lists")
+    return members.drop("c", "least").join(lists, "key")
 
 
 def unresolved(shared: DataFrame, roots: DataFrame, nodes: DataFrame, texts: DataFrame, words: int, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -305,7 +306,7 @@ def unresolved(shared: DataFrame, roots: DataFrame, nodes: DataFrame, texts: Dat
         if rows:
             yield close(rows)
 
-    dense = many.select("key", "i", "j", "own", "node", "n", "root", "sketch", "core", "keys").mapInArrow(run, "a long, b long")
+    dense = many.select("key", "i", "j", "own", "node", "n", "root", "sketch", "core", "keys").mapInArrow(tidied(run), "a long, b long")
     return open_, kept, plausible(few, nodes).unionByName(dense).distinct()
 
 
@@ -319,11 +320,13 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, doc_id:
         "nodes",
     )
     every = postings(nodes)
-    counts = every.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
+    # tables of their own, as Spark can split a hot key in a join of two tables, not in one that continues an aggregation
+    counts = materialise(every.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1"), "counts")
     shared = materialise(every.join(counts, "key"), "shared")
     score = shared.groupBy("node").agg(F.sum(F.log2("c")).alias("score"))
     rated = shared.join(score, "node")
     pivots = rated.groupBy("key").agg(F.max(F.struct("score", "node", "n")).alias("p")).select("key", F.col("p.node").alias("a"), F.col("p.n").alias("na"))
+    pivots = materialise(pivots, "pivots")
     stars = rated.join(pivots, "key").where("node <> a").where(fits("n", "na", percent)).select("a", F.col("node").alias("b")).distinct()
     texts = materialise(
         keyed(docs, doc_id, text).select(F.col("row_key").alias("node"), "text").join(shared.select("node").distinct(), "node"), "texts"
