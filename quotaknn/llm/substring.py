@@ -51,9 +51,10 @@ def units(docs: DataFrame, unit: str, min_words: int, doc_id: str = "doc_id", te
 
 
 def later_copies(found: DataFrame) -> DataFrame:
-    """The units that equal an earlier ranked one. Groups are pre-aggregated; the join back may be split where one is hot."""
+    """The units that equal an earlier ranked one. Groups are pre-aggregated into a table of
+    its own: Spark can split a hot digest in a join of two tables, not in one that continues an aggregation."""
     rank = F.struct(F.col("doc_id").isNull(), "doc_id", "row_key", "pos")
-    first = found.groupBy("digest").agg(F.count(F.lit(1)).alias("n"), F.min(rank).alias("first")).where("n > 1")
+    first = materialise(found.groupBy("digest").agg(F.count(F.lit(1)).alias("n"), F.min(rank).alias("first")).where("n > 1"), "firsts")
     return found.join(first, "digest").where((F.col("first.row_key") != F.col("row_key")) | (F.col("first.pos") != F.col("pos")))
 
 
