@@ -24,7 +24,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import discard, hash_rows, keyed, materialise, slabs, slice_hashes, text_bytes
+from quotaknn.llm.common import discard, hash_rows, keyed, materialise, slabs, slice_hashes, text_bytes, tidied
 
 GRAM = 32
 PART = 1 << 20
@@ -191,7 +191,7 @@ def find_segments(docs: DataFrame, span: int, doc_id: str, text: str) -> DataFra
                         yield pa.RecordBatch.from_arrays(cols, names=["anchor", "d1", "d2", "row_key", "start", "windows", "size", "twice"])
 
     return keyed(docs, doc_id, text).select("row_key", "text").mapInArrow(
-        run, "anchor long, d1 long, d2 long, row_key long, start long, windows long, size long, twice boolean"
+        tidied(run), "anchor long, d1 long, d2 long, row_key long, start long, windows long, size long, twice boolean"
     )
 
 
@@ -229,10 +229,10 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
                         c.append(v)
             yield pa.RecordBatch.from_arrays([pa.array(r, k) for r, (_, k) in zip(rows, kinds)], names=[k for k, _ in kinds])
 
-    bytes_ = sent.mapInArrow(cut, "shard int, hot boolean, single boolean, row_key long, start long, piece binary")
+    bytes_ = sent.mapInArrow(tidied(cut), "shard int, hot boolean, single boolean, row_key long, start long, piece binary")
 
     hot_windows = chosen.where(F.col("contents") > HOT).agg(F.sum(F.col("size") - span + 1)).head()[0] or 0
-    ranges = max(1, -(-hot_windows // 500_000))
+    ranges = max(1, -(-hot_windows // 100_000))
     kind = [("d1", "<u8"), ("d2", "<u8"), ("row_key", "<i8"), ("start", "<i8")]
 
     def sort_shard(table):
@@ -328,7 +328,7 @@ def remove_repeats(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", tex
             yield pa.RecordBatch.from_arrays(cols, names=names + ["spans", "kept"] * with_text)
 
     schema = "row_key long, doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
-    return whole.mapInArrow(cut, schema + ", spans array<struct<start:long,stop:long>>, kept binary" * with_text)
+    return whole.mapInArrow(tidied(cut), schema + ", spans array<struct<start:long,stop:long>>, kept binary" * with_text)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
