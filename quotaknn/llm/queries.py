@@ -13,6 +13,7 @@ def queries() -> dict:
         "op3_suffix_dedup": suffix.query,
         "op4_exact_dedup": exact_dedup.query,
         "op5_line_dedup": substring.query,
+        "op5_every_line_dedup": substring.query_every,
         "op6_sharding": sharding.query,
         "op7_minhash": minhash.query,
         "op8_hash_forest": ann.query,
@@ -23,4 +24,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_exact_dedup": exact_dedup.SQL, "op5_line_dedup": substring.SQL}
+    return {"op4_exact_dedup": exact_dedup.SQL, "op5_line_dedup": substring.SQL, "op5_every_line_dedup": substring.SQL_EVERY}

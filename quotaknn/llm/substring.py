@@ -96,6 +96,12 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_units(docs).drop("row_key")
 
 
+def query_every(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every line that is not blank, however short, and lines in scripts without blanks."""
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    return remove_units(docs, min_words=1).drop("row_key")
+
+
 SQL = """
 with lines as (
   select doc_id, unnest(parts) as line, unnest(range(1, len(parts) + 1)) as pos
@@ -110,3 +116,18 @@ select doc_id, count(*) as n_units, count(*) filter (gone) as n_removed,
        sha256(coalesce(string_agg(line, chr(10) order by pos) filter (not gone), '')) as kept_sha256
 from ranked group by doc_id
 """
+
+SQL_EVERY = """
+with lines as (
+  select doc_id, unnest(parts) as line, unnest(range(1, len(parts) + 1)) as pos
+  from (select doc_id, string_split(coalesce(text, ''), chr(10)) as parts from documents)
+), normal as (
+  select *, trim(regexp_replace(lower(line), '[ \\t\\r\\v\\f]+', ' ', 'g'), ' ') as norm from lines
+), ranked as (
+  select *, row_number() over (partition by norm order by doc_id, pos) > 1 and norm <> '' as gone from normal
+)
+select doc_id, count(*) as n_units, count(*) filter (gone) as n_removed,
+       cast(coalesce(sum(length(line)) filter (gone), 0) as bigint) as chars_removed,
+       sha256(coalesce(string_agg(line, chr(10) order by pos) filter (not gone), '')) as kept_sha256
+from ranked group by doc_id
+"""
