@@ -286,13 +286,13 @@ def by_metric(spark: SparkSession, sf_dir: str, n: int = 5, k: int = 6, tables:
     return _rows(spark, out, "metric string")
 
 
-def passages_as_queries(spark: SparkSession, sf_dir: str, k: int = 6, n: int = 10) -> DataFrame:
-    """Benchmark passages as query vectors over documents, with counts in proportion to the languages."""
+def passages_as_queries(spark: SparkSession, sf_dir: str, k: int = 6) -> DataFrame:
+    """All benchmark passages as query vectors over documents, with counts in proportion to the languages."""
     from quotaknn.functions.quota import from_population
 
     vectors = cut(vector_relation(spark, sf_dir, "V_DOC"), "vectors")
     index = build_index(vectors, ["lang"], "cosine", tables=16, hashes=6)
-    queries = cut(vector_relation(spark, sf_dir, "V_BENCH").where(F.col("rec_id") < n).select(F.col("rec_id").alias("query_id"), F.col("vec").alias("qvec")), "queries")
+    queries = cut(vector_relation(spark, sf_dir, "V_BENCH").select(F.col("rec_id").alias("query_id"), F.col("vec").alias("qvec")), "queries")
     needs = from_population(vectors, ["lang"], k).select("attr", "value", "need")
     quotas = cut(queries.select("query_id").join(F.broadcast(needs)), "quotas")
     return search(index, queries, quotas, options={"on_short": "scan"}).status.select("query_id", "status", F.round("total_dist", 6).alias("total_dist"), "scanned")
