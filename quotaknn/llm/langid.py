@@ -7,7 +7,8 @@ an n-gram's positions gives all languages containing it. A text's score for a la
 that bit, corrected for the filter's false positives; the largest decides.
 
 Defined cases: null text or a text without a letter is `und` with score 0; a null doc_id is not held out; rows with null
-lang train nothing; with nothing to learn from every row is `und`; texts are read whole, whatever their length.
+lang train nothing; with nothing to learn from every row is `und`; texts are read whole, whatever their length;
+a text with a letter but too short for an n-gram gets the first language with score 0.
 """
 
 from __future__ import annotations
@@ -66,9 +67,13 @@ class Model:
 
     def score(self, column) -> tuple[np.ndarray, np.ndarray]:
         """Best language (-1: und) and its corrected share of n-grams, for an Arrow array of texts."""
-        best, score = np.full(len(column), -1), np.zeros(len(column))
+        return self.measured(column)[:2]
+
+    def measured(self, column) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """score(), and how many n-grams each text has."""
+        best, score, count = np.full(len(column), -1), np.zeros(len(column)), np.zeros(len(column), np.int64)
         if not self.langs:
-            return best, score
+            return best, score, count
         import pyarrow as pa
 
         fp = self.false_rate()
@@ -93,7 +98,8 @@ class Model:
                 hits = run[hi] - run[lo]
                 share[:, k] = np.clip((hits - total * fp[k]) / np.maximum(total * (1 - fp[k]), 1e-9), 0, 1)
             best[i:j], score[i:j] = np.where(has, share.argmax(1), -1), np.where(has, share.max(1), 0.0)
-        return best, score
+            count[i:j] = total
+        return best, score, count
 
 
 def train(docs: DataFrame, may_learn: Column, text: str = "text", lang: str = "lang", salt: str = "doc_id", n: int = 5,
@@ -157,18 +163,18 @@ def train(docs: DataFrame, may_learn: Column, text: str = "text", lang: str = "l
 
 
 def predictor(spark: SparkSession, model: Model):
-    """An Arrow function from a text column to struct<lang_pred, score>."""
+    """An Arrow function from a text column to struct<lang_pred, score, grams>."""
     shared = spark.sparkContext.broadcast((model.langs, model.n, model.log2_size, model.hashes, model.table))
 
-    @F.arrow_udf("struct<lang_pred:string,score:double>")
+    @F.arrow_udf("struct<lang_pred:string,score:double,grams:long>")
     def predict(texts):
         import pyarrow as pa
 
         m = Model(*shared.value)
-        best, score = m.score(texts)
+        best, score, count = m.measured(texts)
         release()
         names = pa.array([m.langs[b] if b >= 0 else "und" for b in best], pa.string())
-        return pa.StructArray.from_arrays([names, pa.array(score)], names=["lang_pred", "score"])
+        return pa.StructArray.from_arrays([names, pa.array(score), pa.array(count)], names=["lang_pred", "score", "grams"])
 
     return predict
 
@@ -184,10 +190,11 @@ def identify(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", lang:
 
 
 def accepted(docs: DataFrame, least: float = 0.05, **names) -> DataFrame:
-    """The rows whose text has a letter and enough known n-grams of some language; columns as they were."""
+    """The rows whose text has a letter and enough known n-grams of some language, or is too short to have any n-gram; columns
+    as they were."""
     scored = identify(docs, **names)
     c = scored.columns[-1]
-    return scored.where((col(c)["lang_pred"] != "und") & (col(c)["score"] >= least)).drop(c)
+    return scored.where((col(c)["lang_pred"] != "und") & ((col(c)["score"] >= least) | (col(c)["grams"] == 0))).drop(c)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
