@@ -57,6 +57,13 @@ def exhaustive(index: Index, queries: DataFrame, requests: DataFrame, exclude: D
     return nearest(found, most_asked(requests)), cells_scanned(requests)
 
 
+def within(index: Index, queries: DataFrame, requests: DataFrame, radius: float, exclude: DataFrame | None = None) -> DataFrame:
+    """query_id, rec_id, dist of all records of the cells asked for that are no farther than `radius`, however many."""
+    rows = index.vectors.select("rec_id", "vec", "cell_code").join(requests.select("query_id", "cell_code").distinct(), "cell_code")
+    found = with_distance(_without(rows, exclude), index, queries)
+    return found.where(F.col("dist") <= radius).select("query_id", "rec_id", "dist")
+
+
 def _without(rows: DataFrame, exclude: DataFrame | None) -> DataFrame:
     return rows if exclude is None else rows.join(exclude.select("query_id", "rec_id"), ["query_id", "rec_id"], "left_anti")
 

@@ -306,6 +306,5 @@ def near_recall(spark: SparkSession, sf_dir: str, radius: float = 1.25, tables:
     requests = cut(retrieve.cell_requests(index, u), "requests")
     met = retrieve.probe(index, q, requests, cap=False, exclude=x)
     found = cut(retrieve.with_distance(met.join(index.vectors.select("rec_id", "vec"), "rec_id"), index, q).select("query_id", "rec_id", "dist"), "met")
-    every, _ = retrieve.exhaustive(index, q, requests.withColumn("quota", F.lit(10_000)), x)
-    near = every.where(F.col("dist") <= radius).select("query_id", "rec_id")
+    near = retrieve.within(index, q, requests, radius, x).select("query_id", "rec_id")
     return measures.coverage(found, near).join(measures.false_positives(found, 1.4), "query_id", "full")
