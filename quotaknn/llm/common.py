@@ -16,10 +16,12 @@ MIX = np.uint64(0x9E3779B97F4A7C15)
 def scratch(spark: SparkSession, name: str) -> str:
     """A new path in the folder that driver and executors share (`spark.checkpoint.dir`).
 
-    Only where that setting is missing, as in tests on one machine, a local temporary folder takes its place.
+    Only where that setting is missing on one machine, as in tests, a local temporary folder takes its place.
     """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         base = "file://" + tempfile.mkdtemp(prefix="quotaknn-")
         spark.conf.set("spark.checkpoint.dir", base)
     return f"{base.rstrip('/')}/llm/{name}-{uuid.uuid4().hex}"
@@ -183,8 +185,9 @@ def encoder(path: str, end_id: int, at_once: int = 1 << 20):
     """Arrow array of texts -> iterator of little-endian uint32 id arrays, `end_id` appended to each.
 
     Where the vocabulary file says that no token crosses from text into a following blank, texts are cut before runs of
-    blanks and the ids of a piece are kept for its next occurrence (in a table of bounded size, emptied when full). Pieces
-    are told apart by two 64-bit hashes. Other tokenizers, and texts with blanks outside ASCII, go whole to the library.
+    blanks and the ids of a piece are kept for its next occurrence (in a table of bounded size, emptied when full). A piece
+    is found by its hashes and then compared byte by byte; a text with a piece whose place in the table another piece of
+    equal hashes holds goes whole to the library, as do other tokenizers and texts with blanks outside ASCII.
     """
     import os
     import sys
@@ -213,7 +216,7 @@ WORDS_ONLY = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 
 
 class Pieces:
-    SLOTS, MOST = 1 << 21, 1_200_000
+    SLOTS, MOST, MOST_BYTES = 1 << 21, 1_200_000, 48 << 20
 
     def __init__(self, path: str):
         import json
@@ -242,6 +245,8 @@ class Pieces:
         self.at = np.full(self.SLOTS, -1, np.int32)
         self.begin, self.size, self.n = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), 0
         self.flat, self.used = np.zeros(1 << 18, "<u4"), 0
+        self.text_at, self.text_size = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64)
+        self.text, self.held = np.zeros(1 << 20, np.uint8), 0
 
     def whole(self, texts: list[str]) -> list[np.ndarray]:
         out, i = [], 0
@@ -269,13 +274,33 @@ class Pieces:
             slot[todo] = (slot[todo] + 1) & (self.SLOTS - 1)
         return out
 
-    def add(self, h1: np.ndarray, h2: np.ndarray, ids: list[np.ndarray]) -> None:
-        """Distinct new pieces with their ids."""
+    def differs(self, data: np.ndarray, lo: np.ndarray, size: np.ndarray, number: np.ndarray) -> np.ndarray:
+        """Whether the bytes of each piece are others than those kept under its number."""
+        out = self.text_size[number] != size
+        same = np.flatnonzero(~out & (size > 0))
+        if len(same):
+            length = size[same]
+            head = np.cumsum(length) - length
+            inside = np.arange(int(length.sum())) - np.repeat(head, length)
+            odd = data[np.repeat(lo[same], length) + inside] != self.text[np.repeat(self.text_at[number[same]], length) + inside]
+            out[same] = np.logical_or.reduceat(odd, head)
+        return out
+
+    def add(self, h1: np.ndarray, h2: np.ndarray, ids: list[np.ndarray], texts: list[bytes]) -> None:
+        """Distinct new pieces with their ids and bytes."""
         m = len(ids)
-        size = np.array([len(x) for x in ids], np.int64)
-        total = int(size.sum())
+        size, length = np.array([len(x) for x in ids], np.int64), np.array([len(x) for x in texts], np.int64)
+        total, long_ = int(size.sum()), int(length.sum())
         while self.n + m > len(self.begin):
-            self.begin, self.size = np.concatenate([self.begin, np.zeros_like(self.begin)]), np.concatenate([self.size, np.zeros_like(self.size)])
+            for name in ("begin", "size", "text_at", "text_size"):
+                own = getattr(self, name)
+                setattr(self, name, np.concatenate([own, np.zeros_like(own)]))
+        while self.held + long_ > len(self.text):
+            self.text = np.concatenate([self.text, np.zeros_like(self.text)])
+        self.text[self.held : self.held + long_] = np.frombuffer(b"".join(texts), np.uint8)
+        self.text_at[self.n : self.n + m] = self.held + np.cumsum(length) - length
+        self.text_size[self.n : self.n + m] = length
+        self.held += long_
         while self.used + total > len(self.flat):
             self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
         self.begin[self.n : self.n + m] = self.used + np.cumsum(size) - size
@@ -313,11 +338,36 @@ class Pieces:
             out[i] = x
         return out
 
+    def known(self, data: np.ndarray, lo: np.ndarray, hi: np.ndarray, raw) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Ids of successive pieces, how many each has, and which pieces the table cannot tell (their ids are not right)."""
+        if not len(lo):
+            return np.zeros(0, "<u4"), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        first, last = int(lo[0]), int(hi[-1])
+        h1, h2 = slice_hashes(data[first:last], lo - first, hi - lo)
+        number = self.find(h1, h2)
+        new = np.flatnonzero(number < 0)
+        if len(new):
+            if self.n + len(new) > self.MOST or self.held + int((hi - lo)[new].sum()) > self.MOST_BYTES:
+                self.empty()
+                new = np.arange(len(lo))
+            _, once = np.unique(h1[new] ^ (h2[new] << np.uint64(1)), return_index=True)
+            own = new[once]
+            texts = [raw(i, j) for i, j in zip(lo[own].tolist(), hi[own].tolist())]
+            self.add(h1[own], h2[own], self.look_up(texts), [t.encode() for t in texts])
+            number[new] = self.find(h1[new], h2[new])
+        # -1: the hashes of another piece agree in the one word that tells new pieces apart
+        wrong = (number < 0) | self.differs(data, lo, hi - lo, np.maximum(number, 0))
+        number[wrong] = 0
+        size = self.size[number]
+        ends = np.cumsum(size)
+        ids = self.flat[np.repeat(self.begin[number] - (ends - size), size) + np.arange(int(ends[-1]))]
+        return ids, size, np.flatnonzero(wrong)
+
     def encode(self, data: np.ndarray, offs: np.ndarray, end_id: int):
         n = len(offs) - 1
         raw = lambda i, j: data[i:j].tobytes().decode()
         end = np.array([end_id], "<u4")
-        if self.mode == "whole" or len(data) < 1 << 12:
+        if self.mode == "whole" or not len(data):
             for ids in self.whole([raw(i, j) for i, j in zip(offs[:-1], offs[1:])]):
                 yield np.append(ids, end)
             return
@@ -347,21 +397,18 @@ class Pieces:
             stop[offs] = True
             ends = np.flatnonzero(stop)
             hi = ends[np.searchsorted(ends, lo, side="right")]
-        h1, h2 = slice_hashes(data, lo, hi - lo)
-        number = self.find(h1, h2)
-        new = np.flatnonzero(number < 0)
-        if len(new):
-            if self.n + len(new) > self.MOST:
-                self.empty()
-                new = np.arange(len(lo))
-            _, first = np.unique(h1[new] ^ (h2[new] << np.uint64(1)), return_index=True)
-            own = new[first]
-            self.add(h1[own], h2[own], self.look_up([raw(i, j) for i, j in zip(lo[own].tolist(), hi[own].tolist())]))
-            number[new] = self.find(h1[new], h2[new])
-        size = self.size[number]
-        ends = np.cumsum(size)
-        total = int(ends[-1]) if len(ends) else 0
-        ids = self.flat[np.repeat(self.begin[number] - (ends - size), size) + np.arange(total)]
+        parts, sizes, wrong = [], [], []
+        for i, j in slabs(np.append(lo, len(data)), 1 << 20):  # a long text goes through the table in parts
+            own, size, odd_here = self.known(data, lo[i:j], hi[i:j], raw)
+            parts.append(own)
+            sizes.append(size)
+            wrong.append(i + odd_here)
+        wrong = np.concatenate(wrong) if wrong else np.zeros(0, np.int64)
+        if len(wrong):
+            clash = [d for d in np.unique(np.searchsorted(offs, lo[wrong], side="right") - 1).tolist() if d not in odd]
+            odd |= dict(zip(clash, self.whole([raw(offs[d], offs[d + 1]) for d in clash])))
+        ids = np.concatenate(parts) if parts else np.zeros(0, "<u4")
+        ends = np.cumsum(np.concatenate(sizes)) if sizes else np.zeros(0, np.int64)
         bounds = np.concatenate([[0], ends])[np.searchsorted(lo, offs)]
         for d in range(n):
             yield np.concatenate([odd[d] if d in odd else ids[bounds[d] : bounds[d + 1]], end])
@@ -374,7 +421,8 @@ _powers: dict = {}
 
 
 def slice_hashes(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> list[np.ndarray]:
-    """Two 64-bit hashes of each slice of the bytes, from prefix sums."""
+    """Two 64-bit hashes of each slice of the bytes, from prefix sums. Long slices may collide by their making (strings whose
+    halves mirror each other), so they only find what is then compared."""
     out = []
     for k in (0, 1):
         if k not in _powers or len(_powers[k][0]) < len(data) + 1:

@@ -18,6 +18,8 @@ but cannot be the least id; an empty table gives no rows; other columns are not
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -29,6 +31,7 @@ SKETCH, RETAINED = 64, 40
 LONG_LIST, BLOCK, WIDE = 16, 768, 256
 #: An estimate below this from 64 values has a chance near 1e-8 for sets of similarity 0.8.
 LEAST_ESTIMATE = 0.5
+LONG_WORD = 64
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
@@ -61,6 +64,10 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, words: int) -> list[np.n
     part[~inside] = 0
     size = np.add.reduceat(inside, starts, dtype=np.uint64)
     word = hash_rows(np.add.reduceat(part, starts) + size * _ODD[40])
+    # sums of powers collide by their making on long words whose halves mirror each other; those get a digest instead
+    for i in np.flatnonzero(size > LONG_WORD).tolist():
+        own = low[starts[i] : starts[i] + int(size[i])].tobytes()
+        word[i] = np.frombuffer(hashlib.blake2b(own, digest_size=8).digest(), np.uint64)[0]
     of = np.searchsorted(offsets, starts, side="right") - 1
     count = np.bincount(of, minlength=n)
     at = np.concatenate([[0], np.cumsum(count)])
@@ -92,8 +99,6 @@ def sketches(docs: DataFrame, words: int, doc_id: str = "doc_id", text: str = "t
     """row_key, doc_id, n, digest of the set, sketch (the least hashes in order, as bytes)."""
 
     def run(batches):
-        import hashlib
-
         import pyarrow as pa
 
         for b in batches:
@@ -311,7 +316,11 @@ def unresolved(shared: DataFrame, roots: DataFrame, nodes: DataFrame, texts: Dat
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """row_key, doc_id, n_shingles, component_id (least doc_id reachable), stays (one row of each component)."""
+    """row_key, doc_id, n_shingles, component_id (least doc_id reachable), stays (one row of each component).
+
+    `percent` is 80 or more: the sketch sizes and the filter are chosen for that, and lesser similarities would lose links."""
+    if percent < 80:
+        raise ValueError("sketches are sized for a similarity of 80 percent or more")
     rows = materialise(sketches(docs, words, doc_id, text), "sketches")
     filled = rows.where("n > 0")
     nodes = materialise(

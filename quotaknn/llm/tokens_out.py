@@ -9,7 +9,8 @@ Block layout, little-endian: magic DAC1, uint32 levels, uint64 ids; then for eac
 and but for the last level the bitmap bytes (bit i of byte j for entry 8 j + i) and the uint32 rank directory.
 
 Defined cases: null text is empty and has just the end id; null doc_ids come first; rows with the same doc_id lie in the
-order of the source; an empty table gives no blocks; a document is never split over blocks, however long.
+order of the source; an empty table gives no blocks; a document is never split over blocks, however long, so a block holds at
+most `block_tokens` ids and one document more; other columns are not read, so names that clash do no harm.
 """
 
 from __future__ import annotations
@@ -104,24 +105,22 @@ def write(docs: DataFrame, path: str, tokenizer: str, end_id: int = 0, doc_id: s
 
         run, shard = encoder(tokenizer, end_id), TaskContext.get().partitionId()
         kind = pa.schema([("shard", pa.int32()), ("block", pa.int32()), ("start_in_shard", pa.int64()), ("n_tokens", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("lengths", pa.list_(pa.int64())), ("codes", pa.binary())])
-        ids, parts, block, start = [], [], 0, 0
+        ids, parts, held, block, start = [], [], 0, 0, 0
 
         def close():
-            nonlocal ids, parts, block, start
+            nonlocal ids, parts, held, block, start
             whole = np.concatenate(parts)
             row = {"shard": shard, "block": block, "start_in_shard": start, "n_tokens": len(whole), "doc_ids": ids, "lengths": [len(p) for p in parts], "codes": encode(whole)}
-            ids, parts, block, start = [], [], block + 1, start + len(whole)
+            ids, parts, held, block, start = [], [], 0, block + 1, start + len(whole)
             return pa.RecordBatch.from_pylist([row], schema=kind)
 
         for b in batches:
-            held = 0
             for k, own in zip(b.column(0).to_pylist(), run(b.column(2))):
                 ids.append(k)
                 parts.append(own)
-                held = held + len(own) if len(parts) > 1 else sum(map(len, parts))
+                held += len(own)
                 if held >= block_tokens:
                     yield close()
-                    held = 0
         if parts:
             yield close()
 

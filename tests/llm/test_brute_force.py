@@ -39,7 +39,6 @@ def test_codes_round_trip(values):
 @settings(max_examples=60, deadline=None)
 @given(st.lists(st.text(alphabet="ab7 \n\t.,'’—  é9ſΣσİ中ß́\x1cx<|>", max_size=300), min_size=1, max_size=30))
 def test_pieces_equal_whole_texts(texts):
-    texts = texts + ["word " * 2000]  # enough bytes for the piecewise way
     for name in ("byte_bpe_50k.json", "word_bpe_49k.json"):
         path = common.tokenizer_path(name)
         want = common.Pieces(path).whole(texts)
@@ -47,6 +46,53 @@ def test_pieces_equal_whole_texts(texts):
         assert all((g[:-1] == w).all() and len(g) == len(w) + 1 and g[-1] == 5 for g, w in zip(got, want))
 
 
+def mirrored(bits: int) -> tuple[str, str]:
+    """Two strings whose sums of powers of any odd number agree modulo 2 ** 64: each symbol tells the parity of the ones of
+    its place."""
+    one = "".join("ab"[i.bit_count() & 1] for i in range(1 << bits))
+    return one, one.translate(str.maketrans("ab", "ba"))
+
+
+def test_pieces_whose_hashes_collide():
+    x, y = mirrored(11)
+    data, offs = common.text_bytes(pa.array([x, y]))
+    h1, h2 = common.slice_hashes(data, offs[:-1], np.diff(offs))
+    assert h1[0] == h1[1] and h2[0] == h2[1]  # the hashes cannot tell them apart, the bytes can
+    texts = ["filler " * 900, f"one {x} two", f"one {y} two", x, y, f" {y}{x}", "tail", x + "!" * 70_000 + y]
+    for name in ("byte_bpe_50k.json", "word_bpe_49k.json"):
+        path = common.tokenizer_path(name)
+        want = common.Pieces(path).whole(texts)
+        for order in (list(range(8)), [4, 3, 2, 1, 7, 5, 0, 6]):
+            got = list(common.encoder(path, 5)(pa.array([texts[i] for i in order])))
+            assert all((g[:-1] == want[i]).all() and len(g) == len(want[i]) + 1 for i, g in zip(order, got))
+
+
+def test_long_texts_go_in_parts():
+    texts = [" ".join(f"u{i % 977}v{i % 13}" for i in range(400_000)), "x" * 300_000, "end"]
+    path = common.tokenizer_path("byte_bpe_50k.json")
+    want = common.Pieces(path).whole(texts)
+    assert all((g[:-1] == w).all() for g, w in zip(common.encoder(path, 0)(pa.array(texts)), want))
+
+
+def test_shingles_of_long_mirrored_words():
+    x, y = mirrored(11)
+    a, b = (minhash.shingle_sets(*common.text_bytes(pa.array([f"one two three {w}"])), 4)[0] for w in (x, y))
+    assert len(a) == len(b) == 1 and a[0] != b[0]
+
+
+def test_blocks_are_closed_over_small_batches(spark):
+    """Blocks end at their size however the rows are batched."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "5")
+    try:
+        docs = common.materialise(spark.range(600).selectExpr("id as doc_id", "concat('word ', id, ' and more') as text").coalesce(1), "d")
+        path = common.scratch(spark, "t")
+        tokens_out.write(docs, path, common.tokenizer_path("byte_bpe_50k.json"), block_tokens=100)
+        sizes = [(r["n_tokens"], max(r["lengths"])) for r in tokens_out.read(spark, path).collect()]
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert sum(n for n, _ in sizes) > 3000 and all(n < 100 + longest for n, longest in sizes)
+
+
 def test_full_table_is_emptied(monkeypatch):
     monkeypatch.setattr(common.Pieces, "MOST", 50)
     p = common.Pieces(common.tokenizer_path("byte_bpe_50k.json"))
