@@ -1,13 +1,14 @@
 """Packing documents into sequences by length patterns.
 
-Only the histogram of piece lengths, at most `capacity` counts, reaches the driver. Patterns of two to four lengths that
+Only the histogram of piece lengths, at most `capacity` counts, reaches the driver. Patterns of two to five lengths that
 nearly fill a sequence are enumerated from the lengths that occur; non-negative least squares fits their repeat counts to
-the histogram; the counts are rounded within what is there, and the residual pieces go, longest first, where they fit best:
-into the room that patterns leave or into new sequences. The plan is a table of runs: the pieces of one length with ranks
+the histogram; the counts are rounded up within what is there, which places most pieces, and the residual ones go, longest
+first, where they fit best: into the room that patterns leave or into new sequences. The plan is a table of runs: the pieces of one length with ranks
 in [from, to) fill the same place of successive sequences, so each row finds its own sequence from its length and rank.
 
 Defined cases: null text is empty and has just the end id; only pieces of documents longer than the capacity are cut;
-repeated rows are packed each for itself; an empty table gives no rows; other columns are not read.
+repeated rows are packed each for itself; texts of any length are read whole; ties between patterns go by their order, so a
+plan is the same each time; an empty table gives no rows; other columns are not read, so names that clash do no harm.
 """
 
 from __future__ import annotations
@@ -15,6 +16,7 @@ from __future__ import annotations
 import zlib
 from bisect import bisect_left, insort
 from collections import defaultdict
+from typing import NamedTuple
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -25,25 +27,36 @@ from quotaknn.llm.common import encoder, keyed, materialise, numbered, tidied, t
 PIECES = "row_key long, doc_id long, piece int, start long, length int, ids_crc32 long"
 
 
-def patterns(lengths: np.ndarray, capacity: int, most: int = 24_000) -> np.ndarray:
-    """Rows of up to four lengths (0: none) that occur, each last length the largest that still fits."""
-    have = np.sort(lengths[(lengths > 0) & (lengths < capacity)])
+class Plan(NamedTuple):
+    chosen: dict  # pattern (lengths, longest first) -> repeats
+    by_patterns: int  # pieces placed by fitted patterns, full sequences among them; best fit placed the others
+    pieces: int
+    least: int  # no packing has fewer sequences
+
+
+def patterns(hist: np.ndarray, capacity: int, most: int = 24_000, members: int = 5, seed: int = 1) -> np.ndarray:
+    """Rows of two to `members` lengths (0: none) that nearly fill a sequence, about `most` in all.
+
+    The lengths before the last are drawn from the pieces that still fit, evenly over their number, so that patterns take
+    lengths as often as they occur; the last is the largest length that still fits."""
+    have = np.flatnonzero(hist[:capacity])
     if not len(have):
-        return np.zeros((0, 4), np.int64)
-    fit = lambda room: np.where(room >= have[0], have[np.maximum(np.searchsorted(have, room, side="right") - 1, 0)], 0)
-    out = [np.stack([have, fit(capacity - have), 0 * have, 0 * have], 1)]
-    grid = have[np.unique(np.linspace(0, len(have) - 1, max(1, min(len(have), most // (4 * len(have)) + 2))).astype(int))]
-    a, b = (x.ravel() for x in np.meshgrid(have, grid))
-    keep = a + b + have[0] <= capacity
-    a, b = a[keep], b[keep]
-    c = fit(capacity - a - b)
-    out.append(np.stack([a, b, c, 0 * a], 1))
-    keep = a + 2 * b + have[0] <= capacity
-    a, b = a[keep], b[keep]
-    out.append(np.stack([a, b, b, fit(capacity - a - 2 * b)], 1))
+        return np.zeros((0, members), np.int64)
+    cum, rng, each, out = np.cumsum(hist[have]), np.random.default_rng(seed), most // (members - 1), []
+    for m in range(2, members + 1):
+        share = (np.argsort(rng.random((each, m - 1)), axis=0) + 0.5) / each
+        room, rows = np.full(each, capacity), np.zeros((each, members), np.int64)
+        for j in range(m):
+            fit = np.searchsorted(have, room, side="right")
+            pick = fit - 1
+            if j < m - 1:
+                pick = np.minimum(pick, np.searchsorted(cum, share[:, j] * cum[np.maximum(fit - 1, 0)], side="right"))
+            rows[:, j] = np.where(fit > 0, have[np.maximum(pick, 0)], 0)
+            room = room - rows[:, j]
+        out.append(rows)
     found = -np.sort(-np.concatenate(out), axis=1)
     found = np.unique(found[found[:, 1] > 0], axis=0)
-    return found[capacity - found.sum(1) <= max(8, capacity // 64)]
+    return found[capacity - found.sum(1) <= max(1, capacity // 128)]
 
 
 def nnls(pat: np.ndarray, hist: np.ndarray, steps: int = 250) -> np.ndarray:
@@ -109,31 +122,30 @@ def best_fit(residual: dict[int, int], started: dict[tuple, int], capacity: int)
     return out
 
 
-def plan(hist: dict[int, int], capacity: int) -> dict[tuple, int]:
-    """Pattern -> repeats that hold exactly the pieces of the histogram. Of the fitted counts taken whole, in part or not
-    at all, the plan with the fewest sequences is kept."""
+def plan(hist: dict[int, int], capacity: int) -> Plan:
+    """Patterns that hold exactly the pieces of the histogram. Fitted counts are rounded up, the largest first, within the
+    pieces that are left; best fit packs the residual."""
     counts = np.zeros(capacity + 1, np.int64)
     for k, v in hist.items():
         counts[k] = v
-    full = {(capacity,): int(counts[capacity])} if counts[capacity] else {}
+    pieces, least = int(counts.sum()), -(-int((counts * np.arange(capacity + 1)).sum()) // capacity)
+    placed = full = int(counts[capacity])
     counts[capacity] = 0
-    pat = patterns(np.flatnonzero(counts), capacity)
+    pat = patterns(counts, capacity)
     fitted = nnls(pat, counts.astype(float))
-    order = np.argsort(pat.sum(1) * -1, kind="stable")
-    best = None
-    for part in (1.0, 0.85, 0.6, 0.0):
-        left, started = counts.copy(), {}
-        for i in order[fitted[order] * part >= 0.5] if part else []:
-            p = tuple(int(x) for x in pat[i] if x)
-            n = min(int(fitted[i] * part + 0.5), *(int(left[x]) // p.count(x) for x in set(p)))
-            if n > 0:
-                started[p] = n
-                for x in p:
-                    left[x] -= n
-        found = best_fit({int(k): int(left[k]) for k in np.flatnonzero(left)}, started, capacity)
-        if best is None or sum(found.values()) < sum(best.values()):
-            best = found
-    return best | full
+    started: dict[tuple, int] = {}
+    for i in np.lexsort((capacity - pat.sum(1), -fitted)).tolist():
+        if fitted[i] <= 1e-3:
+            break
+        p = tuple(int(x) for x in pat[i] if x)
+        n = min(int(np.ceil(fitted[i])), *(int(counts[x]) // p.count(x) for x in set(p)))
+        if n > 0:
+            started[p] = n
+            placed += n * len(p)
+            for x in p:
+                counts[x] -= n
+    chosen = best_fit({int(k): int(counts[k]) for k in np.flatnonzero(counts)}, started, capacity)
+    return Plan(chosen | ({(capacity,): full} if full else {}), placed, pieces, least)
 
 
 def runs(chosen: dict[tuple, int]) -> np.ndarray:
@@ -173,7 +185,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, capacity: int = 4096,
     """row_key, doc_id, piece, start, length, ids_crc32, sequence_id, offset for every piece of every row."""
     cut = materialise(pieces(docs, tokenizer, end_id, capacity, doc_id, text), "pieces")
     hist = {r[0]: r[1] for r in cut.groupBy("length").count().collect()}
-    table = runs(plan(hist, capacity)) if hist else np.zeros((0, 5), np.int64)
+    table = runs(plan(hist, capacity).chosen) if hist else np.zeros((0, 5), np.int64)
     shared = docs.sparkSession.sparkContext.broadcast(table)
 
     def place(batches):
