@@ -1,12 +1,14 @@
 """Exact deduplication by a keyed streaming state on disk.
 
 Arrivals (digest, stable identifier, content locator) flow through a Structured Streaming aggregation whose RocksDB
-state never expires; the state is then read back as a table. A digest seen more than once is a hit: the full bytes of all
-its texts are compared before they count as copies. Everything is DataFrame operations.
-
-Defined cases: null text is the empty text; the row with the largest doc_id of equal texts stays, null ids last, and among
-repeated rows (same id, same text) the one that the source lists last; an empty table gives no rows; other columns are
-neither read nor changed.
+state never expires; the state is then read back as a table. A row's locator, the file that holds it and its place there, is
+its identifier too: it is the same in every run over the same files, and files that come later bring locators of their own.
+A digest seen more than once is a hit: the texts of all its locators are fetched and their full bytes compared before they
+count as copies. Everything is DataFrame operations.
+
+Defined cases: null text is the empty text; texts of any length are read whole; the row with the largest doc_id of equal
+texts stays, null ids last, and among repeated rows (same id, same text) the one with the last locator; an empty table gives no
+rows; other columns are neither read nor changed, so names that clash do no harm.
 """
 
 from __future__ import annotations
@@ -16,10 +18,27 @@ from contextlib import contextmanager
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import fresh, keyed, materialise, scratch
+from quotaknn.llm.common import col, fresh, materialise, scratch
 
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
-LOG = "row_key long, doc_id long, digest binary, n_bytes long, locator string"
+LOG = "file string, row long, doc_id long, digest binary, n_bytes long"
+
+
+def is_scan(docs: DataFrame) -> bool:
+    """Whether each row of `docs` is one row of a Parquet file, so that it has a place there."""
+    plan = docs._jdf.queryExecution().analyzed()
+    while plan.children().size() == 1 and plan.nodeName() in ("Project", "Filter", "SubqueryAlias"):
+        plan = plan.children().head()
+    return plan.children().size() == 0 and "parquet" in plan.toString().lower() and "Relation" in plan.getClass().getSimpleName()
+
+
+def located(docs: DataFrame) -> tuple[DataFrame, str, str]:
+    """`docs` with the columns file and row at the end (by names it does not have); written first, if it is no scan."""
+    if not is_scan(docs):
+        docs = materialise(docs, "docs")
+    file, row = fresh(docs, "file"), fresh(docs, "row")
+    meta = docs.metadataColumn("_metadata")
+    return docs.select("*", meta["file_path"].alias(file), meta["row_index"].alias(row)), file, row
 
 
 @contextmanager
@@ -37,14 +56,16 @@ def state_on_disk(spark: SparkSession):
             spark.conf.unset(k) if v is None else spark.conf.set(k, v)
 
 
+def texts_of(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """file, row, doc_id, text."""
+    placed, file, row = located(docs)
+    return placed.select(col(file).alias("file"), col(row).alias("row"), col(doc_id).cast("long").alias("doc_id"), F.coalesce(col(text), F.lit("")).alias("text"))
+
+
 def arrivals(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """One narrow row per document: what the state needs to know, without the text."""
-    return keyed(docs, doc_id, text).select(
-        "row_key",
-        F.col("doc_id").cast("long").alias("doc_id"),
-        F.unhex(F.sha2("text", 256)).alias("digest"),
-        F.octet_length("text").cast("long").alias("n_bytes"),
-        F.input_file_name().alias("locator"),
+    return texts_of(docs, doc_id, text).select(
+        "file", "row", "doc_id", F.unhex(F.sha2("text", 256)).alias("digest"), F.octet_length("text").cast("long").alias("n_bytes")
     )
 
 
@@ -55,7 +76,7 @@ def run_state(spark: SparkSession, log_path: str, state_path: str, files_per_bat
     """
     log = spark.readStream.schema(LOG).option("maxFilesPerTrigger", files_per_batch).parquet(log_path)
     seen = log.groupBy("digest").agg(
-        F.max(F.struct("doc_id", "row_key", "n_bytes", "locator")).alias("keeper"), F.count(F.lit(1)).alias("n")
+        F.max(F.struct("doc_id", "file", "row", "n_bytes")).alias("keeper"), F.count(F.lit(1)).alias("n")
     )
     with state_on_disk(spark):
         query = (
@@ -68,53 +89,54 @@ def run_state(spark: SparkSession, log_path: str, state_path: str, files_per_bat
         return state.select(F.col("key.digest").alias("digest"), F.col(f"value.{keeper}").alias("keeper"), F.col(f"value.{n}").alias("n"))
 
 
-def differing(texts: DataFrame, state: DataFrame, parts: int = 256) -> DataFrame:
-    """digest of the hits whose texts are not all equal, byte by byte. A digest with more than a thousandth of all rows, of
-    which there are fewer than a thousand, is dealt over `parts` tasks, each of which finds its least and greatest text."""
-    hits = state.where("n > 1").select("digest", "n")
-    total = state.agg(F.sum("n")).head()[0] or 0
-    hot = hits.where(F.col("n") > max(1000, total // 1000)).select("digest", F.lit(parts).alias("parts"))
-    dealt = texts.select("row_key", "text", "digest").join(F.broadcast(hot), "digest", "left")
-    dealt = dealt.withColumn("part", F.coalesce(F.pmod(F.xxhash64("row_key"), F.col("parts")), F.lit(0).cast("long")))
-    asked = hits.select("digest").join(F.broadcast(hot), "digest", "left")
-    asked = asked.select("digest", F.explode(F.sequence(F.lit(0).cast("long"), F.coalesce(F.col("parts") - 1, F.lit(0)).cast("long"))).alias("part"))
-    ends = dealt.join(asked, ["digest", "part"]).groupBy("digest", "part").agg(F.min("text").alias("a"), F.max("text").alias("b"))
-    return ends.groupBy("digest").agg(F.min("a").alias("a"), F.max("b").alias("b")).where("a <> b").select("digest")
+def fetched(texts: DataFrame, log: DataFrame, state: DataFrame) -> DataFrame:
+    """digest, file, row, doc_id, text of every row whose digest was seen more than once, found by its locator."""
+    hits = log.join(state.where("n > 1").select("digest"), "digest").select("digest", "file", "row")
+    return texts.join(hits, ["file", "row"])
+
+
+def differing(found: DataFrame) -> DataFrame:
+    """digest of the hits whose texts are not all equal, byte by byte. Each task first finds its own least and greatest text
+    of a digest, so a hot one is spread over as many tasks as hold its rows."""
+    return found.groupBy("digest").agg(F.min("text").alias("a"), F.max("text").alias("b")).where("a <> b").select("digest")
 
 
 def exact_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """Decisions, one per row: row_key, doc_id, digest, keep_id, keep_row, group_size, kept."""
+    """Decisions, one per row: file, row, doc_id, digest, keep_id, keep_file, keep_row, group_size, kept."""
     spark = docs.sparkSession
+    if not is_scan(docs):
+        docs = materialise(docs, "docs")
     log_path = scratch(spark, "arrivals")
     arrivals(docs, doc_id, text).write.parquet(log_path)
     log = spark.read.schema(LOG).parquet(log_path)
     if log.isEmpty():
-        state = spark.createDataFrame([], "digest binary, keeper struct<doc_id:long,row_key:long,n_bytes:long,locator:string>, n long")
+        state = spark.createDataFrame([], "digest binary, keeper struct<doc_id:long,file:string,row:long,n_bytes:long>, n long")
     else:
         with state_on_disk(spark):
             state = materialise(run_state(spark, log_path, scratch(spark, "state")), "seen")
-    texts = keyed(docs, doc_id, text).select("row_key", "doc_id", "text", F.unhex(F.sha2("text", 256)).alias("digest"))
-    differ = materialise(differing(texts, state), "collisions")
+    members = fetched(texts_of(docs, doc_id, text), log, state)
+    differ = materialise(differing(members), "collisions")
     found = log.join(state, "digest").select(
-        "row_key", "doc_id", "digest", F.col("keeper.doc_id").alias("keep_id"), F.col("keeper.row_key").alias("keep_row"),
-        F.col("n").alias("group_size"),
+        "file", "row", "doc_id", "digest", F.col("keeper.doc_id").alias("keep_id"), F.col("keeper.file").alias("keep_file"),
+        F.col("keeper.row").alias("keep_row"), F.col("n").alias("group_size"),
     )
     if not differ.isEmpty():
-        own = texts.join(differ, "digest")
-        groups = own.groupBy("digest", "text").agg(F.max(F.struct("doc_id", "row_key")).alias("k"), F.count(F.lit(1)).alias("group_size"))
+        own = members.join(differ, "digest")
+        groups = own.groupBy("digest", "text").agg(F.max(F.struct("doc_id", "file", "row")).alias("k"), F.count(F.lit(1)).alias("group_size"))
         redone = own.join(groups, ["digest", "text"]).select(
-            "row_key", F.col("doc_id").cast("long").alias("doc_id"), "digest", F.col("k.doc_id").cast("long").alias("keep_id"),
-            F.col("k.row_key").alias("keep_row"), "group_size",
+            "file", "row", "doc_id", "digest", F.col("k.doc_id").alias("keep_id"), F.col("k.file").alias("keep_file"), F.col("k.row").alias("keep_row"), "group_size"
         )
         found = found.join(differ, "digest", "left_anti").unionByName(redone)
-    return found.withColumn("kept", F.col("row_key") == F.col("keep_row"))
+    return found.withColumn("kept", (F.col("file") == F.col("keep_file")) & (F.col("row") == F.col("keep_row")))
 
 
 def drop_copies(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """`docs` without the rows that exact_dedup drops; all columns stay as they are."""
-    key = fresh(docs, "row_key")
-    gone = exact_dedup(docs, doc_id, text).where(~F.col("kept")).select(F.col("row_key").alias(key))
-    return docs.withColumn(key, F.monotonically_increasing_id()).join(gone, key, "left_anti").drop(key)
+    if not is_scan(docs):
+        docs = materialise(docs, "docs")
+    placed, file, row = located(docs)
+    gone = exact_dedup(docs, doc_id, text).where(~F.col("kept")).select(F.col("file").alias(file), F.col("row").alias(row))
+    return placed.join(gone, [file, row], "left_anti").select(*[col(c) for c in docs.columns])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

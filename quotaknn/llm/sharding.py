@@ -6,7 +6,8 @@ weight moves rows only into or out of the subtrees whose weights changed. A tree
 then no other subtree's weight changes and rows move only into the new shard (law `key`).
 
 Defined cases: a null key is a key of its own; null text has size 1 and the checksum of no bytes; repeated rows go to the
-same shard and have slots of their own; rows of equal texts lie side by side within a shard; an empty table gives no rows.
+same shard and have slots of their own; rows of equal texts lie side by side within a shard; texts of any length are read
+whole; an empty table gives no rows; other columns are not read, so names that clash do no harm.
 """
 
 from __future__ import annotations
@@ -82,7 +83,7 @@ def place(key: Column, tree: Tree) -> Column:
 
 def shard_documents(docs: DataFrame, tree: Tree, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, size, text_crc32, law, shard, slot, grown_shard for every row."""
-    key = F.coalesce(F.col("doc_id").cast("string"), F.lit("null key"))
+    key = F.coalesce(F.concat(F.lit("id "), F.col("doc_id").cast("string")), F.lit("no id"))
     rows = keyed(docs, doc_id, text).select(
         F.col("doc_id"),
         (F.octet_length("text") + 1).cast("long").alias("size"),

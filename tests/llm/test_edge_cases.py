@@ -47,15 +47,27 @@ def test_exact_dedup(docs, empty):
     assert left.columns == docs.columns and left.count() == len(kept)
 
 
-def test_exact_dedup_looks_at_the_bytes(spark, docs):
-    """Digests that collide, made so by hand, are told apart."""
-    texts = spark.createDataFrame([(0, "a"), (1, "b"), (2, "a")], "row_key long, text string").withColumn("digest", F.lit(b"\x01"))
-    state = spark.createDataFrame([(b"\x01", 3)], "digest binary, n long")
-    assert exact_dedup.differing(texts, state).count() == 1
-    assert exact_dedup.differing(texts.where("text = 'a'"), state).count() == 0
-    many = spark.range(3000).select(F.col("id").alias("row_key"), F.when(F.col("id") == 77, "b").otherwise("a").alias("text"), F.lit(b"\x01").alias("digest"))
-    hot = spark.createDataFrame([(b"\x01", 3000)], "digest binary, n long")
-    assert exact_dedup.differing(many, hot, 8).count() == 1
+def test_exact_dedup_looks_at_the_bytes(spark, monkeypatch):
+    """Digests that collide, made so by hand, are told apart by the texts that their locators lead to."""
+    docs = common.materialise(spark.createDataFrame([(i, "b" if i == 77 else "a") for i in range(300)] + [(300, "c")], "doc_id long, text string"), "docs")
+    arrivals = exact_dedup.arrivals
+    monkeypatch.setattr(exact_dedup, "arrivals", lambda *a: arrivals(*a).withColumn("digest", F.when(F.col("doc_id") < 300, F.lit(bytearray(b"\x01"))).otherwise(F.col("digest"))))
+    got = {r["doc_id"]: r for r in exact_dedup.exact_dedup(docs).collect()}
+    assert (got[77]["keep_id"], got[77]["group_size"], got[77]["kept"]) == (77, 1, True) and got[300]["kept"]
+    assert {(r["keep_id"], r["group_size"]) for i, r in got.items() if i not in (77, 300)} == {(299, 299)}
+    assert exact_dedup.drop_copies(docs).count() == 3
+
+
+def test_locators_lead_to_rows(spark):
+    """The same rows have the same locators in each run, whatever is selected; a table that is no scan is written first."""
+    docs = common.materialise(spark.range(50).selectExpr("id as doc_id", "concat('t', id % 7) as text", "id as row").repartition(3), "docs")
+    one = {(r["file"], r["row"]): (r["doc_id"], r["text"]) for r in exact_dedup.texts_of(docs).collect()}
+    two = {(r["file"], r["row"]): (r["doc_id"], r["text"]) for r in exact_dedup.texts_of(docs.where("doc_id >= 0").select("text", "doc_id")).collect()}
+    assert len(one) == 50 and one == two
+    twice = docs.unionByName(docs)
+    assert not exact_dedup.is_scan(twice) and exact_dedup.is_scan(docs.select("doc_id"))
+    got = exact_dedup.exact_dedup(twice).collect()
+    assert len(got) == 100 and sum(r["kept"] for r in got) == 7
 
 
 def test_exact_dedup_goes_on(spark):
