@@ -5,36 +5,45 @@ without all suffixes of the corpus in one place:
 
 1. A window of `span` bytes has an anchor, the leftmost least hash among its grams; equal windows have equal anchors at
    equal places. A run of windows with one anchor is a segment, and its bytes hold these windows whole.
-2. Segments with equal digests repeat as they are. Anchors met with one content only are done; of the others one segment of
-   each content goes on.
+2. Anchors met once in all are done. Of the others, each content (told by a digest) goes on in one copy, or in two where it
+   occurs again: more copies of the same bytes could tell a suffix array nothing new.
 3. Segments are dealt by their anchor's hash into shards of bounded size. A shard sorts its suffixes by Larsson-Sadakane
    refinement, finds common prefixes as Kasai does, and so marks windows whose neighbour shares `span` bytes.
-4. An anchor with very many contents is dealt over several shards. Each hands on the sorted digests of its windows; they are
+4. An anchor with many contents is dealt over several shards. Each hands on the sorted digests of its windows; they are
    merged by binary search of each shard's digests in the others', in ranges of the digest.
-5. Marked windows are united for each document and cut out of its bytes.
+5. Marks of a content are handed to all its copies, united for each document and cut out of its bytes.
 
 Defined cases: null text is empty; matches never cross documents; texts of any length are read whole, in parts that overlap
 by a window; repeated rows repeat each other's windows and are both cut; an empty table gives no rows; other columns are not
-read.
+read, so names that clash do no harm.
 """
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import discard, hash_rows, keyed, materialise, slabs, slice_hashes, text_bytes, tidied
+from quotaknn.llm.common import discard, hash_rows, keyed, materialise, slabs, text_bytes, tidied
 
 GRAM = 32
 PART = 1 << 20
 SHARD_BYTES = 2 << 20
-HOT = 1500
+HOT = 256
 
 _MUL = hash_rows(np.arange(71, 75, dtype=np.uint64)) | np.uint64(1)
 _LOW = np.uint64(0xFFFFFFFF)
 
 
+def digests(data: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """128 bits for each slice of the bytes, as rows of two words."""
+    raw = memoryview(np.ascontiguousarray(data)).cast("B")
+    made = b"".join(hashlib.blake2b(raw[i : i + k], digest_size=16).digest() for i, k in zip(starts.tolist(), sizes.tolist()))
+    return np.frombuffer(made, "<u8").reshape(-1, 2)
+
+
 def words8(data: np.ndarray, pad: int = 8, big: bool = False) -> np.ndarray:
     """The 8 bytes from each position as uint64, zeros beyond the end."""
     whole = np.concatenate([data, np.zeros(pad + 8, np.uint8)])
@@ -85,14 +94,14 @@ def segments(data: np.ndarray, offsets: np.ndarray, span: int) -> dict[str, np.n
     windows = np.diff(np.append(run, len(v)))
     lo = v[run]
     size = windows + span - 1
-    d1, d2 = slice_hashes(data, lo, size)
+    d1, d2 = digests(data, lo, size).T
     text = np.searchsorted(offsets, lo, side="right") - 1
     same = np.zeros(len(lo), bool)
     same[1:] = (d1[1:] == d1[:-1]) & (d2[1:] == d2[:-1]) & (text[1:] == text[:-1])
     keep = np.flatnonzero(~same)
     twice = np.diff(np.append(keep, len(lo))) > 1
     return {
-        "anchor": h[at[lo[keep]].astype(np.int64)].view(np.int64), "d1": d1[keep].view(np.int64), "d2": d2[keep].view(np.int64),
+        "anchor": h[at[lo[keep]].astype(np.int64)].view(np.int64), "d1": d1[keep].astype(np.uint64).view(np.int64), "d2": d2[keep].astype(np.uint64).view(np.int64),
         "text": text[keep], "start": lo[keep] - offsets[text[keep]], "windows": np.add.reduceat(windows, keep), "size": size[keep], "twice": twice,
     }
 
@@ -200,36 +209,39 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
     found = materialise(find_segments(docs, span, doc_id, text), "segments")
     content = ["anchor", "d1", "d2"]
     kinds = found.groupBy(*content).agg(
-        F.count(F.lit(1)).alias("n"), F.max("twice").alias("twice"), F.min(F.struct("row_key", "start", "size")).alias("one")
+        F.count(F.lit(1)).alias("n"), F.max("twice").alias("twice"), F.min(F.struct("row_key", "start", "size")).alias("one"),
+        F.max(F.struct("row_key", "start", "size")).alias("two"),
     ).withColumn("single", (F.col("n") == 1) & ~F.col("twice"))
     kinds = materialise(kinds, "kinds")
-    again = found.join(kinds.where(~F.col("single")).select(*content), content).select("row_key", "start", "windows")
-    mixed = kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("contents"), F.max("single").alias("any")).where("contents > 1 and any")
-    chosen = materialise(
-        kinds.join(mixed, "anchor").select("anchor", "contents", "d1", "single", "one.row_key", "one.start", "one.size"), "chosen"
-    )
+    met = kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("contents"), F.min("single").alias("all_single")).where("contents > 1 or not all_single")
+    # a text of one period holds the next copy right behind the windows of the one before
+    behind = F.when(F.col("n") == 1, F.col("one.size") - span + 1).otherwise(F.lit(0))
+    again = F.struct(F.col("two.row_key").alias("row_key"), (F.col("two.start") + behind).alias("start"), F.col("two.size").alias("size"), F.lit(False).alias("told"))
+    first = F.struct(F.col("one.row_key").alias("row_key"), F.col("one.start").alias("start"), F.col("one.size").alias("size"), F.lit(True).alias("told"))
+    copies = F.explode(F.when(F.col("single"), F.array(first)).otherwise(F.array(first, again)))
+    chosen = materialise(kinds.join(met, "anchor").select(*content, "contents", "single", copies.alias("copy")).select(*content, "contents", "single", "copy.*"), "chosen")
     total = chosen.agg(F.sum("size")).head()[0] or 0
     shards = max(1, -(-total // SHARD_BYTES))
     parts = F.when(F.col("contents") > HOT, F.ceil(F.col("contents") / HOT).cast("int")).otherwise(F.lit(1))
     dealt = chosen.withColumn("hot", F.col("contents") > HOT).withColumn("salt", F.pmod(F.col("d1"), parts))
     dealt = dealt.withColumn("shard", F.pmod(F.xxhash64("anchor", "salt"), F.lit(shards)).cast("int"))
-    asked = dealt.groupBy("row_key").agg(F.collect_list(F.struct("shard", "hot", "single", "start", "size")).alias("asked"))
+    asked = dealt.groupBy("row_key").agg(F.collect_list(F.struct("shard", "hot", "single", "told", *content, "start", "size")).alias("asked"))
     sent = keyed(docs, doc_id, text).select("row_key", "text").join(asked, "row_key")
 
     def cut(batches):
         import pyarrow as pa
 
-        kinds = [("shard", pa.int32()), ("hot", pa.bool_()), ("single", pa.bool_()), ("row_key", pa.int64()), ("start", pa.int64()), ("piece", pa.binary())]
+        kinds = [("shard", pa.int32()), ("hot", pa.bool_()), ("single", pa.bool_()), ("told", pa.bool_()), *[(c, pa.int64()) for c in content], ("row_key", pa.int64()), ("start", pa.int64()), ("piece", pa.binary())]
         for b in batches:
             rows: list[list] = [[] for _ in kinds]
             for key, t, asked_here in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
                 raw = t.encode()
                 for a in asked_here:
-                    for c, v in zip(rows, (a["shard"], a["hot"], a["single"], key, a["start"], raw[a["start"] : a["start"] + a["size"]])):
+                    for c, v in zip(rows, (*[a[k] for k, _ in kinds[:7]], key, a["start"], raw[a["start"] : a["start"] + a["size"]])):
                         c.append(v)
             yield pa.RecordBatch.from_arrays([pa.array(r, k) for r, (_, k) in zip(rows, kinds)], names=[k for k, _ in kinds])
 
-    bytes_ = sent.mapInArrow(tidied(cut), "shard int, hot boolean, single boolean, row_key long, start long, piece binary")
+    bytes_ = sent.mapInArrow(tidied(cut), "shard int, hot boolean, single boolean, told boolean, anchor long, d1 long, d2 long, row_key long, start long, piece binary")
 
     hot_windows = chosen.where(F.col("contents") > HOT).agg(F.sum(F.col("size") - span + 1)).head()[0] or 0
     ranges = max(1, -(-hot_windows // 100_000))
@@ -239,19 +251,23 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
         import pyarrow as pa
 
         pieces = table.column("piece").to_pylist()
-        out: list[list] = [[], [], [], [], []]
+        names = ["row_key", "start", "windows", "anchor", "d1", "d2", "part", "run"]
+        out: list[list] = [[] for _ in names]
         told = []
-        rows = zip(pieces, repeated(pieces, span), table.column("single").to_pylist(), table.column("hot").to_pylist(), table.column("row_key").to_pylist(), table.column("start").to_pylist())
-        for piece, mark, single, hot, key, start in rows:
-            if single and mark.any():
+        rows = zip(pieces, repeated(pieces, span), *[table.column(c).to_pylist() for c in ("single", "told", "hot", "row_key", "start", *content)])
+        for piece, mark, single, speaks, hot, key, start, *own in rows:
+            if speaks and mark.any():
                 edge = np.diff(np.concatenate([[0], mark.view(np.int8), [0]]))
                 lo, hi = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
-                for c, v in zip(out, ([key] * len(lo), lo + start, hi - lo, [0] * len(lo), [None] * len(lo))):
+                n = len(lo)
+                # a content met once tells its own place, any other the place inside each copy
+                place = ([key] * n, lo + start, hi - lo, [None] * n, [None] * n, [None] * n) if single else ([-1] * n, lo, hi - lo, *[[c] * n for c in own])
+                for c, v in zip(out, (*place, [0] * n, [None] * n)):
                     c.extend(v)
-            if hot:
+            if hot and speaks:
                 own = np.empty(len(mark), kind)
                 at = np.arange(len(mark))
-                own["d1"], own["d2"] = slice_hashes(np.frombuffer(piece, np.uint8), at, np.full(len(at), span))
+                own["d1"], own["d2"] = digests(np.frombuffer(piece, np.uint8), at, np.full(len(at), span)).T
                 # a window that needs no mark (any more) is told without its place
                 own["row_key"], own["start"] = np.where(single & ~mark, key, -1), np.where(single & ~mark, at + start, -1)
                 told.append(own)
@@ -259,32 +275,39 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
             run = np.unique(np.concatenate(told))
             part = ((run["d1"] >> np.uint64(32)) * np.uint64(ranges)) >> np.uint64(32)
             for r in np.unique(part).tolist():
-                for c, v in zip(out, (-1, -1, 0, r, run[part == r].tobytes())):
+                for c, v in zip(out, (-1, -1, 0, None, None, None, r, run[part == r].tobytes())):
                     c.append(v)
-        kinds = [pa.int64()] * 4 + [pa.binary()]
-        return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(out, kinds)], names=["row_key", "start", "windows", "part", "run"])
+        kinds = [pa.int64()] * 7 + [pa.binary()]
+        return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(out, kinds)], names=names)
 
-    sorted_ = materialise(bytes_.groupBy("shard").applyInArrow(sort_shard, "row_key long, start long, windows long, part long, run binary"), "shards")
+    schema = "row_key long, start long, windows long, anchor long, d1 long, d2 long, part long, run binary"
+    sorted_ = materialise(bytes_.groupBy("shard").applyInArrow(sort_shard, schema), "shards")
 
     def merge(table):
         import pyarrow as pa
 
         runs_ = [np.frombuffer(r, kind) for r in table.column("run").to_pylist()]
-        key = lambda x: x[["d1", "d2"]].astype([("d1", "<u8"), ("d2", "<u8")])
-        keys, hit = [key(r) for r in runs_], []
-        for i, own in enumerate(keys):
-            open_ = runs_[i]["row_key"] >= 0
-            met = np.zeros(int(open_.sum()), bool)
-            for j, other in enumerate(keys):
-                if j != i:
-                    at = np.minimum(np.searchsorted(other, own[open_]), len(other) - 1)
-                    met |= other[at] == own[open_]
-            hit.append(runs_[i][open_][met])
+        d1, d2 = (np.concatenate([r[c] for r in runs_]) for c in ("d1", "d2"))
+        order = np.lexsort((d2, d1))
+        d1, d2 = d1[order], d2[order]
+        # a shard tells a digest once, so equal neighbours come from two shards
+        same = (d1[1:] == d1[:-1]) & (d2[1:] == d2[:-1])
+        across_ = np.append(same, False) | np.append(False, same)
+        hit = []
+        for own in runs_:
+            own = own[own["row_key"] >= 0]
+            at = np.searchsorted(d1, own["d1"])
+            while (off := d2[at] != own["d2"]).any():
+                at = at + off
+            hit.append(own[across_[at]])
         found = np.concatenate(hit)
         return pa.Table.from_arrays([pa.array(found["row_key"].copy()), pa.array(found["start"].copy()), pa.array(np.ones(len(found), np.int64))], names=["row_key", "start", "windows"])
 
     across = sorted_.where("windows = 0").select("part", "run").groupBy("part").applyInArrow(merge, "row_key long, start long, windows long")
-    every = materialise(again.unionByName(sorted_.where("windows > 0").select("row_key", "start", "windows")).unionByName(across), "marks")
+    spoken = sorted_.where("windows > 0")
+    shared = spoken.where("anchor is not null").select(*content, F.col("start").alias("place"), F.col("windows").alias("run_"))
+    handed = found.join(shared, content).select("row_key", (F.col("start") + F.col("place")).alias("start"), F.when(F.col("twice"), F.col("windows")).otherwise(F.col("run_")).alias("windows"))
+    every = materialise(handed.unionByName(spoken.where("anchor is null").select("row_key", "start", "windows")).unionByName(across), "marks")
     discard(found, kinds, chosen, sorted_)
     return every
 

@@ -120,7 +120,7 @@ def test_suffix_array_and_prefixes(data, fold):
         assert lcp[i] == min(k, 40)
 
 
-@pytest.mark.parametrize("hot", [1, 1500])
+@pytest.mark.parametrize("hot", [1, 256])
 def test_repeats(spark, monkeypatch, hot):
     """Small spans over texts full of repeats, with and without anchors dealt over shards; and texts cut in parts."""
     monkeypatch.setattr(suffix, "HOT", hot)
@@ -142,6 +142,27 @@ def test_repeats(spark, monkeypatch, hot):
         assert (r["n_removed"], r["n_spans"]) == (int(gone.sum()), int((np.diff(np.append(0, gone.astype(int))) == 1).sum()))
 
 
+def test_a_passage_with_many_surroundings(spark):
+    """A passage in more documents than one shard takes of an anchor, at the default setting: shards are merged. Its ends
+    meet other bytes each time, a few of them twice."""
+    rng = random.Random(3)
+    word = lambda: "".join(rng.choice("abcdefghijk") for _ in range(6))
+    passage, edges = " ".join(word() for _ in range(90)), [" ".join(word() for _ in range(70)) for _ in range(40)]
+    text = lambda: rng.choice(edges) if rng.random() < 0.2 else " ".join(word() for _ in range(70))
+    docs = {i: f"{text()} {passage[rng.randrange(3) * 50:]} {text()}" for i in range(600)}
+    docs |= {600: "".join("ab"[i.bit_count() & 1] for i in range(2048)), 601: "".join("ba"[i.bit_count() & 1] for i in range(2048))}
+    df = common.materialise(spark.createDataFrame(list(docs.items()), "doc_id long, text string").repartition(3), "d")
+    seen = Counter(t[i : i + 400] for t in docs.values() for i in range(len(t) - 399))
+    for r in suffix.remove_repeats(df).collect():
+        raw = docs[r["doc_id"]]
+        gone = np.zeros(len(raw), bool)
+        for i in range(len(raw) - 399):
+            if seen[raw[i : i + 400]] > 1:
+                gone[i : i + 400] = True
+        assert (r["n_removed"], r["n_spans"]) == (int(gone.sum()), int((np.diff(np.append(0, gone.astype(int))) == 1).sum()))
+    assert suffix.HOT < 400  # so that the anchors at the passage's ends are dealt over shards
+
+
 # near duplicates -----------------------------------------------------------------------------------------------------
 
 
