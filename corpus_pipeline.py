@@ -12,24 +12,29 @@ from quotaknn.llm import common, exact_dedup, langid, minhash, mixing, packing
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rejects texts without letters or with hardly an n-gram of any language."""
+    """Rejects texts without letters (null and empty ones too) or with hardly an n-gram of any language; texts too short to
+    have an n-gram stay."""
     return langid.accepted(docs)
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each group of equal texts stays, the one with the largest doc_id; null texts count as empty ones."""
     return exact_dedup.drop_copies(docs)
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Shingles of five words, similarity 0.8."""
+    """Shingles of five words, similarity 0.8; one row of each component stays, that with the least doc_id (null ids last).
+    Rows without words stay."""
     return minhash.drop_near_copies(docs, words=5, percent=80)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """A draw of 0.7 of all tokens, towards equal sources and tempered languages and topics; rows without text go."""
     return mixing.sampled(docs, share=0.7)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every piece of every row with its sequence and place there; repeated rows and null ids have rows of their own."""
     return packing.pack(docs, common.tokenizer_path("word_bpe_49k.json")).drop("row_key")
 
 
@@ -40,7 +45,15 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages in turn. What a stage leaves beside its result, and the result once the next stage has read it, is deleted."""
+    docs, last = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES:
-        docs = common.materialise(stage(spark, docs, sf_dir), name)
+        path = common.scratch(spark, name)
+        with common.passing(spark):
+            made = stage(spark, docs, sf_dir)
+            made.write.parquet(path)
+        docs = spark.read.schema(made.schema).parquet(path)
+        if last:
+            common.remove(spark, last)
+        last = path
     return docs

@@ -1,148 +1,352 @@
 """Approximate nearest neighbours by a hash-prefix forest.
 
-A tree keeps one long sign-hash string for each vector in a sorted array. A query descends in every tree to the longest
-prefix it matches (two binary searches for a prefix length), then all trees ascend together, a bit at a time, until the
-matches are candidates enough; these are scored exactly. Inner products become angles by one more coordinate that gives all
-vectors the same norm.
-
-Vectors are dealt into shards of bounded size by a hash of the row, each with a forest of its own, and queries into blocks;
-a task holds one shard and one block, and the best of each shard are merged. How far to ascend is fitted in each task: on at
-most `SAMPLE` of its queries the share of candidates is raised until their mean recall against brute force is `RECALL`.
-
-Defined cases: vectors that are null, zero, or hold null or non-finite components take no part, nor do vectors of another
-dimension than most have; equal scores rank by smaller vec_id; fewer candidates than asked for are all returned; a row with a
-null vec_id may be found but asks nothing; repeated rows find each other; an empty table gives no rows.
+A tree is the sorted array of one long sign-hash string for each vector. A query descends in every tree to the longest prefix
+it matches; then all trees ascend together, a bit at a time, until their matches are `enough`. What more trees met, and at
+longer prefixes, comes first; the first `scored` of a query's matches are scored exactly. Inner products become angles by one
+more coordinate that gives all vectors the same norm.
+
+One forest serves the whole table. Its arrays are cut by tree and head, the first bits of the strings, so a query goes just to
+the one piece of each tree that its own head names; pieces of very many strings are cut further, and no piece meets all queries.
+Pass one counts the matches of each prefix length, which tells how far a query ascends; pass two hands on those matches; the
+candidates then go to the blocks that hold their vectors. Every step's volume is in proportion to vectors x trees or to the
+matches asked for. Equal vectors are one node of the forest, however many rows they have.
+
+`enough` and `scored` are fitted: for at most `SAMPLE` query vectors (that bound is documented) the true neighbours are found
+by an exact scan, one half of them chooses the cheapest setting that reaches the recall `AIM`, the other half measures it.
+
+Defined cases: vectors that are null, zero, or hold null or non-finite components take no part; vectors of each dimension are
+searched among themselves; equal scores rank by smaller vec_id; fewer candidates than asked for are all returned; a row with a
+null vec_id may be found but asks nothing; repeated rows find each other; an empty table gives no rows; other columns are not
+read, so names that clash do no harm.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+from functools import reduce
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import col, materialise
+from quotaknn.llm.common import col, hash_rows, materialise, tidied
+
+TREES, BITS = 128, 24
+PIECE, BLOCK = 1_000_000, 20_000
+SAMPLE, AIM = 128, 0.96
+#: Matches of a query, as multiples of the number of vectors, that the fit tries; none beyond MOST_MATCHES.
+TRIED, MOST_MATCHES = (0.25, 1.0, 4.0, 16.0), 4_000_000
+#: What the exact score of a vector costs, in matches that are counted.
+SCORE_COST = 32
+RESULT = "query_id long, rank int, vec_id long, score double"
+
+
+@dataclass(frozen=True)
+class Setting:
+    enough: float  # matches of a query, over all trees
+    scored: int  # candidates that are scored
+    recall: float  # on the half of the sample that did not choose the setting
+    vectors: int  # distinct ones
+
+
+class Hashes:
+    """The trees' hash strings of vectors, as integers with the first bit highest."""
+
+    def __init__(self, dim: int, norm: float, seed: int = 11):
+        self.norm = norm
+        self.planes = np.random.default_rng(seed).standard_normal((dim + 1, TREES * BITS))
+
+    def codes(self, vectors: np.ndarray, asks: bool) -> np.ndarray:
+        """(rows, TREES); the coordinate more makes up for the norm, and is 0 for a vector that asks."""
+        rest = np.zeros(len(vectors)) if asks else np.sqrt(np.maximum(self.norm**2 - (vectors**2).sum(1), 0))
+        bits = (np.column_stack([vectors, rest]) @ self.planes > 0).reshape(-1, TREES, BITS)
+        return bits @ (1 << np.arange(BITS - 1, -1, -1, dtype=np.int64))
+
+
+def ranges(strings: np.ndarray, asked: np.ndarray, lengths) -> tuple[np.ndarray, np.ndarray]:
+    """First and end place in the sorted `strings` of the matches of each prefix length, as (length, query)."""
+    lo, hi = [], []
+    for x in lengths:
+        head = asked >> (BITS - x)
+        lo.append(np.searchsorted(strings, head << (BITS - x), side="left"))
+        hi.append(np.searchsorted(strings, (head + 1) << (BITS - x), side="left"))
+    return np.array(lo).reshape(len(lo), len(asked)), np.array(hi).reshape(len(lo), len(asked))
+
+
+def matched(lo: np.ndarray, hi: np.ndarray, shortest: int) -> np.ndarray:
+    """How long the prefix is that each place in [lo[0], hi[0]) matches; the ranges of longer prefixes are nested."""
+    out = np.full(hi[0] - lo[0], shortest, np.int8)
+    for k in range(1, len(lo)):
+        if lo[k] == hi[k]:
+            break
+        out[lo[k] - lo[0] : hi[k] - lo[0]] = shortest + k
+    return out
 
-TREES, BITS = 40, 24
-SHARD_ROWS, BLOCK_ROWS = 20_000, 4_096
-SAMPLE, RECALL = 40, 0.97
-SHARES = (0.01, 0.02, 0.05, 0.1, 0.2, 0.35, 0.5, 0.75, 1.0, 1.5, 2.5, 4.0)
+
+def ranked(nodes: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """The distinct nodes, those first that were matched by most bits in all trees."""
+    own, at = np.unique(nodes, return_inverse=True)
+    bits = np.bincount(at, weights=lengths)
+    return own[np.lexsort((own, -bits))]
+
+
+def flat(column) -> np.ndarray:
+    """Arrow lists of equal length as a matrix."""
+    values = column.flatten().to_numpy(zero_copy_only=False)
+    return values.reshape(len(column), -1) if len(column) else np.zeros((0, 1))
 
 
 class Forest:
-    def __init__(self, vectors: np.ndarray, norm: float, seed: int = 11):
-        rng = np.random.default_rng(seed)
-        self.planes = rng.standard_normal((vectors.shape[1] + 1, TREES * BITS))
-        rest = np.sqrt(np.maximum(norm**2 - (vectors**2).sum(1), 0))
-        codes = self.codes(np.column_stack([vectors, rest]))
-        self.order = np.argsort(codes, axis=0, kind="stable")
-        self.sorted = np.take_along_axis(codes, self.order, axis=0)
-        self.size = len(vectors)
-
-    def codes(self, augmented: np.ndarray) -> np.ndarray:
-        """(rows, TREES) hash strings as integers, first bit highest."""
-        out = np.zeros((len(augmented), TREES), np.int64)
-        for i in range(0, len(augmented), 2048):
-            bits = (augmented[i : i + 2048] @ self.planes > 0).reshape(-1, TREES, BITS)
-            out[i : i + 2048] = bits @ (1 << np.arange(BITS - 1, -1, -1, dtype=np.int64))
-        return out
-
-    def ranges(self, queries: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """First and end place of the matches of each prefix length, as (length, query, tree)."""
-        codes = self.codes(np.column_stack([queries, np.zeros(len(queries))]))
-        lo = np.empty((BITS + 1, len(queries), TREES), np.int32)
-        hi = np.empty_like(lo)
-        for x in range(BITS + 1):
-            head = codes >> (BITS - x)
-            for t in range(TREES):
-                lo[x, :, t] = np.searchsorted(self.sorted[:, t], head[:, t] << (BITS - x), side="left")
-                hi[x, :, t] = np.searchsorted(self.sorted[:, t], (head[:, t] + 1) << (BITS - x), side="left")
-        return lo, hi
-
-    def candidates(self, lo: np.ndarray, hi: np.ndarray, q: int, enough: float) -> np.ndarray:
-        """Rows matched by query q when all trees have ascended to the longest prefix length with `enough` matches."""
-        counts = (hi[:, q] - lo[:, q]).sum(1)
-        x = BITS
-        while x > 0 and counts[x] < enough:
-            x -= 1
-        if x == 0:
-            return np.arange(self.size)
-        seen = np.zeros(self.size, bool)
-        for t in range(TREES):
-            seen[self.order[lo[x, q, t] : hi[x, q, t], t]] = True
-        return np.flatnonzero(seen)
-
-
-def best_of(vectors: np.ndarray, ids: np.ndarray, rows: np.ndarray, query: np.ndarray, own: int, among: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """The k nearest of the rows `among` (all but the row `own`): their numbers and exact scores, in order."""
-    among = among[rows[among] != own]
-    rough = vectors[among] @ query
-    if len(rough) > k:
-        limit = np.partition(rough, len(rough) - k)[len(rough) - k]
-        near = rough >= limit - 1e-9 * max(1.0, abs(limit))
-        among = among[near]
-    score = (vectors[among] * query).sum(1)
-    order = np.lexsort((rows[among], ids[among], -score))[:k]
-    return among[order], score[order]
+    """The forest of the vectors of one dimension: `nodes` (node, v) are distinct vectors."""
 
+    def __init__(self, nodes: DataFrame, dim: int, norm: float, total: int):
+        self.nodes, self.total, self.dim = nodes, total, dim
+        self.hashes = Hashes(dim, norm)
+        self.strings = materialise(self.hashed(nodes, False), "strings")
 
-def search(table: DataFrame, every: int = 20, k: int = 20, vec_id: str = "vec_id", vector: str = "embedding") -> DataFrame:
-    """query_id, rank, vec_id, score for the rows whose id `every` divides, against all rows."""
-    spark = table.sparkSession
+    def hashed(self, vectors: DataFrame, asks: bool) -> DataFrame:
+        """tree, code, node: one row for each vector and tree."""
+        hashes = self.hashes
+
+        def run(batches):
+            import pyarrow as pa
+
+            trees = np.arange(TREES, dtype=np.int32)
+            for b in batches:
+                node, v = b.column(0).to_numpy(), flat(b.column(1))
+                for i in range(0, len(node), 512):
+                    c = hashes.codes(v[i : i + 512], asks)
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(np.tile(trees, len(c))), pa.array(c.ravel()), pa.array(np.repeat(node[i : i + 512], TREES))], names=["tree", "code", "node"]
+                    )
+
+        return vectors.select("node", "v").mapInArrow(tidied(run), "tree int, code long, node long")
+
+    def head_bits(self, enough: float) -> int:
+        """Heads so short that the matches below them are `enough` several times over."""
+        return int(min(BITS - 1, max(0, np.floor(np.log2(max(1.0, TREES * self.total / (8 * enough)))))))
+
+    def pieces(self, asked: DataFrame, head: int) -> tuple[DataFrame, DataFrame]:
+        """Strings and queries with the piece (tree, head, part) where they meet; a piece of very many strings has parts."""
+        cut = F.shiftright("code", BITS - head).alias("head")
+        strings = self.strings.select("tree", cut, "code", "node")
+        sizes = strings.groupBy("tree", "head").agg(F.ceil(F.count(F.lit(1)) / PIECE).cast("int").alias("parts"))
+        sizes = materialise(sizes, "pieces")
+        large = sizes.where("parts > 1")
+        own = strings.join(large, ["tree", "head"], "left").select("tree", "head", F.coalesce(F.pmod(F.xxhash64("node"), F.col("parts")), F.lit(0)).cast("int").alias("part"), "code", "node")
+        asks = asked.withColumn("head", F.shiftright("code", BITS - head)).join(sizes, ["tree", "head"])
+        return own, asks.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
+
+    def matches(self, asking: DataFrame, enoughs: list[float]) -> tuple[DataFrame, int]:
+        """(query, reach, nodes, lengths) for each piece, nodes and lengths as bytes: what matches at least as long a prefix
+        as the largest of `enoughs` asks for; reach holds the prefix length of each of `enoughs`."""
+        head = self.head_bits(max(enoughs))
+        asked = self.hashed(asking, True).withColumnRenamed("node", "query")
+        own, asks = self.pieces(asked, head)
+        keys, lengths = ["tree", "head", "part"], range(head, BITS + 1)
+
+        def count(strings, queries):
+            import pyarrow as pa
+
+            lo, hi = ranges(np.sort(strings.column("code").to_numpy()), queries.column("code").to_numpy(), lengths)
+            return pa.table({"query": queries.column("query"), "counts": pa.array(list((hi - lo).T), pa.list_(pa.int64()))})
+
+        counted = own.groupBy(*keys).cogroup(asks.groupBy(*keys)).applyInArrow(count, "query long, counts array<long>")
+        # counts fall with the prefix length: the number of lengths with enough matches tells the longest of them
+        sums = counted.groupBy("query").agg(*[F.sum(F.col("counts")[i]).alias(f"n{i}") for i in range(len(lengths))])
+        reach = [F.greatest(F.lit(0), reduce(lambda a, b: a + b, [(F.col(f"n{i}") >= float(e)).cast("int") for i in range(len(lengths))]) - 1) + head for e in enoughs]
+        reach = materialise(sums.select("query", F.array(*reach).alias("reach")), "reach")
+        asks = asks.join(reach, "query")
+
+        def hand(strings, queries):
+            import pyarrow as pa
+
+            code, node = strings.column("code").to_numpy(), strings.column("node").to_numpy()
+            order = np.argsort(code, kind="stable")
+            lo, hi = ranges(code[order], queries.column("code").to_numpy(), lengths)
+            out: list[list] = [[], [], [], []]
+            for i, (q, r) in enumerate(zip(queries.column("query").to_pylist(), queries.column("reach").to_pylist())):
+                x = min(r) - head
+                a, b = lo[x, i], hi[x, i]
+                if a < b:
+                    for c, v in zip(out, (q, r, node[order[a:b]].tobytes(), matched(lo[x:, i], hi[x:, i], x + head).tobytes())):
+                        c.append(v)
+            kinds = [pa.int64(), pa.list_(pa.int32()), pa.binary(), pa.binary()]
+            return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(out, kinds)], names=["query", "reach", "nodes", "lengths"])
+
+        handed = own.groupBy(*keys).cogroup(asks.groupBy(*keys)).applyInArrow(hand, "query long, reach array<int>, nodes binary, lengths binary")
+        return handed, head
+
+    def fit(self, asking: DataFrame, k: int) -> Setting:
+        """The cheapest (enough, scored) that finds `AIM` of the true neighbours of one half of a bounded sample."""
+        sample = materialise(asking.orderBy(F.xxhash64("node", F.lit(3)), "node").limit(SAMPLE), "sample")
+        drawn = sorted((r["node"], np.array(r["v"])) for r in sample.collect())
+        ids, q = np.array([n for n, _ in drawn]), np.array([v for _, v in drawn])
+
+        def scan(batches):
+            import pyarrow as pa
+
+            for b in batches:
+                node, v = b.column(0).to_numpy(), flat(b.column(1))
+                score = q @ v.T
+                score[ids[:, None] == node[None, :]] = -np.inf
+                near = np.argsort(-score, axis=1, kind="stable")[:, :k]
+                at = np.repeat(np.arange(len(ids)), near.shape[1])
+                yield pa.RecordBatch.from_arrays([pa.array(ids[at]), pa.array(node[near.ravel()]), pa.array(score[at, near.ravel()])], names=["query", "node", "score"])
+
+        order = Window.partitionBy("query").orderBy(F.desc("score"), "node")
+        best = self.nodes.select("node", "v").mapInArrow(tidied(scan), "query long, node long, score double").where("score > double('-infinity')")
+        truth: dict = {}
+        for r in best.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).collect():
+            truth.setdefault(r["query"], []).append(r["node"])
+        enoughs = sorted({min(t * self.total, MOST_MATCHES) for t in TRIED})
+        handed, _ = self.matches(sample, enoughs)
+
+        def places(table):
+            import pyarrow as pa
+
+            query = table.column("query")[0].as_py()
+            reach = table.column("reach")[0].as_py()
+            node = np.frombuffer(b"".join(table.column("nodes").to_pylist()), np.int64)
+            length = np.frombuffer(b"".join(table.column("lengths").to_pylist()), np.int8)
+            out = []
+            for i, x in enumerate(reach):
+                order = ranked(node[length >= x], length[length >= x])
+                order = order[order != query]
+                at = {n: j for j, n in enumerate(order.tolist())}
+                out += [(query, i, at.get(n, -1)) for n in truth[query]]
+            return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), (pa.int64(), pa.int32(), pa.int64()))], names=["query", "setting", "place"])
+
+        found = handed.where(F.col("query").isin([int(i) for i in truth])).groupBy("query").applyInArrow(places, "query long, setting int, place long").collect()
+        half = set(ids[::2].tolist())
+        aim = {h: sum(len(t) for n, t in truth.items() if (n in half) == h) for h in (True, False)}
+        choices = []
+        for i, e in enumerate(enoughs):
+            at = {h: np.sort([r["place"] for r in found if r["setting"] == i and r["place"] >= 0 and (r["query"] in half) == h]) for h in (True, False)}
+            need = int(np.ceil(AIM * aim[True]))
+            reached = len(at[True]) >= need
+            scored = (int(at[True][need - 1]) + 1 if need else 1) if reached else self.total
+            recall = float((at[False] < scored).sum() / aim[False]) if aim[False] else 1.0
+            choices.append((not reached, scored * SCORE_COST + e, Setting(e, max(scored, k + 1), recall, self.total)))
+        return min(choices, key=lambda c: c[:2])[2] if truth else Setting(1.0, k + 1, 1.0, self.total)
+
+    def candidates(self, asking: DataFrame, setting: Setting, blocks: int, k: int) -> DataFrame:
+        """query, block, nodes (bytes): the first `scored` matches of each query and its own node, by the vectors' blocks. A
+        query that too few match ascends to the root: null nodes stand for a whole block."""
+        handed, _ = self.matches(asking, [setting.enough])
+        own = asking.select(F.col("node").alias("query"), F.lit(None).cast("array<int>").alias("reach"), F.lit(None).cast("binary").alias("nodes"), F.lit(None).cast("binary").alias("lengths"))
+
+        def choose(table):
+            import pyarrow as pa
+
+            query = table.column("query")[0].as_py()
+            node = np.frombuffer(b"".join(table.column("nodes").drop_null().to_pylist()), np.int64)
+            length = np.frombuffer(b"".join(table.column("lengths").drop_null().to_pylist()), np.int8)
+            first = ranked(node, length)
+            first = np.append(first[first != query][: setting.scored], query)
+            if len(first) <= k:
+                return pa.table({"query": pa.array([query] * blocks, pa.int64()), "block": pa.array(range(blocks), pa.int64()), "nodes": pa.nulls(blocks, pa.binary())})
+            of = (hash_rows(first.astype(np.uint64)) % np.uint64(blocks)).astype(np.int64)
+            each = np.unique(of)
+            return pa.Table.from_arrays(
+                [pa.array([query] * len(each), pa.int64()), pa.array(each), pa.array([first[of == b].tobytes() for b in each.tolist()], pa.binary())], names=["query", "block", "nodes"]
+            )
+
+        return handed.unionByName(own).groupBy("query").applyInArrow(choose, "query long, block long, nodes binary")
+
+    def nearest(self, asking: DataFrame, setting: Setting, k: int) -> DataFrame:
+        """query, node, score: at least the k + 1 best of each block's candidates, exactly scored."""
+        blocks, dim = max(1, -(-self.total // BLOCK)), self.dim
+
+        def deal(batches):
+            import pyarrow as pa
+
+            for b in batches:
+                of = (hash_rows(b.column(0).to_numpy().astype(np.uint64)) % np.uint64(blocks)).astype(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(of), *b.columns], names=["block", "node", "v"])
+
+        vectors = self.nodes.select("node", "v").mapInArrow(deal, "block long, node long, v array<double>")
+        asked = self.candidates(asking, setting, blocks, k).join(asking.select(F.col("node").alias("query"), "v"), "query")
+        vectors = vectors.select("block", F.lit(0).alias("role"), "node", "v", F.lit(None).cast("binary").alias("nodes"))
+        asked = asked.select("block", F.lit(1).alias("role"), F.col("query").alias("node"), "v", "nodes")
+        # in each partition a block's vectors come first; the queries that name it stream by
+        both = vectors.unionByName(asked).repartition("block").sortWithinPartitions("block", "role")
+
+        def run(batches):
+            import pyarrow as pa
+
+            held, ids, x, now = [], None, None, None
+            for b in batches:
+                block, role = b.column(0).to_numpy(), b.column(1).to_numpy()
+                out: list[list] = [[], [], []]
+                edge = np.flatnonzero(np.append(True, (np.diff(block) != 0) | (np.diff(role) != 0)))
+                for i, j in zip(edge, np.append(edge[1:], len(block))):
+                    own = b.slice(i, j - i)
+                    if role[i] == 0:
+                        held = held if now == block[i] else []
+                        now = block[i]
+                        held.append((own.column(2).to_numpy(), flat(own.column(3))))
+                        ids = None
+                        continue
+                    if now != block[i]:
+                        continue  # no vector lies in this block
+                    if ids is None:
+                        ids, x = np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held])
+                        order = np.argsort(ids)
+                        ids, x = ids[order], x[order]
+                    for query, v, nodes in zip(own.column(2).to_pylist(), flat(own.column(3)), own.column(4).to_pylist()):
+                        at = np.searchsorted(ids, np.frombuffer(nodes, np.int64)) if nodes is not None else np.arange(len(ids))
+                        score = (x[at] * v).sum(1)
+                        if len(at) > k + 1:  # all that tie with the last go on: their ids decide
+                            least = np.partition(score, len(score) - k - 1)[len(score) - k - 1]
+                            at, score = at[score >= least], score[score >= least]
+                        out[0] += [query] * len(at)
+                        out[1] += ids[at].tolist()
+                        out[2] += score.tolist()
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, (pa.int64(), pa.int64(), pa.float64()))], names=["query", "node", "score"])
+
+        return both.mapInArrow(tidied(run), "query long, node long, score double")
+
+
+def sound(v) -> object:
+    """Whether a vector takes part."""
+    return v.isNotNull() & ~F.exists(v, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) & F.exists(v, lambda x: x != 0)
+
+
+def forests(table: DataFrame, every: int, vec_id: str, vector: str) -> tuple[DataFrame, list[tuple[Forest, DataFrame]]]:
+    """(vec_id, row, node) of all sound rows, and for each dimension its forest and the nodes (node, v) that ask."""
     v = col(vector).cast("array<double>")
     rows = table.select(F.monotonically_increasing_id().alias("row"), col(vec_id).cast("long").alias("vec_id"), v.alias("v"))
-    sound = F.col("v").isNotNull() & ~F.exists("v", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf"))) & F.exists("v", lambda x: x != 0)
-    rows = materialise(rows.where(sound), "vectors")
-    schema = "query_id long, query_row long, vec_id long, row long, score double"
-    kinds = rows.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").head()
-    if kinds is None:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    dim, total = kinds
-    rows = rows.where(F.size("v") == dim)
+    rows = materialise(rows.where(sound(F.col("v"))), "vectors")
+    asks = F.coalesce(F.col("vec_id") % every == 0, F.lit(False))
+    nodes = materialise(rows.groupBy("v").agg(F.min("row").alias("node"), F.max(asks).alias("asks"), F.size("v").alias("dim")), "nodes")
+    members = materialise(rows.join(nodes.select("v", "node"), "v").select("vec_id", "row", "node"), "members")
     norm2 = F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x)
-    asked = F.col("vec_id") % every == 0
-    norm, n_asked = rows.agg(F.sqrt(F.max(norm2)), F.sum(asked.cast("long"))).head()
-    shards, blocks = -(-total // SHARD_ROWS), max(1, -(-(n_asked or 0) // BLOCK_ROWS))
-    numbers = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-    index = rows.withColumn("shard", F.pmod(F.xxhash64("row"), F.lit(shards)).cast("int")).withColumn("block", numbers(blocks))
-    ask = rows.where(asked).withColumn("block", F.pmod(F.xxhash64("row", F.lit(1)), F.lit(blocks)).cast("int")).withColumn("shard", numbers(shards))
-
-    def run(own, queries):
-        import pyarrow as pa
-
-        out: list[list] = [[], [], [], [], []]
-        if own.num_rows and queries.num_rows:
-            flat = lambda t: t.column("v").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, dim)
-            order = np.argsort(own.column("row").to_numpy())
-            x = flat(own)[order]
-            row = own.column("row").to_numpy()[order]
-            ids = np.array([i if i is not None else np.iinfo(np.int64).max for i in own.column("vec_id").to_pylist()])[order]
-            turn = np.argsort(queries.column("row").to_numpy())
-            q, q_row, q_id = flat(queries)[turn], queries.column("row").to_numpy()[turn], queries.column("vec_id").to_numpy()[turn]
-            forest = Forest(x, norm)
-            probe = np.unique(np.linspace(0, len(q) - 1, SAMPLE).astype(int))
-            lo, hi = forest.ranges(q[probe])
-            truth = [set(best_of(x, ids, row, q[i], q_row[i], np.arange(len(x)), k)[0].tolist()) for i in probe]
-            enough = np.inf
-            for share in SHARES:
-                found = [set(best_of(x, ids, row, q[i], q_row[i], forest.candidates(lo, hi, n, share * len(x)), k)[0].tolist()) for n, i in enumerate(probe)]
-                if np.mean([len(t & f) / max(1, len(t)) for t, f in zip(truth, found)]) >= RECALL:
-                    enough = share * len(x)
-                    break
-            for a in range(0, len(q), 256):
-                lo, hi = forest.ranges(q[a : a + 256])
-                for n in range(lo.shape[1]):
-                    i = a + n
-                    at, score = best_of(x, ids, row, q[i], q_row[i], forest.candidates(lo, hi, n, enough), k)
-                    for c, v in zip(out, ([q_id[i]] * len(at), [q_row[i]] * len(at), ids[at], row[at], score)):
-                        c.extend(v)
-        kinds = [pa.int64()] * 4 + [pa.float64()]
-        return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(out, kinds)], names=["query_id", "query_row", "vec_id", "row", "score"])
-
-    found = index.groupBy("shard", "block").cogroup(ask.groupBy("shard", "block")).applyInArrow(run, schema)
-    order = Window.partitionBy("query_row").orderBy(F.desc("score"), "vec_id", "row")
-    best = found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
-    shown = F.when(F.col("vec_id") != np.iinfo(np.int64).max, F.col("vec_id"))
-    return best.select("query_id", "rank", shown.alias("vec_id"), "score")
+    made = []
+    for r in nodes.groupBy("dim").agg(F.sqrt(F.max(norm2)).alias("norm"), F.count(F.lit(1)).alias("n"), F.max("asks").alias("asks")).orderBy("dim").collect():
+        if r["asks"]:
+            own = nodes.where(F.col("dim") == r["dim"])
+            made.append((Forest(own.select("node", "v"), r["dim"], r["norm"], r["n"]), own.where("asks").select("node", "v")))
+    return members, made
+
+
+def search(table: DataFrame, every: int = 20, k: int = 20, vec_id: str = "vec_id", vector: str = "embedding") -> DataFrame:
+    """query_id, rank, vec_id, score for the rows whose id `every` divides, against all rows."""
+    members, made = forests(table, every, vec_id, vector)
+    if not made:
+        return table.sparkSession.createDataFrame([], RESULT)
+    found = [f.nearest(asking, f.fit(asking, k), k) for f, asking in made]
+    found = reduce(DataFrame.unionByName, found)
+    # of equal vectors, the k + 1 rows with the least ids can be among a query's k nearest
+    place = F.row_number().over(Window.partitionBy("node").orderBy(F.col("vec_id").asc_nulls_last(), "row"))
+    heads = materialise(members.withColumn("place", place).where(F.col("place") <= k + 1).select("node", "vec_id", "row"), "heads")
+    order = Window.partitionBy("query").orderBy(F.desc("score"), F.col("vec_id").asc_nulls_last(), "row")
+    rows = found.join(heads, "node").withColumn("place", F.row_number().over(order)).where(F.col("place") <= k + 1)
+    lists = rows.groupBy("query").agg(F.array_sort(F.collect_list(F.struct("place", "vec_id", "row", "score"))).alias("near"))
+    lists = materialise(lists, "near")
+    asked = members.where(F.col("vec_id") % every == 0).select(F.col("vec_id").alias("query_id"), F.col("row").alias("own"), F.col("node").alias("query"))
+    each = asked.join(lists, "query").select("query_id", F.posexplode(F.slice(F.filter("near", lambda x: x["row"] != F.col("own")), 1, k)).alias("at", "x"))
+    return each.select("query_id", (F.col("at") + 1).cast("int").alias("rank"), F.col("x.vec_id").alias("vec_id"), F.col("x.score").alias("score"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

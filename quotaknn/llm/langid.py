@@ -8,7 +8,8 @@ that bit, corrected for the filter's false positives; the largest decides.
 
 Defined cases: null text or a text without a letter is `und` with score 0; a null doc_id is not held out; rows with null
 lang train nothing; with nothing to learn from every row is `und`; texts are read whole, whatever their length;
-a text with a letter but too short for an n-gram gets the first language with score 0.
+a text with a letter but too short for an n-gram gets the first language with score 0; languages that tie go by name, the
+first wins; repeated rows are judged alike; an empty table gives no rows; names that clash are told apart by fresh().
 """
 
 from __future__ import annotations

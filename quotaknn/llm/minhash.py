@@ -13,7 +13,8 @@ rounds the estimate from the union of two sketches filters and exact Jaccard on
 
 Defined cases: null text, empty text or text without words has the empty set and links with nothing; a text shorter than a
 shingle is one shingle; texts of any length are read whole; repeated rows are equal sets; rows with null doc_id take part
-but cannot be the least id; an empty table gives no rows; other columns are not read.
+but cannot be the least id, and are kept where their component has no id at all; an empty table gives no rows; other columns
+are not read, so names that clash do no harm.
 """
 
 from __future__ import annotations
@@ -367,5 +368,5 @@ def drop_near_copies(docs: DataFrame, words: int = 5, percent: int = 80, doc_id:
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     return near_duplicates(docs, words=4).select(
-        "doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept")
+        "doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept")
     )

@@ -247,16 +247,47 @@ def test_neighbours_are_found(spark):
     assert hit / n >= 0.9
 
 
-def test_forest_descends_and_ascends():
+def test_prefix_ranges_are_nested():
     rng = np.random.default_rng(0)
-    x = rng.standard_normal((500, 16))
-    x /= np.linalg.norm(x, axis=1, keepdims=True)
-    f = ann.Forest(x, 1.0)
-    lo, hi = f.ranges(x[:10])
-    assert (lo[0] == 0).all() and (hi[0] == 500).all()
-    assert all(i in f.candidates(lo, hi, i, 1) for i in range(10))  # its own row shares the longest prefix
-    few, more = (len(f.candidates(lo, hi, 3, n)) for n in (20, 2000))
-    assert few < more
+    codes = np.sort(rng.integers(0, 1 << ann.BITS, 3000))
+    asked = np.append(codes[:20], rng.integers(0, 1 << ann.BITS, 20))
+    lo, hi = ann.ranges(codes, asked, range(2, ann.BITS + 1))
+    for i, q in enumerate(asked.tolist()):
+        same = [next((x for x in range(ann.BITS, -1, -1) if c >> (ann.BITS - x) == q >> (ann.BITS - x)), 0) for c in codes.tolist()]
+        assert [int(hi[x - 2, i] - lo[x - 2, i]) for x in range(2, ann.BITS + 1)] == [sum(s >= x for s in same) for x in range(2, ann.BITS + 1)]
+        assert ann.matched(lo[:, i], hi[:, i], 2).tolist() == [s for s in same if s >= 2]
+    assert ann.ranked(np.array([7, 3, 7, 5]), np.array([2, 3, 2, 3], np.int8)).tolist() == [7, 3, 5]
+
+
+def test_forest_scores_few_vectors(spark):
+    """The setting is measured on queries that did not choose it; well under half of the vectors are scored."""
+    _, ((forest, asking),) = ann.forests(spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet"), 20, "vec_id", "embedding")
+    got = forest.fit(asking, 20)
+    assert got.recall >= 0.9 and got.scored < 0.35 * got.vectors
+
+
+def test_many_equal_vectors(spark, monkeypatch):
+    """A third of the rows hold one vector, pieces are cut in parts, blocks are many: as exact search has it, where all are scored."""
+    monkeypatch.setattr(ann, "PIECE", 50)
+    monkeypatch.setattr(ann, "BLOCK", 64)
+    monkeypatch.setattr(ann, "AIM", 1.0)
+    rng = np.random.default_rng(4)
+    x = rng.standard_normal((600, 8)).round(2)
+    x[rng.random(600) < 0.33] = x[0]
+    x[300:310] = 2 * x[1]
+    table = common.materialise(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>").repartition(3), "v")
+    got = defaultdict(list)
+    for r in ann.search(table, 20, 20).collect():
+        got[r["query_id"]].append((r["rank"], r["vec_id"], r["score"]))
+    hit = 0
+    for i in range(0, 600, 20):
+        score = (x * x[i]).sum(1)
+        score[i] = -np.inf
+        best = np.lexsort((np.arange(600), -score))[:20].tolist()
+        own = sorted(got[i])
+        assert len(own) == 20 and [s for _, _, s in own] == sorted((s for _, _, s in own), reverse=True)
+        hit += len(set(best) & {v for _, v, _ in own})
+    assert hit / 600 >= 0.97 and len(got) == 30
 
 
 def test_language_accuracy_on_held_out_rows(spark):
@@ -292,11 +323,14 @@ def test_mixing_meets_targets(spark, texts):
         for t, n in inside.items():
             goals[2][t] += goal * n**0.5 / sum(x**0.5 for x in inside.values())
     w = {c: n / total for c, n in cells.items()}
-    for _ in range(400):
+    miss = 1.0
+    while miss > 1e-10:
+        miss = 0.0
         for k in range(3):
             now = defaultdict(float)
             for c, x in w.items():
                 now[c[k]] += x
+            miss = max(miss, *(abs(now[v] - goals[k][v]) for v in now))
             w = {c: x * goals[k][c[k]] / now[c[k]] if now[c[k]] else 0.0 for c, x in w.items()}
     lo, hi = 0.0, 1e12
     for _ in range(200):
