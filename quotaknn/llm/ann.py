@@ -29,15 +29,15 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import col, hash_rows, materialise, tidied
+from quotaknn.llm.common import col, hash_rows, materialise, numbered, tidied
 
 TREES, BITS = 128, 24
 PIECE, BLOCK = 1_000_000, 20_000
 SAMPLE, AIM = 128, 0.96
 #: Matches of a query, as multiples of the number of vectors, that the fit tries; none beyond MOST_MATCHES.
-TRIED, MOST_MATCHES = (0.25, 1.0, 4.0, 16.0), 4_000_000
+TRIED, MOST_MATCHES = (0.25, 0.5, 1.0, 2.0, 4.0, 8.0), 4_000_000
 #: What the exact score of a vector costs, in matches that are counted.
-SCORE_COST = 32
+SCORE_COST = 24
 RESULT = "query_id long, rank int, vec_id long, score double"
 
 
@@ -97,10 +97,11 @@ def flat(column) -> np.ndarray:
 
 
 class Forest:
-    """The forest of the vectors of one dimension: `nodes` (node, v) are distinct vectors."""
+    """The forest of the vectors of one dimension: `nodes` (node, v) are `total` distinct vectors with numbers below `numbers`."""
 
-    def __init__(self, nodes: DataFrame, dim: int, norm: float, total: int):
+    def __init__(self, nodes: DataFrame, dim: int, norm: float, total: int, numbers: int):
         self.nodes, self.total, self.dim = nodes, total, dim
+        self.kind = np.dtype("<i4" if numbers < 1 << 31 else "<i8")  # of node numbers, where matches are handed on
         self.hashes = Hashes(dim, norm)
         self.strings = materialise(self.hashed(nodes, False), "strings")
 
@@ -156,12 +157,12 @@ class Forest:
         sums = counted.groupBy("query").agg(*[F.sum(F.col("counts")[i]).alias(f"n{i}") for i in range(len(lengths))])
         reach = [F.greatest(F.lit(0), reduce(lambda a, b: a + b, [(F.col(f"n{i}") >= float(e)).cast("int") for i in range(len(lengths))]) - 1) + head for e in enoughs]
         reach = materialise(sums.select("query", F.array(*reach).alias("reach")), "reach")
-        asks = asks.join(reach, "query")
+        asks, kind = asks.join(reach, "query"), self.kind
 
         def hand(strings, queries):
             import pyarrow as pa
 
-            code, node = strings.column("code").to_numpy(), strings.column("node").to_numpy()
+            code, node = strings.column("code").to_numpy(), strings.column("node").to_numpy().astype(kind)
             order = np.argsort(code, kind="stable")
             lo, hi = ranges(code[order], queries.column("code").to_numpy(), lengths)
             out: list[list] = [[], [], [], []]
@@ -201,13 +202,14 @@ class Forest:
             truth.setdefault(r["query"], []).append(r["node"])
         enoughs = sorted({min(t * self.total, MOST_MATCHES) for t in TRIED})
         handed, _ = self.matches(sample, enoughs)
+        kind = self.kind
 
         def places(table):
             import pyarrow as pa
 
             query = table.column("query")[0].as_py()
             reach = table.column("reach")[0].as_py()
-            node = np.frombuffer(b"".join(table.column("nodes").to_pylist()), np.int64)
+            node = np.frombuffer(b"".join(table.column("nodes").to_pylist()), kind)
             length = np.frombuffer(b"".join(table.column("lengths").to_pylist()), np.int8)
             out = []
             for i, x in enumerate(reach):
@@ -234,16 +236,17 @@ class Forest:
         """query, block, nodes (bytes): the first `scored` matches of each query and its own node, by the vectors' blocks. A
         query that too few match ascends to the root: null nodes stand for a whole block."""
         handed, _ = self.matches(asking, [setting.enough])
+        kind = self.kind
         own = asking.select(F.col("node").alias("query"), F.lit(None).cast("array<int>").alias("reach"), F.lit(None).cast("binary").alias("nodes"), F.lit(None).cast("binary").alias("lengths"))
 
         def choose(table):
             import pyarrow as pa
 
             query = table.column("query")[0].as_py()
-            node = np.frombuffer(b"".join(table.column("nodes").drop_null().to_pylist()), np.int64)
+            node = np.frombuffer(b"".join(table.column("nodes").drop_null().to_pylist()), kind)
             length = np.frombuffer(b"".join(table.column("lengths").drop_null().to_pylist()), np.int8)
             first = ranked(node, length)
-            first = np.append(first[first != query][: setting.scored], query)
+            first = np.append(first[first != query][: setting.scored], query).astype(np.int64)
             if len(first) <= k:
                 return pa.table({"query": pa.array([query] * blocks, pa.int64()), "block": pa.array(range(blocks), pa.int64()), "nodes": pa.nulls(blocks, pa.binary())})
             of = (hash_rows(first.astype(np.uint64)) % np.uint64(blocks)).astype(np.int64)
@@ -319,14 +322,16 @@ def forests(table: DataFrame, every: int, vec_id: str, vector: str) -> tuple[Dat
     rows = table.select(F.monotonically_increasing_id().alias("row"), col(vec_id).cast("long").alias("vec_id"), v.alias("v"))
     rows = materialise(rows.where(sound(F.col("v"))), "vectors")
     asks = F.coalesce(F.col("vec_id") % every == 0, F.lit(False))
-    nodes = materialise(rows.groupBy("v").agg(F.min("row").alias("node"), F.max(asks).alias("asks"), F.size("v").alias("dim")), "nodes")
+    nodes = rows.groupBy("v").agg(F.min("row").alias("first"), F.max(asks).alias("asks"), F.size("v").alias("dim"), F.lit(0).alias("all"))
+    nodes = materialise(numbered(nodes, "all", ["first"], "node"), "nodes")
+    numbers = nodes.count()
     members = materialise(rows.join(nodes.select("v", "node"), "v").select("vec_id", "row", "node"), "members")
     norm2 = F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x)
     made = []
     for r in nodes.groupBy("dim").agg(F.sqrt(F.max(norm2)).alias("norm"), F.count(F.lit(1)).alias("n"), F.max("asks").alias("asks")).orderBy("dim").collect():
         if r["asks"]:
             own = nodes.where(F.col("dim") == r["dim"])
-            made.append((Forest(own.select("node", "v"), r["dim"], r["norm"], r["n"]), own.where("asks").select("node", "v")))
+            made.append((Forest(own.select("node", "v"), r["dim"], r["norm"], r["n"], numbers), own.where("asks").select("node", "v")))
     return members, made
 
 

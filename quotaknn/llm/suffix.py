@@ -30,7 +30,7 @@ from quotaknn.llm.common import discard, hash_rows, keyed, materialise, slabs, t
 
 GRAM = 32
 PART = 1 << 20
-SHARD_BYTES = 2 << 20
+SHARD_BYTES = 1 << 20
 HOT = 256
 
 _MUL = hash_rows(np.arange(71, 75, dtype=np.uint64)) | np.uint64(1)
@@ -106,11 +106,18 @@ def segments(data: np.ndarray, offsets: np.ndarray, span: int) -> dict[str, np.n
     }
 
 
-def suffix_array(data: np.ndarray) -> np.ndarray:
+def suffix_array(data: np.ndarray, ends: np.ndarray | None = None) -> np.ndarray:
     """Positions in the order of their suffixes: groups sorted by 8 bytes, then refined by the rank h places on, h doubling,
-    only where groups still hold more than one suffix (Larsson-Sadakane)."""
+    only where groups still hold more than one suffix (Larsson-Sadakane).
+
+    `ends` tells for each place where its string ends (the place of a separator). Strings are then apart: a separator is
+    larger than a byte, and of two the first comes first, so that copies of long runs of strings are soon told from each other."""
     n = len(data)
     key = words8(data, 0, big=True)
+    if ends is not None:
+        ahead = ends - np.arange(n)
+        near = np.flatnonzero(ahead < 7)
+        key[near] &= ~((np.uint64(1) << (np.uint64(8) * (7 - ahead[near]).astype(np.uint64))) - np.uint64(1))
     sa = np.argsort(key)
     key = key[sa]
     head = np.ones(n, bool)
@@ -125,6 +132,8 @@ def suffix_array(data: np.ndarray) -> np.ndarray:
         pos = sa[open_]
         nxt = pos + h
         second = np.where(nxt < n, rank[np.minimum(nxt, n - 1)], 0)
+        if ends is not None:
+            second = np.where(nxt > ends[pos], ends[pos], second)
         pair = (rank[pos].astype(np.uint64) << np.uint64(32)) | second.astype(np.uint64)
         order = np.argsort(pair)
         pair, pos = pair[order], pos[order]
@@ -139,8 +148,8 @@ def suffix_array(data: np.ndarray) -> np.ndarray:
     return sa
 
 
-def common_prefixes(data: np.ndarray, sa: np.ndarray, cap: int, lanes: int = 4096) -> np.ndarray:
-    """lcp[i]: common prefix of suffixes sa[i - 1] and sa[i], up to `cap`. Kasai's walk in text order, where each suffix
+def common_prefixes(data: np.ndarray, sa: np.ndarray, cap: int, lanes: int = 4096, ends: np.ndarray | None = None) -> np.ndarray:
+    """lcp[i]: common prefix of suffixes sa[i - 1] and sa[i], up to `cap` and to the end of the string. Kasai's walk in text order, where each suffix
     starts from its forerunner's length less one, in many lanes of the text at once and eight bytes a step."""
     n = len(data)
     before = np.empty(n, np.int64)
@@ -157,8 +166,9 @@ def common_prefixes(data: np.ndarray, sa: np.ndarray, cap: int, lanes: int = 409
         x = w[i + length] ^ w[np.maximum(j, 0) + length]
         low = x & (np.uint64(0) - x)
         step = np.where(x == 0, 8, np.bitwise_count(low - np.uint64(1)) >> 3).astype(np.int64)
-        length = np.where(j < 0, 0, np.minimum(length + step, cap))
-        done = (j < 0) | (x != 0) | (length >= cap)
+        most = cap if ends is None else np.minimum(cap, ends[i] - i)
+        length = np.where(j < 0, 0, np.minimum(length + step, most))
+        done = (j < 0) | (x != 0) | (length >= most)
         plcp[i[done]] = length[done]
         i = i + done
         length = np.where(done, np.maximum(length - 1, 0), length)
@@ -173,8 +183,9 @@ def repeated(pieces: list[bytes], span: int) -> list[np.ndarray]:
     sizes = np.array([len(p) for p in pieces])
     data = np.frombuffer(b"".join(p + b"\xff" for p in pieces), np.uint8)
     at = np.concatenate([[0], np.cumsum(sizes + 1)])
-    sa = suffix_array(data)
-    far = common_prefixes(data, sa, span) >= span
+    ends = np.repeat(at[1:] - 1, sizes + 1)
+    sa = suffix_array(data, ends)
+    far = common_prefixes(data, sa, span, ends=ends) >= span
     mark = np.zeros(len(data), bool)
     mark[sa[far]] = True
     mark[sa[:-1][far[1:]]] = True

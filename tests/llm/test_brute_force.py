@@ -163,6 +163,16 @@ def test_a_passage_with_many_surroundings(spark):
     assert suffix.HOT < 400  # so that the anchors at the passage's ends are dealt over shards
 
 
+@settings(max_examples=30, deadline=None)
+@given(st.lists(st.binary(min_size=0, max_size=60), min_size=1, max_size=12), st.integers(1, 3), st.integers(1, 20))
+def test_suffixes_of_strings_apart(strings, fold, span):
+    """With repeated runs of strings, too: windows that start elsewhere, and no others."""
+    pieces = [bytes(b % (fold + 1) + 97 for b in s) for s in strings] * 2 + [b"b" * 40]
+    seen = Counter(p[i : i + span] for p in pieces for i in range(len(p) - span + 1))
+    for p, mark in zip(pieces, suffix.repeated(pieces, span)):
+        assert mark.tolist() == [seen[p[i : i + span]] > 1 for i in range(len(p) - span + 1)]
+
+
 # near duplicates -----------------------------------------------------------------------------------------------------
 
 
