@@ -5,8 +5,9 @@ without all suffixes of the corpus in one place:
 
 1. A window of `span` bytes has an anchor, the leftmost least hash among its grams; equal windows have equal anchors at
    equal places. A run of windows with one anchor is a segment, and its bytes hold these windows whole.
-2. Anchors met once in all are done. Of the others, each content (told by a digest) goes on in one copy, or in two where it
-   occurs again: more copies of the same bytes could tell a suffix array nothing new.
+2. Anchors met with one content (told by a digest) are done: met once, nothing repeats; met again, as in whole copies of a
+   text, the segment repeats as it is. Of other anchors, each content goes on in one copy, or in two where it occurs again:
+   more copies of the same bytes could tell a suffix array nothing new.
 3. Segments are dealt by their anchor's hash into shards of bounded size. A shard sorts its suffixes by Larsson-Sadakane
    refinement, finds common prefixes as Kasai does, and so marks windows whose neighbour shares `span` bytes.
 4. An anchor with many contents is dealt over several shards. Each hands on the sorted digests of its windows; they are
@@ -224,13 +225,15 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
         F.max(F.struct("row_key", "start", "size")).alias("two"),
     ).withColumn("single", (F.col("n") == 1) & ~F.col("twice"))
     kinds = materialise(kinds, "kinds")
-    met = kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("contents"), F.min("single").alias("all_single")).where("contents > 1 or not all_single")
+    met = kinds.groupBy("anchor").agg(F.count(F.lit(1)).alias("contents"), F.min("single").alias("all_single"))
+    met = materialise(met.where("contents > 1 or not all_single"), "met")
     # a text of one period holds the next copy right behind the windows of the one before
     behind = F.when(F.col("n") == 1, F.col("one.size") - span + 1).otherwise(F.lit(0))
     again = F.struct(F.col("two.row_key").alias("row_key"), (F.col("two.start") + behind).alias("start"), F.col("two.size").alias("size"), F.lit(False).alias("told"))
     first = F.struct(F.col("one.row_key").alias("row_key"), F.col("one.start").alias("start"), F.col("one.size").alias("size"), F.lit(True).alias("told"))
     copies = F.explode(F.when(F.col("single"), F.array(first)).otherwise(F.array(first, again)))
-    chosen = materialise(kinds.join(met, "anchor").select(*content, "contents", "single", copies.alias("copy")).select(*content, "contents", "single", "copy.*"), "chosen")
+    mixed = kinds.join(met.where("contents > 1"), "anchor")
+    chosen = materialise(mixed.select(*content, "contents", "single", copies.alias("copy")).select(*content, "contents", "single", "copy.*"), "chosen")
     total = chosen.agg(F.sum("size")).head()[0] or 0
     shards = max(1, -(-total // SHARD_BYTES))
     parts = F.when(F.col("contents") > HOT, F.ceil(F.col("contents") / HOT).cast("int")).otherwise(F.lit(1))
@@ -318,8 +321,9 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
     spoken = sorted_.where("windows > 0")
     shared = spoken.where("anchor is not null").select(*content, F.col("start").alias("place"), F.col("windows").alias("run_"))
     handed = found.join(shared, content).select("row_key", (F.col("start") + F.col("place")).alias("start"), F.when(F.col("twice"), F.col("windows")).otherwise(F.col("run_")).alias("windows"))
-    every = materialise(handed.unionByName(spoken.where("anchor is null").select("row_key", "start", "windows")).unionByName(across), "marks")
-    discard(found, kinds, chosen, sorted_)
+    same = found.join(met.where("contents = 1").select("anchor"), "anchor", "left_semi").select("row_key", "start", "windows")
+    every = materialise(handed.unionByName(same).unionByName(spoken.where("anchor is null").select("row_key", "start", "windows")).unionByName(across), "marks")
+    discard(found, kinds, met, chosen, sorted_)
     return every
 
 
