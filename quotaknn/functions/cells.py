@@ -91,10 +91,13 @@ class CellDictionary:
 def build_dictionary(vectors: DataFrame, attrs: list[str], order: dict | None = None, most: int = 1 << 20) -> CellDictionary:
     """One pass over the attribute columns alone; their finite domains are frozen in order of value, or as `order` has them.
     Domains are checked to be no larger than `most`."""
-    sets = vectors.agg(*[F.collect_set(F.col(a).cast("string")).alias(a) for a in attrs]).head().asDict()
+    names = F.explode(F.array(*[F.struct(F.lit(i).alias("no"), F.col(a).cast("string").alias("value")) for i, a in enumerate(attrs)]))
+    # values are told apart in the cluster; no more of them than make domains reach the driver
+    found = vectors.select(names.alias("x_")).select("x_.*").where("value is not null").distinct().limit(most * len(attrs) + 1).collect()
+    sets: dict = {a: [r["value"] for r in found if r["no"] == i] for i, a in enumerate(attrs)}
     for a in attrs:
-        if len(sets[a]) > most:
-            raise ValueError(f"{a} has {len(sets[a])} values; at most {most} make a domain")
+        if len(sets[a]) > most or len(found) > most * len(attrs):
+            raise ValueError(f"{a} has {len(sets[a])} values or more; at most {most} make a domain")
     return CellDictionary({a: [v for v in (order or {}).get(a, sorted(sets[a]))] for a in attrs})
 
 
@@ -151,7 +154,7 @@ def value_bitmaps(cells: DataFrame, dictionary: CellDictionary) -> DataFrame:
 
 def match_counts_by_bitmap(bitmaps: DataFrame, quotas: DataFrame) -> DataFrame:
     """query_id, n_cells: how many cells are relevant, by OR over an attribute's needed values and AND over attributes."""
-    asked = quotas.where("need > 0").join(F.broadcast(bitmaps), ["attr", "value"])
+    asked = quotas.where("need > 0").join(bitmaps, ["attr", "value"])
     either = asked.groupBy("query_id", "attr", "bucket").agg(F.bitmap_or_agg("bits").alias("bits"))
     m = quotas.where("need > 0").groupBy("query_id").agg(F.count_distinct("attr").alias("m_"))
     both = either.groupBy("query_id", "bucket").agg(F.count(F.lit(1)).alias("n_"), F.bitmap_and_agg("bits").alias("bits")).join(m, "query_id")

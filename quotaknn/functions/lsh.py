@@ -7,7 +7,7 @@ the smaller one as its beginning, and the way rows are dealt over tasks cannot c
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 from pyspark.sql import Column
@@ -28,6 +28,10 @@ class Family:
     width: float = 1.0
     seed: int = 42
 
+    def prefix(self, hashes: int) -> "Family":
+        """The family whose keys join only the first hashes of each table."""
+        return replace(self, hashes=min(hashes, self.hashes))
+
     def projections(self) -> tuple[np.ndarray, np.ndarray]:
         """(tables, hashes, dim) directions and (tables, hashes) offsets."""
         a, b = np.empty((self.tables, self.hashes, self.dim)), np.empty((self.tables, self.hashes))

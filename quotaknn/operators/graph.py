@@ -1,7 +1,8 @@
 """Proximity-graph rivals: one graph over all records with a filter while walking, or a graph for each cell large enough.
 
 Edges are a table. A walk serves all queries at once: the beams are a table, each hop one join with the edges, and the beam
-is cut to its width by a window. Hops end when no beam holds an unexpanded node; only that one number reaches the driver.
+is cut to its width by a window. Hops end when no beam holds an unexpanded node, however many that takes (each expands at
+least one node of a finite graph); only that one number reaches the driver.
 """
 
 from __future__ import annotations
@@ -50,9 +51,10 @@ def knn_edges(index: Index, degree: int, per_cell: bool = False, min_cell: int =
     return pairs.withColumn("rank_", rank).where(F.col("rank_") <= degree).drop("rank_")
 
 
-def pruned(index: Index, near: DataFrame, degree: int, alpha: float) -> DataFrame:
+def pruned(index: Index, near: DataFrame, degree: int, alpha: float, hub: int | None = None) -> DataFrame:
     """Edges both ways, without those that a shorter kept edge makes needless: b is dropped where some kept c has
-    alpha * dist(c, b) < dist(node, b). At most `degree` for each node."""
+    alpha * dist(c, b) < dist(node, b). At most `degree` for each node. `hub` bounds the edges of a node that are looked at (its
+    nearest), for collections in which single records are near to very many; None looks at all."""
     both = near.unionByName(near.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "dist")).distinct()
     rows = both.join(index.vectors.select(F.col("rec_id").alias("dst"), "vec"), "dst")
     metric = index.metric
@@ -67,15 +69,16 @@ def pruned(index: Index, near: DataFrame, degree: int, alpha: float) -> DataFram
                 kept.append(i)
         return pdf.iloc[kept][["src", "dst", "dist"]]
 
-    # a hub's own list is cut to its nearest before it meets in one place
-    rank = F.row_number().over(Window.partitionBy("src").orderBy("dist", "dst"))
-    rows = rows.withColumn("rank_", rank).where(F.col("rank_") <= 8 * degree).drop("rank_")
+    if hub:
+        # a hub's own list is cut to its nearest before it meets in one place
+        rank = F.row_number().over(Window.partitionBy("src").orderBy("dist", "dst"))
+        rows = rows.withColumn("rank_", rank).where(F.col("rank_") <= hub).drop("rank_")
     return rows.groupBy("src").applyInPandas(run, "src long, dst long, dist double")
 
 
-def build(index: Index, degree: int = 8, per_cell: bool = False, min_cell: int = 16, alpha: float = 1.0, candidates: str = "exact") -> Graph:
+def build(index: Index, degree: int = 8, per_cell: bool = False, min_cell: int = 16, alpha: float = 1.0, candidates: str = "exact", hub: int | None = None) -> Graph:
     near = knn_edges(index, degree, per_cell, min_cell if per_cell else 0, candidates)
-    edges = cut(pruned(index, near, degree, alpha), "edges")
+    edges = cut(pruned(index, near, degree, alpha, hub), "edges")
     scope = F.col("cell_code") if per_cell else F.lit(0).cast("long")
     dims = index.vectors.select(scope.alias("scope"), F.posexplode("vec").alias("i", "x"))
     centre = dims.groupBy("scope", "i").agg(F.avg("x").alias("x")).groupBy("scope").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("c_"))
@@ -84,7 +87,7 @@ def build(index: Index, degree: int = 8, per_cell: bool = False, min_cell: int =
     return Graph(edges, cut(medoid, "entries"), per_cell, min_cell)
 
 
-def walk(graph: Graph, index: Index, queries: DataFrame, starts: DataFrame, allowed: DataFrame | None, ef: int, strict: bool = False, hops: int = 64) -> DataFrame:
+def walk(graph: Graph, index: Index, queries: DataFrame, starts: DataFrame, allowed: DataFrame | None, ef: int, strict: bool = False) -> DataFrame:
     """query_id, scope, rec_id, dist, accepted: all nodes visited from `starts` (query_id, scope, rec_id). `allowed`
     (query_id, cell_code) tells which nodes may be results; strict walks do not expand the others either."""
     vec = index.vectors.select("rec_id", "vec", "cell_code")
@@ -99,7 +102,7 @@ def walk(graph: Graph, index: Index, queries: DataFrame, starts: DataFrame, allo
 
     beam_order = Window.partitionBy("query_id", "scope").orderBy("dist", "rec_id")
     seen = cut(judged(starts).withColumn("expanded", F.lit(False)).select("query_id", "scope", "rec_id", "dist", "accepted", "expanded"), "beam")
-    for _ in range(hops):
+    while True:
         inside = seen.where("accepted") if strict else seen
         beam = inside.withColumn("rank_", F.row_number().over(beam_order)).where(F.col("rank_") <= ef).drop("rank_")
         front = beam.where("not expanded").select("query_id", "scope", "rec_id")
@@ -121,7 +124,7 @@ def retrieve(graph: Graph, kind: str, index: Index, queries: DataFrame, requests
     if kind == "graph_filtered":
         starts = queries.select("query_id").join(F.broadcast(graph.entries))
         total = requests.select("query_id", "group_id", "quota").distinct().groupBy("query_id").agg(F.sum("quota").alias("k_"))
-        width = max(ef, min(total.agg(F.max("k_")).head()[0] or 0, 64))
+        width = max(ef, total.agg(F.max("k_")).head()[0] or 0)
         seen = walk(graph, index, queries, starts.select("query_id", "scope", "rec_id"), requests, width, strict)
         results = seen.where("accepted").select("query_id", "rec_id", "dist")
         cells = index.vectors.select("rec_id", "cell_code")

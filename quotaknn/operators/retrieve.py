@@ -7,6 +7,8 @@ their distance computed for the query.
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -15,6 +17,7 @@ from quotaknn.functions.cells import match_cells, query_cells
 from quotaknn.functions.distance import distance, distance_block
 from quotaknn.functions.lsh import lsh_keys
 from quotaknn.plans.index import Index
+from quotaknn.plans.lineage import cut
 
 
 def cell_requests(index: Index, quotas: DataFrame, scope: str = "coarse") -> DataFrame:
@@ -75,13 +78,21 @@ def probe(index: Index, queries: DataFrame, requests: DataFrame, delta: float =
     they are met; most_collisions: those met in most tables. probes > 1 also looks into that many neighbouring buckets on
     each side of the last hash."""
     family = index.family
-    keys = queries.select("query_id", F.posexplode(lsh_keys(family)(F.col("qvec"))).alias("table_no", "bucket"))
+    planned = "hashes" in index.cells.columns
+    lengths = range(1, family.hashes + 1) if planned else [family.hashes]
+    own = [queries.select("query_id", F.lit(n).alias("hashes"), F.posexplode(lsh_keys(family.prefix(n))(F.col("qvec"))).alias("table_no", "bucket")) for n in lengths]
+    keys = reduce(DataFrame.unionByName, own)
     if probes > 1:
         around = F.explode(F.sequence(F.lit(1 - probes), F.lit(probes - 1)))
-        keys = keys.withColumn("off_", around).select("query_id", "table_no", (F.col("bucket") + F.col("off_")).alias("bucket"))
-    wanted = requests.select("query_id", "group_id", "cell_code", "quota").join(keys, "query_id")
-    met = index.postings.join(wanted, ["cell_code", "table_no", "bucket"])
-    met = met.groupBy("query_id", "group_id", "rec_id").agg(F.min("table_no").alias("first_"), F.count(F.lit(1)).alias("times_"), F.first("quota").alias("quota"))
+        keys = keys.withColumn("off_", around).select("query_id", "hashes", "table_no", (F.col("bucket") + F.col("off_")).alias("bucket"))
+    wanted = requests.select("query_id", "group_id", "cell_code", "quota")
+    if planned:  # each cell is asked by keys as long as its own
+        wanted = wanted.join(index.cells.select("cell_code", "hashes"), "cell_code").join(keys, ["query_id", "hashes"])
+    else:
+        wanted = wanted.join(keys, "query_id")
+    # the same posting twice, as after an append that was tried again, is one
+    met = index.postings.join(wanted.drop("hashes"), ["cell_code", "table_no", "bucket"])
+    met = met.groupBy("query_id", "group_id", "rec_id").agg(F.min("table_no").alias("first_"), F.count_distinct("table_no", "bucket").alias("times_"), F.first("quota").alias("quota"))
     met = _without(met, exclude)
     if not cap:
         return met.select("query_id", "group_id", "rec_id", "quota")
@@ -113,20 +124,25 @@ def cell_lsh(index: Index, queries: DataFrame, requests: DataFrame, delta: float
         rows = index.vectors.select("rec_id", "cell_code").join(again, "cell_code").drop("cell_code")
         met = met.unionByName(_without(rows, exclude)).dropDuplicates(["query_id", "group_id", "rec_id"])
     found = with_distance(met.join(index.vectors.select("rec_id", "vec"), "rec_id"), index, queries).select("query_id", "group_id", "rec_id", "dist", "quota")
+    found = cut(found, "met")  # read by both results
     return nearest(found, most_asked(requests)), scan_counts(found)
 
 
-def exhaustive_blocks(index: Index, queries: DataFrame, requests: DataFrame, most_queries: int = 5_000, exclude: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+def exhaustive_blocks(index: Index, queries: DataFrame, requests: DataFrame, most_queries: int = 5_000, most_requests: int = 2_000_000, exclude: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """The same as exhaustive, with distances by matrix products: each batch of vectors meets the whole batch of queries
-    (checked to be at most `most_queries`) and keeps its own nearest of each group, so little is shuffled."""
+    (checked to be at most `most_queries`, their requests at most `most_requests`) and keeps its own nearest of each group, and
+    as many more as the query excludes, so little is shuffled."""
     asked = queries.select("query_id", "qvec").limit(most_queries + 1).collect()
-    if len(asked) > most_queries:
-        raise ValueError(f"more than {most_queries} queries in a batch")
+    wanted = requests.select("query_id", "group_id", "cell_code", "quota").limit(most_requests + 1).collect()
+    if len(asked) > most_queries or len(wanted) > most_requests:
+        raise ValueError(f"more than {most_queries} queries or {most_requests} requests in a batch; use exhaustive or smaller batches")
     ids = [r["query_id"] for r in asked]
+    number = {k: i for i, k in enumerate(ids)}
     q = np.array([r["qvec"] for r in asked], float)
+    more = {} if exclude is None else {r["query_id"]: r["n"] for r in exclude.join(queries.select("query_id"), "query_id").groupBy("query_id").agg(F.count(F.lit(1)).alias("n")).collect()}
     wants: dict = {}
-    for r in requests.select("query_id", "group_id", "cell_code", "quota").collect():
-        wants.setdefault(r["cell_code"], []).append((ids.index(r["query_id"]), r["group_id"], r["quota"]))
+    for r in wanted:
+        wants.setdefault(r["cell_code"], []).append((number[r["query_id"]], r["group_id"], r["quota"], r["quota"] + more.get(r["query_id"], 0)))
     shared = index.spark.sparkContext.broadcast((ids, q, wants))
     metric = index.metric
 
@@ -143,10 +159,11 @@ def exhaustive_blocks(index: Index, queries: DataFrame, requests: DataFrame, mos
                     continue
                 at = np.flatnonzero(cell == c)
                 rows = sorted({w[0] for w in wants[c]})
+                place = {i: n for n, i in enumerate(rows)}
                 d = distance_block(metric, q[rows], x[at])
-                for i, group, quota in wants[c]:
-                    own = d[rows.index(i)]
-                    near = np.lexsort((rec[at], own))[: quota + 1]
+                for i, group, quota, keep in wants[c]:
+                    own = d[place[i]]
+                    near = np.lexsort((rec[at], own))[:keep]
                     for o, v in zip(out, ([ids[i]] * len(near), [group] * len(near), rec[at][near], own[near], [quota] * len(near))):
                         o.extend(v)
             kinds = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.int32()]

@@ -57,7 +57,6 @@ def search(index: Index, queries: DataFrame, quotas: DataFrame, retriever: str =
     else:
         pool = found
     pool = cut(pool_of(index, pool), "pool")
-    scanned = cut(scanned, "scanned")
     seconds = {"retrieve": time.monotonic() - began}
     began = time.monotonic()
     if finish == "direct":
@@ -80,12 +79,12 @@ def search(index: Index, queries: DataFrame, quotas: DataFrame, retriever: str =
         F.when(good, F.col("total_dist")).alias("total_dist"), F.coalesce("pool_rows", F.lit(0)).alias("pool_rows"),
         F.coalesce("scanned", F.lit(0)).alias("scanned"), F.coalesce("short_groups", F.lit(0)).alias("short_groups"), F.coalesce("seconds", F.lit(0.0)).alias("seconds"),
     )
-    status = cut(status, "status")
     ok = status.where("status = 'ok'").select("query_id")
     from pyspark.sql import Window
 
     pos = F.row_number().over(Window.partitionBy("query_id").orderBy("dist", "rec_id"))
-    answer = cut(own.join(ok, "query_id", "left_semi").withColumn("pos", pos).select("query_id", "pos", "rec_id", "dist", *index.attrs), "answer")
+    # status and answer are plans over the small tables written above
+    answer = own.join(ok, "query_id", "left_semi").withColumn("pos", pos).select("query_id", "pos", "rec_id", "dist", *index.attrs)
     seconds["select"] = time.monotonic() - began
     return SearchResult(answer, status, pool, seconds)
 

@@ -6,6 +6,7 @@ i-th record costs its i-th smallest distance, which makes costs convex.
 
 from __future__ import annotations
 
+import heapq
 import time
 from collections import defaultdict
 from itertools import combinations
@@ -15,38 +16,62 @@ INF = float("inf")
 
 def flow(costs: dict, need_a: dict, need_b: dict) -> dict | None:
     """Min-cost flow from values of one attribute to values of another. costs: (a, b) -> increasing distances. Returns
-    (a, b) -> how many, or None where the needs cannot be met. Cheapest augmenting paths, one unit at a time."""
+    (a, b) -> how many, or None where the needs cannot be met.
+
+    Cheapest augmenting paths, one unit at a time. Potentials (each node's distance so far) keep all residual costs at 0 or
+    more, so a heap finds a path without going over arcs again and again."""
     left_a, left_b = dict(need_a), dict(need_b)
-    took = {e: 0 for e in costs}
-    arcs = [e for e in costs if costs[e] and left_a.get(e[0], 0) > 0 and left_b.get(e[1], 0) > 0]
+    took = dict.fromkeys(costs, 0)
+    a_no = {v: i for i, v in enumerate(v for v, n in left_a.items() if n > 0)}
+    b_no = {v: len(a_no) + i for i, v in enumerate(v for v, n in left_b.items() if n > 0)}
+    names = [*a_no, *b_no]
+    m, arcs = len(a_no), [[] for _ in names]
+    for e, own in costs.items():
+        if own and e[0] in a_no and e[1] in b_no:
+            i, j = a_no[e[0]], b_no[e[1]]
+            arcs[i].append((j, e, own))
+            arcs[j].append((i, e, own))
+    lift = [0.0] * len(names)
     for _ in range(sum(need_a.values())):
-        dist = {("a", v): 0.0 for v, n in left_a.items() if n > 0}
-        come: dict = {v: None for v in dist}
-        changed = True
-        while changed:
-            changed = False
-            for a, b in arcs:
-                own, x = costs[a, b], took[a, b]
-                da, db = dist.get(("a", a), INF), dist.get(("b", b), INF)
-                if x < len(own) and da + own[x] < db - 1e-12:
-                    dist["b", b], come["b", b] = da + own[x], ("a", a)
-                    db, changed = da + own[x], True
-                if x > 0 and db - own[x - 1] < da - 1e-12:
-                    dist["a", a], come["a", a], changed = db - own[x - 1], ("b", b), True
-        ends = [(dist["b", b], b) for b, n in left_b.items() if n > 0 and ("b", b) in dist]
-        if not ends:
+        dist, come, done = [INF] * len(names), [None] * len(names), [False] * len(names)
+        heap = []
+        for v, i in a_no.items():
+            if left_a[v] > 0:
+                dist[i] = -lift[i]
+                heap.append((dist[i], i))
+        heapq.heapify(heap)
+        while heap:
+            d, i = heapq.heappop(heap)
+            if done[i]:
+                continue
+            done[i] = True
+            for j, e, own in arcs[i]:
+                x = took[e]
+                if i < m:
+                    if x == len(own):
+                        continue
+                    step = own[x]
+                elif x:
+                    step = -own[x - 1]
+                else:
+                    continue
+                to = d + max(0.0, step + lift[i] - lift[j])
+                if to < dist[j] - 1e-13:
+                    dist[j], come[j] = to, (i, e)
+                    heapq.heappush(heap, (to, j))
+        end = min((j for v, j in b_no.items() if left_b[v] > 0 and dist[j] < INF), key=lambda j: dist[j] + lift[j], default=None)
+        if end is None:
             return None
-        _, b = min(ends)
-        left_b[b] -= 1
-        at = ("b", b)
+        for i, d in enumerate(dist):
+            if d < INF:
+                lift[i] += d
+        left_b[names[end]] -= 1
+        at = end
         while come[at] is not None:
-            prev = come[at]
-            if at[0] == "b":
-                took[prev[1], at[1]] += 1
-            else:
-                took[at[1], prev[1]] -= 1
+            prev, e = come[at]
+            took[e] += 1 if prev < m else -1
             at = prev
-        left_a[at[1]] -= 1
+        left_a[names[at]] -= 1
     return took
 
 

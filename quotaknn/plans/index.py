@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from quotaknn.functions.cells import CellDictionary, build_dictionary
 from quotaknn.functions.lsh import Family, family_for, lsh_keys, plan_cells
-from quotaknn.plans.lineage import bytes_under, shared_path
+from quotaknn.plans.lineage import bytes_under, cut, shared_path
 from quotaknn.sources.catalog import sound
 
 
@@ -44,12 +44,28 @@ def postings_of(coded: DataFrame, family: Family) -> DataFrame:
     return coded.select("cell_code", "rec_id", F.posexplode(keys).alias("table_no", "bucket")).select("cell_code", "table_no", "bucket", "rec_id")
 
 
+def planned_postings(coded: DataFrame, family: Family, cells: DataFrame) -> DataFrame:
+    """Postings by the numbers of each cell, where cells have them (hashes, tables); a new cell takes the family's own."""
+    if "hashes" not in cells.columns:
+        return postings_of(coded, family)
+    plan = cells.select("cell_code", "hashes", "tables")
+    rows = coded.join(plan, "cell_code", "left").select("cell_code", "rec_id", "vec", F.coalesce("hashes", F.lit(family.hashes)).alias("hashes"), F.coalesce("tables", F.lit(family.tables)).alias("tables"))
+    out = None
+    for n in range(1, family.hashes + 1):
+        keys = lsh_keys(family.prefix(n))(F.col("vec"))
+        own = rows.where(F.col("hashes") == n).select("cell_code", "rec_id", "tables", F.posexplode(keys).alias("table_no", "bucket"))
+        own = own.where(F.col("table_no") < F.col("tables")).select("cell_code", "table_no", "bucket", "rec_id")
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
 def build_index(vectors: DataFrame, attrs: list[str], metric: str = "l2", tables: int = 16, hashes: int = 2, width: float = 1.0, seed: int = 42,
                 order: dict | None = None, dim: int | None = None, path: str | None = None, per_cell: dict | None = None, compact: bool = True) -> Index:
     """Build and, with a path or with compact, write the index. Unsound vectors are left out (see catalog.bad_vectors).
 
-    per_cell = {p1, p2, near, delta} plans hashes and tables for each cell by its size; a cell then keeps the first of the
-    family's tables that it needs. A record never changes its cell, as attributes are immutable."""
+    per_cell = {p1, p2, near, delta} plans hashes and tables for each cell by its size; a cell's keys then join the first of
+    the family's hashes that it needs, in the first of its tables. A record never changes its cell, as attributes are
+    immutable."""
     spark, began = vectors.sparkSession, time.monotonic()
     if dim is None:
         head = vectors.where("vec is not null").select(F.size("vec").alias("d")).head()
@@ -67,14 +83,14 @@ def build_index(vectors: DataFrame, attrs: list[str], metric: str = "l2", tables
     coded.repartitionByRange("cell_code", "rec_id").sortWithinPartitions("cell_code", "rec_id").write.parquet(f"{path}/vectors")
     stored = spark.read.schema(coded.schema).parquet(f"{path}/vectors")
     cells = stored.groupBy("cell_code").agg(F.count(F.lit(1)).alias("n_cell"))
+    if per_cell:
+        plan = plan_cells(F.col("n_cell"), **per_cell)
+        cells = cells.select("*", F.least(plan["hashes"], F.lit(hashes)).alias("hashes"), F.least(plan["tables"], F.lit(tables)).alias("tables"))
     cells.write.parquet(f"{path}/cells")
     cells = spark.read.schema(cells.schema).parquet(f"{path}/cells")
     seconds["cells"] = time.monotonic() - began
     began = time.monotonic()
-    postings = postings_of(stored, family)
-    if per_cell:
-        planned = cells.select("cell_code", plan_cells(F.col("n_cell"), **per_cell)["tables"].alias("need_tables"))
-        postings = postings.join(planned, "cell_code").where(F.col("table_no") < F.col("need_tables")).drop("need_tables")
+    postings = planned_postings(stored, family, cells)
     postings.repartitionByRange("table_no", "cell_code", "bucket").sortWithinPartitions("table_no", "cell_code", "bucket").write.parquet(f"{path}/postings")
     postings = spark.read.schema(postings.schema).parquet(f"{path}/postings")
     seconds["postings"] = time.monotonic() - began
@@ -94,16 +110,21 @@ def append_index(index: Index, fresh: DataFrame) -> Index:
     """Add new records to a stored index: only their own keys are computed. Values outside the dictionary count as absent
     until the index is built anew."""
     coded = fresh.where(sound(F.col("vec"), index.family.dim)).select("rec_id", "vec", *index.attrs).withColumn("cell_code", index.dictionary.cell_code())
-    coded.write.mode("append").parquet(f"{index.path}/vectors")
-    postings_of(coded, index.family).write.mode("append").parquet(f"{index.path}/postings")
+    coded = cut(coded, "fresh")
+    # postings and sizes first: a record counts as held once its vector is there, so what a crash cut off is done again
+    planned_postings(coded, index.family, index.cells).write.mode("append").parquet(f"{index.path}/postings")
     sizes = coded.groupBy("cell_code").agg(F.count(F.lit(1)).alias("n_cell"))
+    if "hashes" in index.cells.columns:
+        sizes = sizes.join(index.cells.select("cell_code", "hashes", "tables"), "cell_code", "left").select("cell_code", "n_cell", F.coalesce("hashes", F.lit(index.family.hashes)).alias("hashes"), F.coalesce("tables", F.lit(index.family.tables)).alias("tables"))
     sizes.write.mode("append").parquet(f"{index.path}/cells")
+    coded.write.mode("append").parquet(f"{index.path}/vectors")
     return refreshed(index)
 
 
 def refreshed(index: Index) -> Index:
     again = load_index(index.spark, index.path)
-    again.cells = again.cells.groupBy("cell_code").agg(F.sum("n_cell").alias("n_cell")).where("n_cell > 0")
+    plan = [F.max(c).alias(c) for c in ("hashes", "tables") if c in again.cells.columns]
+    again.cells = again.cells.groupBy("cell_code").agg(F.sum("n_cell").alias("n_cell"), *plan).where("n_cell > 0")
     return again
 
 

@@ -9,9 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_path(spark: SparkSession, name: str) -> str:
-    """A new path under `spark.checkpoint.dir`; where that is unset, as in tests on one machine, a temporary folder."""
+    """A new path under `spark.checkpoint.dir`; where that is unset on one machine, as in tests, a temporary folder."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         base = "file://" + tempfile.mkdtemp(prefix="quotaknn-")
         spark.conf.set("spark.checkpoint.dir", base)
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
@@ -21,7 +23,9 @@ def cut(df: DataFrame, name: str) -> DataFrame:
     """Write and read again: the plan before is not run twice, and a lost executor does not bring it back."""
     path = shared_path(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    table = df.sparkSession.read.schema(df.schema).parquet(path)
+    table.stored_at = path
+    return table
 
 
 def bytes_under(spark: SparkSession, path: str) -> int:
