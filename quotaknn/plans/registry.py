@@ -23,6 +23,8 @@ QUERIES: dict = {}
 SQL: dict[str, str] = {}
 
 N, K = 6, 6
+#: Queries of a batch in the experiments.
+BATCH = 20
 
 
 def register(name: str, sql: str | None = None):
@@ -325,7 +327,7 @@ def index_rows(spark, sf_dir):
 
 def _exact(m: int, k: int = K, relation: str = "V_EMB", **kw):
     def f(spark, sf_dir):
-        index, q, u, x = _setup(spark, sf_dir, relation, m, k=k)
+        index, q, u, x = _setup(spark, sf_dir, relation, m, k=k, compact=False)  # exact search reads no postings
         return _report(search(index, q, u, exclude=x, **({"retriever": "exact"} | kw)))
 
     return f
@@ -349,30 +351,108 @@ def exhaustive_four(spark, sf_dir):
     return _report(search(index, q, u, exclude=x, retriever="exact"))
 
 
-def _lsh_answer(m: int):
-    """SQL of the whole hash-based method with few tables: its own pool, then the same program over cells."""
+TABLES, DELTA = 16, 0.1
+EXTRA = lsh.inspect_budget(0, TABLES, DELTA)
+
+
+def _lsh_answer(m: int, tables: int = TABLES, extra: int | None = EXTRA, met: str | None = None) -> str:
+    """SQL of the whole hash-based method: its own pool (at most need + extra met first, by table and record, of a coarse
+    cell), then the same program over cells. `met` replaces which records are met, and in which table first."""
     attrs = ATTRS["V_EMB"][:m]
-    family = lsh.Family("pstable", 64, 4, 2, 1.0)
+    family = lsh.Family("pstable", 64, tables, 2, 1.0)
     p = ", ".join(f"p{i}" for i in range(m))
+    met = met or "select r.query_id, r.rec_id, min(k.table_no) as first_ from rel r join qkeys x using (query_id) join keys k on k.rec_id = r.rec_id and k.table_no = x.table_no and k.bucket = x.bucket group by 1, 2"
+    bound = f"where rn <= kc + {extra}" if extra is not None else ""
     return f"""with recursive {O.base('V_EMB', attrs, N, K)}, {O.projections(family)}, {O.keys(family, 'v', 'rec_id', 'vec')}, {O.keys(family, 'q', 'query_id', 'qvec', 'qkeys')},
 {O.pool(attrs).split('ranked as')[0]}
-met as (select distinct r.* from rel r join qkeys x using (query_id) join keys k on k.rec_id = r.rec_id and k.table_no = x.table_no and k.bucket = x.bucket),
+met0 as ({met}),
+met as (select * from (select r.*, row_number() over (partition by query_id, {p} order by first_, rec_id) as rn from rel r join met0 using (query_id, rec_id)) {bound}),
 ranked as (select *, row_number() over (partition by query_id, {p} order by dist, rec_id) as rk from met),
 pool as (select *, dense_rank() over (partition by query_id order by {p}) as cell from ranked where rk <= kc),
 {O.solve(attrs)} {O.ANSWERS}"""
 
 
-def _lsh(m: int, **kw):
+def _lsh(m: int, tables: int = TABLES, options: dict | None = None, **kw):
     def f(spark, sf_dir):
-        index, q, u, x = _setup(spark, sf_dir, m=m, tables=4)
-        return _report(search(index, q, u, exclude=x, options={"cap": False}, **kw))
+        index, q, u, x = _setup(spark, sf_dir, m=m, tables=tables)
+        return _report(search(index, q, u, exclude=x, options={"delta": DELTA} | (options or {}), **kw))
 
     return f
 
 
 register("quota_knn_1", _lsh_answer(1))(_lsh(1))
 register("quota_knn_2", _lsh_answer(2))(_lsh(2))
-register("quota_knn_m", _lsh_answer(3))(_lsh(3, selector="multi"))
+register("quota_knn_m", _lsh_answer(3))(_lsh(3, selector="multi", select_options={"method": "bnb"}))
+register("quota_knn_few_tables", _lsh_answer(2, 4, 4))(_lsh(2, 4, {"delta": 2.0}))
+
+_BESIDE = "select r.query_id, r.rec_id, min(k.table_no) as first_ from rel r join qkeys x using (query_id) join keys k on k.rec_id = r.rec_id and k.table_no = x.table_no and k.bucket between x.bucket - 1 and x.bucket + 1 group by 1, 2"
+register("quota_knn_multi_probe", _lsh_answer(2, 4, None, _BESIDE))(_lsh(2, 4, {"cap": False, "probes": 2}))
+
+
+_SMALL, _MET = 8, _probe_cte(4, None)
+_SIZED = _MET + ", sized as (select cell_code, count(*) as n_cell from coded group by 1)"
+_FAR = ", far as (select b.*, list_distance(v.vec, q.qvec) as dist from both_ b join v using (rec_id) join q using (query_id)), near as (select *, row_number() over (partition by query_id, group_id order by dist, rec_id) as r2 from far) select query_id, rec_id, round(dist, 6) as dist from near where r2 <= quota"
+
+
+def _scans(**options):
+    def f(spark, sf_dir):
+        index, q, u, x = _setup(spark, sf_dir, tables=4)
+        found, _ = retrieve.cell_lsh(index, q, cut(retrieve.cell_requests(index, u), "requests"), cap=False, exclude=x, **options)
+        return found.select("query_id", "rec_id", F.round("dist", 6).alias("dist"))
+
+    return f
+
+
+register("lsh_scan_small_cells", _SIZED + f", both_ as (select query_id, group_id, rec_id, quota from met union select r.query_id, r.group_id, c.rec_id, r.quota from req r join sized s using (cell_code) join coded c using (cell_code) join q on q.query_id = r.query_id and q.src <> c.rec_id where s.n_cell <= {_SMALL})" + _FAR)(_scans(scan_below=_SMALL))
+register("lsh_scan_short_groups", _SIZED + """, held as (select query_id, group_id, count(*) as h from met group by 1, 2), asked_ as (select query_id, group_id, sum(n_cell) as n, max(quota) as quota from req join sized using (cell_code) group by 1, 2),
+short as (select query_id, group_id from asked_ left join held using (query_id, group_id) where coalesce(h, 0) < least(n, quota)),
+both_ as (select query_id, group_id, rec_id, quota from met union select r.query_id, r.group_id, c.rec_id, r.quota from req r join short using (query_id, group_id) join coded c using (cell_code) join q on q.query_id = r.query_id and q.src <> c.rec_id)""" + _FAR)(_scans(on_short="scan"))
+
+_PLAN = {"p1": 0.9, "p2": 0.3, "near": 2, "delta": 0.5}
+
+
+def _planned_sql(m: int, tables: int, hashes: int) -> str:
+    """Keys as long as each cell plans, in as many tables; the answer from what is met so."""
+    attrs = ATTRS["V_EMB"][:m]
+    names = ", ".join(attrs)
+    family = lsh.Family("pstable", 64, tables, hashes, 1.0)
+    power = " ".join(f"when {i} then {lsh.BASE ** i}" for i in range(hashes))
+    lengths = ", ".join(f"({n})" for n in range(1, hashes + 1))
+    rho = lsh.rho(_PLAN["p1"], _PLAN["p2"])
+    one = lambda rows, key, vec, name: f"""{name} as (select {key}, table_no, hashes, cast(sum(h * case hashes - 1 - hash_no {power} end) as bigint) as bucket
+  from (select x.{key}, p.table_no, p.hash_no, cast(floor((list_dot_product(x.{vec}, p.a::double[]) + p.b) / {family.width!r}) as bigint) as h from {rows} x, proj p), (values {lengths}) l(hashes) where hash_no < hashes group by all)"""
+    planned = f"""planned as (select {names}, least({hashes}, greatest(1, cast(ceil(ln(count(*)) / {math.log(1 / _PLAN['p2'])!r}) as integer))) as hashes,
+  least({tables}, case when count(*) <= 1 then 1 else greatest(1, cast(ceil(pow(count(*), {rho!r}) * {math.log(2 * _PLAN['near'] / _PLAN['delta'])!r}) as integer)) end) as tables from v group by all)"""
+    met = f"""select r.query_id, r.rec_id, min(k.table_no) as first_ from rel r join v using (rec_id) join planned n using ({names}) join keys_ k on k.rec_id = r.rec_id and k.hashes = n.hashes and k.table_no < n.tables
+  join qkeys_ x on x.query_id = r.query_id and x.hashes = k.hashes and x.table_no = k.table_no and x.bucket = k.bucket group by 1, 2"""
+    text = _lsh_answer(m, 1, None, met)
+    head, tail = text.split("met0 as (", 1)
+    return f"{head.replace(O.projections(lsh.Family('pstable', 64, 1, 2, 1.0)), O.projections(family))}{one('v', 'rec_id', 'vec', 'keys_')}, {one('q', 'query_id', 'qvec', 'qkeys_')}, {planned},\nmet0 as ({tail}"
+
+
+@register("quota_knn_planned_cells", _planned_sql(2, 6, 3))
+def quota_knn_planned_cells(spark, sf_dir):
+    """Hashes and tables planned for each cell by its size."""
+    index, q, u, x = _setup(spark, sf_dir, m=2, tables=6, hashes=3, per_cell=_PLAN)
+    return _report(search(index, q, u, exclude=x, options={"cap": False}))
+
+
+def _mixed_sql() -> str:
+    attrs, parts = ATTRS["V_EMB"], []
+    for m in (1, 2, 3):
+        own = ", ".join(f"'{a}'" for a in attrs[:m])
+        base = O.base("V_EMB", attrs, N, K).replace("quotas as (", "quotas0 as (") + f", quotas as (select * from quotas0 where attr in ({own}) and query_id % 3 = {m - 1})"
+        parts.append(f"(with recursive {base}, {O.pool(attrs[:m])}, {O.solve(attrs[:m])} {O.ANSWERS} where q.query_id % 3 = {m - 1})")
+    return "select * from (" + " union all ".join(parts) + ")"
+
+
+@register("select_mixed_batch", _mixed_sql())
+def select_mixed_batch(spark, sf_dir):
+    """One batch whose queries constrain one, two or three attributes, each by its own selector."""
+    index, q, u, x = _setup(spark, sf_dir)
+    number = F.element_at(F.create_map(*[F.lit(v) for i, a in enumerate(index.attrs) for v in (a, i)]), F.col("attr"))
+    own = cut(u.where(number <= F.col("query_id") % 3), "quotas")
+    return _report(search(index, q, own, exclude=x, retriever="exact"))
 
 
 @register("pair_feasible", f"with {O.base('V_EMB', ATTRS['V_EMB'][:2], N, K)} select query_id, query_id % 2 = 0 as feasible from q")
@@ -524,14 +604,21 @@ def daf_report(spark, sf_dir):
 
 # experiments ---------------------------------------------------------------------------------------------------------
 
-register("exp_plain_retrieval")(lambda s, d: W.plain_retrieval(s, 4_000, 5))
-register("exp_quality_by_k")(lambda s, d: W.by_k(s, d, "V_EMB", (5, 10), 5, 64))
-register("exp_quality_by_m")(lambda s, d: W.by_m(s, d, ms=(1, 3, 5), n=4, k=5, tables=64, with_graphs=False))
-register("exp_graphs_by_m")(lambda s, d: W.by_m(s, d, ms=(2, 4), n=3, k=5, tables=32, with_graphs=True, policies={"cell_lsh": {"retriever": "lsh"}}))
-register("exp_quality_by_tables")(lambda s, d: W.by_parameter(s, d, "V_COR", (4, 32), n=5, policies=W.POLICIES))
-register("exp_quality_by_width")(lambda s, d: W.by_parameter(s, d, "V_COR", (16,), (0.5, 2.0), n=5, policies={"cell_lsh": {"retriever": "lsh"}}))
-register("exp_query_times")(lambda s, d: W.query_times(s, d, ks=(10,), n=5))
-register("exp_selection_times")(lambda s, d: W.selection_times(s, d, (1, 2, 3), 10, 4))
-register("exp_flow_or_integer")(lambda s, d: W.flow_or_integer(s, d, (5, 10), 4))
-register("exp_scanned_share")(lambda s, d: W.scanned_by(s, 3_000, (1, 3), (5,), 3))
-register("exp_index_costs")(lambda s, d: W.index_costs(s, d, ("V_EMB",), ((4, 2), (16, 2))))
+SIX = {
+    f"{policy}_{name}": {"retriever": retriever, "policy": policy}
+    for policy in ("per_attribute", "independence") for name, retriever in (("lsh", "lsh"), ("filtered", "graph_filtered"), ("collection", "graph_collection"))
+}
+register("exp_plain_retrieval")(lambda s, d: W.plain_retrieval(s, 6_000, 10))
+register("exp_plain_retrieval_swept")(lambda s, d: W.plain_swept(s, 2_000, 5))
+register("exp_quality_by_k")(lambda s, d: W.by_k(s, d, "V_EMB", (5, 10, 20), BATCH, 64))
+register("exp_ratio_by_k")(lambda s, d: W.by_k(s, d, "V_LINE", (5, 20), 10, 16, policies={"cell_lsh": {"retriever": "lsh"}, **W.GRAPHS}, sample=1_500))
+register("exp_quality_by_m")(lambda s, d: W.by_m(s, d, ms=(1, 3, 5), n=BATCH, k=5, tables=128, with_graphs=False))
+register("exp_graphs_by_m")(lambda s, d: W.by_m(s, d, ms=(2, 4, 5), n=4, k=5, tables=32, with_graphs=True, policies={"cell_lsh": {"retriever": "lsh"}}))
+register("exp_policy_grid")(lambda s, d: W.by_m(s, d, "V_COR", (2,), 4, 6, 32, with_graphs=True, policies={"cell_lsh": {"retriever": "lsh"}, **SIX}))
+register("exp_quality_by_tables")(lambda s, d: W.by_parameter(s, d, "V_COR", (4, 32, 128), n=BATCH, policies=W.POLICIES))
+register("exp_quality_by_width")(lambda s, d: W.by_parameter(s, d, "V_COR", (16,), (0.5, 2.0), n=BATCH, policies=W.POLICIES))
+register("exp_query_times")(lambda s, d: W.query_times(s, d, ks=(5, 20), n=BATCH))
+register("exp_selection_times")(lambda s, d: W.selection_times(s, d, (1, 2, 3), 20, BATCH))
+register("exp_flow_or_integer")(lambda s, d: W.flow_or_integer(s, d, (5, 10, 20, 40), BATCH))
+register("exp_scanned_share")(lambda s, d: W.scanned_by(s, 10_000, (1, 3), (5, 20), 10))
+register("exp_index_costs")(lambda s, d: W.index_costs(s, d, ("V_EMB", "V_DOC"), ((4, 2), (16, 2), (16, 4))))

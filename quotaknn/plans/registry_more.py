@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -175,8 +177,8 @@ def rel_unpivot(spark, sf_dir):
     return o.unpivot("o_orderkey", ["status", "priority"], "attr", "value")
 
 
-register("exp_times_by_relation")(lambda s, d: W.times_by_relation(s, d, ("V_EMB", "V_DOC"), 10, 2, 3))
-register("exp_metrics")(lambda s, d: W.by_metric(s, d, 4))
+register("exp_times_by_relation")(lambda s, d: W.times_by_relation(s, d, ("V_EMB", "V_LINE", "V_DOC"), 20, 3, 20))
+register("exp_metrics")(lambda s, d: W.by_metric(s, d, 20))
 register("exp_passages_as_queries")(lambda s, d: W.passages_as_queries(s, d))
 register("exp_near_recall")(lambda s, d: W.near_recall(s, d))
 
@@ -251,6 +253,11 @@ def sql_centroids(spark, sf_dir):
 # streams -------------------------------------------------------------------------------------------------------------
 
 
+def _plain_time(rows):
+    """Watermarks need instants: a wall clock is read as UTC."""
+    return rows.withColumn("ts", F.expr("cast(convert_timezone('UTC', current_timezone(), ts) as timestamp)")) if dict(rows.dtypes)["ts"] == "timestamp_ntz" else rows
+
+
 def _events(spark, sf_dir):
     rows = E.read_stream(spark, f"{sf_dir.rstrip('/')}/events.parquet*", table(spark, sf_dir, "events").schema)
     if dict(rows.dtypes)["ts"] == "timestamp_ntz":  # watermarks need instants: the wall clock is read as UTC
@@ -297,6 +304,21 @@ def stream_interval_join(spark, sf_dir):
     return E.run_to_end(E.followed(e.where("event_type = 'click'"), e.where("event_type = 'purchase'")), "join")
 
 
+@register("stream_late_rows", """with cut as (select epoch_us(min(ts)) + (epoch_us(max(ts)) - epoch_us(min(ts))) // 2 as mid from events),
+part as (select case when epoch_us(ts) < mid then 2 else event_id % 2 end as batch, ts from events, cut), first_ as (select max(ts) as last from part where batch = 0)
+select cast(batch as bigint) as batch, count(*) as rows, count(*) filter (batch = 2 and ts <= date_trunc('millisecond', last) - interval '2 hours') as late_rows from part, first_ group by 1""")
+def stream_late_rows(spark, sf_dir):
+    """The later half of the events arrives first, in two batches: most of the other half is behind the watermark, which
+    counts from the batch after the next."""
+    e = _plain_time(table(spark, sf_dir, "events")).select("event_id", "ts")
+    mid = e.agg(F.expr("unix_micros(min(ts)) + (unix_micros(max(ts)) - unix_micros(min(ts))) div 2")).head()[0]
+    path = shared_path(spark, "halves")
+    for part in (f"unix_micros(ts) >= {mid} and event_id % 2 = 0", f"unix_micros(ts) >= {mid} and event_id % 2 = 1", f"unix_micros(ts) < {mid}"):
+        e.where(part).coalesce(1).write.mode("append").parquet(path)
+        time.sleep(1.1)  # files are taken in the order of their times
+    return E.late_rows(E.read_stream(spark, path, e.schema), ["event_id"])
+
+
 @register("stream_running_best", "select start, event_type, value, event_id from (select date_trunc('day', ts) as start, event_type, value, event_id, row_number() over (partition by date_trunc('day', ts), event_type order by value, event_id) as rn from events) where rn <= 3")
 def stream_running_best(spark, sf_dir):
     return _plain(E.running_best(spark, _events(spark, sf_dir), 3))

@@ -14,27 +14,42 @@ from quotaknn.operators.baselines import per_attribute_postings
 from quotaknn.operators.search import search
 from quotaknn.operators.select import select
 from quotaknn.plans.index import build_index, index_bytes
-from quotaknn.plans.lineage import cut
+from quotaknn.plans.lineage import bytes_under, cut
 from quotaknn.sources.catalog import ATTRS, METRIC, vector_relation
 from quotaknn.sources.synth import centre_queries, two_clusters
 
 
+TURN = 4_294_967_291
+
+
 def draw_order(query_id: Column, rec_id: Column, seed: int) -> Column:
     """A pseudo-random order of records for each query, in whole numbers that other engines can follow."""
-    return F.pmod(F.pmod(rec_id, F.lit(1_000_003)) * 2_654_435_761 + query_id * 40_503_017 + F.lit(seed), F.lit(4_294_967_291))
+    return F.pmod(F.pmod(rec_id, F.lit(1_000_003)) * 2_654_435_761 + query_id * 40_503_017 + F.lit(seed), F.lit(TURN))
 
 
-def feasible_queries(vectors: DataFrame, attrs: list[str], n: int, k: int, seed: int = 1, sample_rate: float = 1.0, minority: bool = False) -> tuple[DataFrame, DataFrame, DataFrame]:
+def feasible_queries(vectors: DataFrame, attrs: list[str], n: int, k: int, seed: int = 1, minority: bool = False) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(queries, quotas, exclude): n queries that k records drawn at random satisfy, for sure, together. The counts are those
     records' own; the vector is that of one more record, which the query must not return.
 
-    Draws are made from a share of the records (`sample_rate`), so that n draws over a large collection stay small. minority
-    prefers records of small cells."""
+    A query's order of the records is one fixed order of all, turned by a number of its own: so it only meets the few records
+    of the ranges from there on, not every record. minority prefers records of small cells, in an order for each query."""
     rows = vectors.where(" and ".join(f"{a} is not null" for a in attrs) or "true").select("rec_id", *attrs)
-    if sample_rate < 1:
-        rows = rows.where(F.pmod(F.xxhash64("rec_id", F.lit(seed)), F.lit(1 << 20)) < int(sample_rate * (1 << 20)))
-    drawn = rows.join(F.broadcast(vectors.sparkSession.range(n).withColumnRenamed("id", "query_id")))
+    asked = vectors.sparkSession.range(n).withColumnRenamed("id", "query_id")
     order = draw_order(F.col("query_id"), F.col("rec_id"), seed)
+    total = rows.count()
+    parts = total // (16 * (k + 1))
+    if parts < 4 or minority:
+        drawn = rows.join(F.broadcast(asked))
+    else:
+        part = lambda at: F.floor(at * parts / float(TURN)).cast("long")
+        dealt = rows.withColumn("part_", part(draw_order(F.lit(0), F.col("rec_id"), 0)))
+        turn = F.pmod(F.lit(TURN) - F.pmod(F.col("query_id") * 40_503_017 + F.lit(seed), F.lit(TURN)), F.lit(TURN))
+        near = asked.withColumn("part_", F.explode(F.array(*[F.pmod(part(turn) + i, F.lit(parts)) for i in range(3)])))
+        # the three ranges hold 48 (k + 1) records on average, of which those of the first may lie behind the turn
+        drawn = dealt.join(F.broadcast(near), "part_").where(order < 2 * TURN // parts).drop("part_")
+        full = drawn.groupBy("query_id").agg(F.count(F.lit(1)).alias("n_")).where(F.col("n_") > k).select("query_id")
+        short = asked.join(full, "query_id", "left_anti")
+        drawn = drawn.join(full, "query_id", "left_semi").select("rec_id", *attrs, "query_id").unionByName(rows.join(F.broadcast(short)))
     if minority:
         sizes = rows.groupBy(*attrs).agg(F.count(F.lit(1)).alias("n_"))
         drawn = drawn.join(sizes, attrs)
@@ -86,20 +101,25 @@ POLICIES = {
 GRAPHS = {"graph_filtered_quota": {"retriever": "graph_filtered"}, "graph_collection_fair": {"retriever": "graph_collection"}}
 
 
-def rivals(index) -> dict:
-    return {"graph_filtered": graphs.build(index, 8), "graph_collection": graphs.build(index, 8, per_cell=True)}
+def rivals(index, candidates: str = "exact") -> dict:
+    return {"graph_filtered": graphs.build(index, 8, candidates=candidates), "graph_collection": graphs.build(index, 8, per_cell=True, candidates=candidates)}
 
 
-def by_k(spark: SparkSession, sf_dir: str, relation: str, ks=(5, 10, 20), n: int = 8, tables: int = 128, m: int = 3, policies: dict | None = None, with_graphs: bool = False, width: float = 1.0) -> DataFrame:
-    """Quality by k: distance ratio, recall, answered share, share scanned."""
+def by_k(spark: SparkSession, sf_dir: str, relation: str, ks=(5, 10, 20), n: int = 8, tables: int = 128, m: int = 3, policies: dict | None = None, width: float = 1.0, candidates: str = "exact", sample: int | None = None) -> DataFrame:
+    """Quality by k: distance ratio, recall, answered share, share scanned. `sample` makes the collection about that many of
+    the relation's records (a stated size of the experiment, as graphs over all of them take long)."""
     attrs = ATTRS[relation][:m]
-    vectors = cut(vector_relation(spark, sf_dir, relation), "vectors")
+    vectors = vector_relation(spark, sf_dir, relation)
+    if sample:
+        vectors = vectors.where(F.pmod(F.xxhash64("rec_id"), F.lit(1 << 20)) < int(min(1.0, sample / max(vectors.count(), 1)) * (1 << 20)))
+    vectors = cut(vectors, "vectors")
     index = build_index(vectors, attrs, METRIC.get(relation, "l2"), tables=tables, width=width)
-    total, graph = vectors.count(), rivals(index) if with_graphs else None
+    total, settings = vectors.count(), policies or POLICIES
+    graph = rivals(index, candidates) if any(s["retriever"].startswith("graph") for s in settings.values()) else None
     out = []
     for k in ks:
-        q, u, x = feasible_queries(vectors, attrs, n, k, sample_rate=min(1.0, 20_000 / max(total, 1)))
-        out += [(k, *row) for row in compare(index, q, u, x, (policies or POLICIES) | (GRAPHS if with_graphs else {}), total, graph)]
+        q, u, x = feasible_queries(vectors, attrs, n, k)
+        out += [(k, *row) for row in compare(index, q, u, x, settings, total, graph)]
     return _rows(spark, out, "k int")
 
 
@@ -153,11 +173,22 @@ def plain_retrieval(spark: SparkSession, n_rows: int = 10_000, n: int = 10, k: i
         found = cut(found, "found")
         seconds = time.monotonic() - began
         hit = truth.join(found.select("query_id", "rec_id"), ["query_id", "rec_id"], "left_semi").count()
-        far = found.groupBy().agg(F.sum("dist")).head()[0] or 0.0
-        best = truth.groupBy().agg(F.sum("dist")).head()[0]
+        # place by place, so that a retriever that finds few does not look near: what is missing tells in `found_share`
+        place = F.row_number().over(Window.partitionBy("query_id").orderBy("dist", "rec_id")).alias("place")
+        both = found.select("query_id", place, F.col("dist").alias("d")).join(truth.select("query_id", place, F.col("dist").alias("t")), ["query_id", "place"])
+        far, best, n_found = both.agg(F.sum("d"), F.sum("t"), F.count(F.lit(1))).head()
         share = (scanned.agg(F.sum("scanned")).head()[0] or 0) / n_rows / n
-        out.append((name, hit / (n * k), float(far / best), float(share), seconds))
-    return spark.createDataFrame(out, "retriever string, recall double, distance_ratio double, scanned_share double, seconds double")
+        out.append((name, hit / (n * k), n_found / (n * k), float(far / best) if best else None, float(share), seconds))
+    return spark.createDataFrame(out, "retriever string, recall double, found_share double, distance_ratio double, scanned_share double, seconds double")
+
+
+def plain_swept(spark: SparkSession, n_rows: int = 10_000, n: int = 10, k: int = 10, efs=(8, 32), degrees=(8, 16), tables=(4, 16)) -> DataFrame:
+    """plain_retrieval over beam widths, out-degrees and numbers of tables."""
+    out = None
+    for ef, degree, t in [(e, d, tables[-1]) for e in efs for d in degrees] + [(efs[0], degrees[0], t) for t in tables[:-1]]:
+        own = plain_retrieval(spark, n_rows, n, k, ef, degree, t).select(F.lit(ef).alias("ef"), F.lit(degree).alias("degree"), F.lit(t).alias("tables"), "*")
+        out = own if out is None else out.unionByName(own)
+    return out
 
 
 def selection_times(spark: SparkSession, sf_dir: str, ms=(1, 2, 3), k: int = 20, n: int = 8) -> DataFrame:
@@ -224,7 +255,7 @@ def index_costs(spark: SparkSession, sf_dir: str, relations=("V_EMB", "V_DOC"),
             began = time.monotonic()
             each = cut(per_attribute_postings(index), "postings")
             seconds_each = time.monotonic() - began + index.seconds["dictionary"]
-            out.append((relation, "per_attribute", t, h, each.count(), size["postings"] * 3 + size["hash_functions"], seconds_each))
+            out.append((relation, "per_attribute", t, h, each.count(), bytes_under(spark, each.stored_at) + size["hash_functions"], seconds_each))
     return spark.createDataFrame(out, "relation string, policy string, tables int, hashes int, posting_rows long, bytes long, seconds double")
 
 
@@ -233,10 +264,9 @@ def query_times(spark: SparkSession, sf_dir: str, relation: str = "V_LINE", m: i
     attrs = ATTRS[relation][:m]
     vectors = cut(vector_relation(spark, sf_dir, relation), "vectors")
     index = build_index(vectors, attrs, METRIC.get(relation, "l2"), tables=tables, width=width, hashes=hashes)
-    total = vectors.count()
     out = []
     for k in ks:
-        q, u, x = feasible_queries(vectors, attrs, n, k, sample_rate=min(1.0, 20_000 / max(total, 1)))
+        q, u, x = feasible_queries(vectors, attrs, n, k)
         for name, kw in {"cell_lsh": {"retriever": "lsh"}, "exhaustive": {"retriever": "exact"}}.items():
             began = time.monotonic()
             got = search(index, q, u, exclude=x, **kw)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from quotaknn.operators.search import search
 from quotaknn.plans.index import Index, append_index
@@ -28,15 +29,31 @@ def run_to_end(stream: DataFrame, name: str, mode: str = "append", checkpoint: s
         return spark.read.schema(stream.schema).parquet(out)
 
     def put(batch: DataFrame, batch_id: int) -> None:
-        batch.withColumn("batch_", F.lit(batch_id)).write.mode("overwrite").parquet(f"{out}/batch={batch_id:012d}")
+        path = f"{out}/b{batch_id:012d}"
+        batch.withColumn("batch_", F.lit(batch_id)).write.mode("overwrite").parquet(path)
+        seen.append(path)
+
+    seen: list[str] = []
 
     q = stream.writeStream.outputMode(mode).foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     q.awaitTermination()
-    rows = spark.read.parquet(f"{out}/batch=*")
+    if not seen:  # the stream had no batch
+        return spark.createDataFrame([], stream.schema)
+    rows = spark.read.parquet(*seen)
     if mode == "complete":
         last = rows.agg(F.max("batch_").alias("batch_"))
-        return rows.join(F.broadcast(last), "batch_").drop("batch_", "batch")
-    return rows.drop("batch")
+        return rows.join(F.broadcast(last), "batch_").drop("batch_")
+    return rows.drop("batch_")
+
+
+def late_rows(events: DataFrame, keys: list[str], late: str = "2 hours") -> DataFrame:
+    """batch, rows, late_rows: how many rows each batch had and how many of them came behind the watermark and were dropped, as
+    the state of a deduplication by `keys` counts them."""
+    spark = events.sparkSession
+    q = deduplicated(events, keys, late).writeStream.format("noop").option("checkpointLocation", shared_path(spark, "late")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    told = [(p["batchId"], p["numInputRows"], sum(s["numRowsDroppedByWatermark"] for s in p["stateOperators"])) for p in q.recentProgress if p["numInputRows"]]
+    return spark.createDataFrame(told, "batch long, rows long, late_rows long")
 
 
 def tumbling(events: DataFrame, length: str = "1 hour", late: str = "2 hours") -> DataFrame:
@@ -95,11 +112,18 @@ def answer_stream(queries: DataFrame, index: Index, checkpoint: str | None = Non
     def put(batch: DataFrame, batch_id: int) -> None:
         needs = F.from_json("needs", "map<string, map<string, int>>")
         long = batch.select("query_id", F.explode(needs).alias("attr", "own")).select("query_id", "attr", F.explode("own").alias("value", "need"))
-        search(index, batch.select("query_id", "qvec"), long, **options).answer.write.mode("overwrite").parquet(f"{out}/batch={batch_id:012d}")
+        path = f"{out}/b{batch_id:012d}"
+        search(index, batch.select("query_id", "qvec"), long, **options).answer.write.mode("overwrite").parquet(path)
+        seen.append(path)
+
+    seen: list[str] = []
 
     q = queries.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.read.parquet(f"{out}/batch=*").drop("batch")
+    if not seen:
+        own = [f for f in index.vectors.schema.fields if f.name in index.attrs]
+        return spark.createDataFrame([], T.StructType([T.StructField("query_id", T.LongType()), T.StructField("pos", T.IntegerType()), T.StructField("rec_id", T.LongType()), T.StructField("dist", T.DoubleType()), *own]))
+    return spark.read.parquet(*seen)
 
 
 def running_best(spark: SparkSession, events: DataFrame, k: int, length: str = "1 day") -> DataFrame:
