@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from quotaknn.operators.solvers import branch, cell_dp, certified, flow, greedy, states_of
+from quotaknn.operators.solvers import TooManyStates, branch, cell_dp, certified, flow, greedy
 
 ANSWER = "query_id long, rec_id long, dist double"
 PICKED = "query_id long, rec_id long, dist double, status string, seconds double, certified boolean"
@@ -86,15 +86,20 @@ def select_pair(pool: DataFrame, quotas: DataFrame, attrs: list[str], certify: b
     return _grouped(pool, quotas, attrs, solve)
 
 
-def select_multi(pool: DataFrame, quotas: DataFrame, attrs: list[str], method: str = "auto", node_limit: int = 200_000, time_limit_s: float = 60.0, dp_states: int = 200_000) -> DataFrame:
-    """Any number of attributes: integer search, or the cell program where its states are few (auto), or one of them."""
+def select_multi(pool: DataFrame, quotas: DataFrame, attrs: list[str], method: str = "auto", node_limit: int = 200_000, time_limit_s: float = 60.0, dp_states: int = 20_000) -> DataFrame:
+    """Any number of attributes: the program over cells up to `dp_states` states and integer search beyond (auto), or one of
+    them. Where few records meet the counts the program ends at once and the search would try everything; where many do, it is
+    the other way round."""
 
     def solve(cells, needs):
         if len({sum(n.values()) for n in needs}) != 1:
             return "invalid", None, None
-        if method == "dp" or method == "auto" and states_of(needs) <= dp_states:
-            got = cell_dp(cells, needs)
-            return ("infeasible", None, None) if got is None else ("ok", got[1], None)
+        if method != "bnb":
+            try:
+                got = cell_dp(cells, needs, dp_states if method == "auto" else None)
+                return ("infeasible", None, None) if got is None else ("ok", got[1], None)
+            except TooManyStates:
+                pass
         status, _, took = branch(cells, needs, node_limit, time_limit_s)
         return status, took, None
 

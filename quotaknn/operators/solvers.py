@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import heapq
 import time
-from collections import defaultdict
+from collections import Counter, defaultdict
 from itertools import combinations
 
 INF = float("inf")
@@ -92,9 +92,14 @@ def certified(costs: dict, took: dict) -> bool:
     return False
 
 
-def cell_dp(cells: list[tuple], needs: list[dict]) -> tuple[float, list[int]] | None:
+class TooManyStates(Exception):
+    pass
+
+
+def cell_dp(cells: list[tuple], needs: list[dict], most: int | None = None) -> tuple[float, list[int]] | None:
     """cells: (values, increasing distances); needs: for each attribute value -> count. Least cost over all cells in turn,
-    with the needs still open as the state; a state that the cells to come cannot serve is dropped."""
+    with the needs still open as the state; a state that the cells to come cannot serve is dropped. Reaching more than `most`
+    states in all raises TooManyStates."""
     index = {(j, v): i for i, (j, v) in enumerate((j, v) for j, own in enumerate(needs) for v, n in own.items() if n > 0)}
     start = tuple(needs[j][v] for j, v in index)
     usable = [(c, [index[j, v] for j, v in enumerate(values)], costs) for c, (values, costs) in enumerate(cells) if all((j, v) in index for j, v in enumerate(values))]
@@ -105,8 +110,11 @@ def cell_dp(cells: list[tuple], needs: list[dict]) -> tuple[float, list[int]] |
         for i in at:
             later[i] += len(costs)
     supply.reverse()
-    states = {start: (0.0, None)}
+    states, reached = {start: (0.0, None)}, 0
     for (c, at, costs), rest in zip(usable, supply):
+        reached += len(states)
+        if most is not None and reached > most:
+            raise TooManyStates
         nxt: dict = {}
         for state, (cost, path) in states.items():
             total = cost
@@ -132,14 +140,6 @@ def cell_dp(cells: list[tuple], needs: list[dict]) -> tuple[float, list[int]] |
     return end[0], took
 
 
-def states_of(needs: list[dict]) -> int:
-    n = 1
-    for own in needs:
-        for v in own.values():
-            n *= v + 1
-    return n
-
-
 class OutOfTime(Exception):
     pass
 
@@ -147,7 +147,8 @@ class OutOfTime(Exception):
 def branch(cells: list[tuple], needs: list[dict], node_limit: int = 200_000, seconds: float = 60.0) -> tuple[str, float, list[int] | None]:
     """Integer search for any number of attributes: (status, cost, counts). The two attributes with the most values stay a
     flow; the others' equations are priced into the costs (a bound for any prices), and prices are improved a few steps at
-    each node. A flow that breaks an equation is branched on a cell with the value concerned."""
+    each node. A flow that breaks an equation is branched on a cell with the value concerned. The first solution known is the
+    greedy one, if that meets the counts."""
     if not needs or not sum(needs[0].values()):
         return "ok", 0.0, [0] * len(cells)
     m = len(needs)
@@ -159,6 +160,11 @@ def branch(cells: list[tuple], needs: list[dict], node_limit: int = 200_000, sec
     live = [i for i, (values, costs) in enumerate(cells) if costs and all(needs[j].get(v, 0) > 0 for j, v in enumerate(values))]
     best, best_took = INF, None
     began, nodes = time.monotonic(), 0
+    records = [(values, d) for values, costs in cells for d in costs]
+    of_cell = [i for i, (_, costs) in enumerate(cells) for _ in costs]
+    first_took = greedy(records, needs, swaps=sum(needs[0].values())) if rest else None
+    if first_took is not None:
+        best, best_took = sum(records[r][1] for r in first_took), dict(Counter(of_cell[r] for r in first_took))
 
     def relaxed(lo: dict, hi: dict, price: dict):
         """Value and counts of the priced flow with lo <= count <= hi, or None."""
@@ -272,25 +278,35 @@ def greedy(records: list[tuple], needs: list[dict], swaps: int = 200) -> list[in
             took.append(i)
             for j, v in enumerate(records[i][0]):
                 left[j][v] -= 1
-    def short(own):
-        counts = [defaultdict(int) for _ in needs]
-        for i in own:
-            for j, v in enumerate(records[i][0]):
-                counts[j][v] += 1
-        return sum(abs(n - counts[j][v]) for j, own_n in enumerate(needs) for v, n in own_n.items()) + sum(c for j, own_c in enumerate(counts) for v, c in own_c.items() if not needs[j].get(v))
+    have = [Counter(records[i][0][j] for i in took) for j in range(len(needs))]
+
+    def gap(j, v, more):
+        return abs(have[j][v] + more - needs[j].get(v, 0))
+
+    def swapped(a, i):
+        """How far the counts are from the needs with the a-th taken record exchanged for record i, against now."""
+        total = 0
+        for j, (old, new) in enumerate(zip(records[took[a]][0], records[i][0])):
+            if old != new:
+                total += gap(j, old, -1) - gap(j, old, 0) + gap(j, new, 1) - gap(j, new, 0)
+        return total
 
     k = sum(needs[0].values())
     spare = [i for i in order if i not in set(took)]
     while len(took) < k and spare:
         took.append(spare.pop(0))
-    for _ in range(swaps):
-        now = short(took)
-        if not now:
+        for own, v in zip(have, records[took[-1]][0]):
+            own[v] += 1
+    for _ in range(swaps + 1):
+        if all(own[v] == n[v] for own, n in zip(have, needs) for v in n) and len(took) == k:
             return sorted(took)
-        trial = min(((short(took[:a] + took[a + 1 :] + [i]), records[i][1], a, i) for a in range(len(took)) for i in spare[:200]), default=None)
-        if trial is None or trial[0] >= now:
+        trial = min(((swapped(a, i), records[i][1], a, i) for a in range(len(took)) for i in spare[:200]), default=None)
+        if trial is None or trial[0] >= 0:
             return None
         _, _, a, i = trial
+        for own, old, new in zip(have, records[took[a]][0], records[i][0]):
+            own[old] -= 1
+            own[new] += 1
         spare.append(took[a])
         spare.remove(i)
         took = took[:a] + took[a + 1 :] + [i]

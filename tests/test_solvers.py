@@ -4,7 +4,8 @@ import random
 
 import pytest
 
-from quotaknn.operators.solvers import branch, cell_dp, certified, enumerate_sets, flow, greedy
+from quotaknn.operators.select import select_multi
+from quotaknn.operators.solvers import TooManyStates, branch, cell_dp, certified, enumerate_sets, flow, greedy
 
 
 def instance(seed, m, records=14, k=4):
@@ -78,3 +79,34 @@ def test_greedy_meets_the_needs():
         got = greedy(rows, needs)
         if got is not None:
             assert sorted(rows[i][0][0] for i in got) == sorted(v for v, n in needs[0].items() for _ in range(n))
+
+
+def test_program_stops_at_its_states_and_the_search_takes_over(spark):
+    rng = random.Random(5)
+    rows = [(0, i, rng.random(), f"x{rng.randrange(3)}", f"y{rng.randrange(3)}", f"z{rng.randrange(3)}") for i in range(60)]
+    needs = [(0, a, f"{a}{v}", 2) for a in "xyz" for v in range(3)]
+    pool = spark.createDataFrame(rows, "query_id long, rec_id long, dist double, x string, y string, z string")
+    quotas = spark.createDataFrame(needs, "query_id long, attr string, value string, need int")
+    totals = {round(sum(r["dist"] for r in select_multi(pool, quotas, ["x", "y", "z"], **kw).collect()), 9) for kw in ({}, {"dp_states": 5}, {"method": "bnb"}, {"method": "dp"})}
+    assert len(totals) == 1
+    cells = [((f"x{a}", f"y{b}", f"z{c}"), [0.1 * a + 0.01 * b + c, 3.0]) for a in range(3) for b in range(3) for c in range(3)]
+    with pytest.raises(TooManyStates):
+        cell_dp(cells, [{f"{n}{v}": 2 for v in range(3)} for n in "xyz"], 5)
+
+
+def test_search_ends_where_few_records_meet_the_counts():
+    """Five attributes, one record of each cell: the greedy solution and the program agree with the search."""
+    rng = random.Random(8)
+    for _ in range(20):
+        cells = sorted({tuple(f"{j}{rng.randrange(2)}" for j in range(5)) for _ in range(14)})
+        cells = [(c, [rng.random()]) for c in cells]
+        chosen = rng.sample(range(len(cells)), 4)
+        needs = [{} for _ in range(5)]
+        for i in chosen:
+            for j, v in enumerate(cells[i][0]):
+                needs[j][v] = needs[j].get(v, 0) + 1
+        want = cell_dp(cells, needs)
+        status, cost, _ = branch(cells, needs)
+        assert status == "ok" and abs(cost - want[0]) < 1e-9
+        got = greedy([(c, d) for c, own in cells for d in own], needs)
+        assert got is None or sum(cells[i][1][0] for i in got) >= want[0] - 1e-9
