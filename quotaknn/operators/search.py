@@ -67,7 +67,7 @@ def search(index: Index, queries: DataFrame, quotas: DataFrame, retriever: str =
     own = picked.where("rec_id is not null").select("query_id", "rec_id", "dist").join(pool.drop("dist"), ["query_id", "rec_id"])
     checked = verify(own, quotas, index.attrs)
     heads = queries.select("query_id")
-    told = picked.groupBy("query_id").agg(F.max(F.when(F.col("status") != "ok", F.col("status"))).alias("told"), F.sum("dist").alias("total_dist"), F.sum("seconds").alias("seconds"))
+    told = picked.groupBy("query_id").agg(F.max(F.when(F.col("status") != "ok", F.col("status"))).alias("told"), F.sum("dist").alias("total_dist"), F.max("seconds").alias("seconds"))
     rows = pool.groupBy("query_id").agg(F.count(F.lit(1)).alias("pool_rows"))
     asked = requests.groupBy("query_id", "group_id").agg(F.max("quota").alias("quota"))
     short = asked.join(found.groupBy("query_id", "group_id").agg(F.count(F.lit(1)).alias("h_")), ["query_id", "group_id"], "left").where(F.coalesce("h_", F.lit(0)) < F.col("quota"))

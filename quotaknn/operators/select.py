@@ -65,7 +65,9 @@ def _grouped(pool: DataFrame, quotas: DataFrame, attrs: list[str], solve) -> Dat
         out["status"], out["seconds"], out["certified"] = status, spent, sure
         return out.astype({"rec_id": "Int64", "dist": "float64"})
 
-    return rows.groupBy("query_id").applyInPandas(run, PICKED)
+    # pools are few bytes but much work: a number of partitions that is named is not merged into fewer tasks at run time
+    parts = int(pool.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return rows.repartition(parts, "query_id").groupBy("query_id").applyInPandas(run, PICKED)
 
 
 def select_pair(pool: DataFrame, quotas: DataFrame, attrs: list[str], certify: bool = False) -> DataFrame:
@@ -87,21 +89,36 @@ def select_pair(pool: DataFrame, quotas: DataFrame, attrs: list[str], certify: b
 
 
 def select_multi(pool: DataFrame, quotas: DataFrame, attrs: list[str], method: str = "auto", node_limit: int = 200_000, time_limit_s: float = 60.0, dp_states: int = 20_000) -> DataFrame:
-    """Any number of attributes: the program over cells up to `dp_states` states and integer search beyond (auto), or one of
-    them. Where few records meet the counts the program ends at once and the search would try everything; where many do, it is
-    the other way round."""
+    """Any number of attributes: integer search (bnb), the program over cells (dp), or both in turn (auto). Where few records
+    meet the counts the program ends at once and the search would try everything; where many do, it is the other way round. So
+    auto gives the program `dp_states` states, then the search a tenth of its time, then the program fifty times as many
+    states, and then the search all its time."""
+
+    def search(cells, needs, seconds):
+        status, _, took = branch(cells, needs, node_limit, seconds)
+        return status, took, None
+
+    def program(cells, needs, most):
+        try:
+            got = cell_dp(cells, needs, most)
+        except TooManyStates:
+            return None
+        return ("infeasible", None, None) if got is None else ("ok", got[1], None)
 
     def solve(cells, needs):
         if len({sum(n.values()) for n in needs}) != 1:
             return "invalid", None, None
-        if method != "bnb":
-            try:
-                got = cell_dp(cells, needs, dp_states if method == "auto" else None)
-                return ("infeasible", None, None) if got is None else ("ok", got[1], None)
-            except TooManyStates:
-                pass
-        status, _, took = branch(cells, needs, node_limit, time_limit_s)
-        return status, took, None
+        if method == "dp":
+            return program(cells, needs, None)
+        if method == "auto":
+            got = program(cells, needs, dp_states)
+            if got is None:
+                got = search(cells, needs, time_limit_s / 10)
+                if got[0] == "timeout":
+                    got = program(cells, needs, 50 * dp_states)
+            if got is not None:
+                return got
+        return search(cells, needs, time_limit_s)
 
     return _grouped(pool, quotas, attrs, solve)
 
