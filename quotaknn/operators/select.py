@@ -66,7 +66,8 @@ def _grouped(pool: DataFrame, quotas: DataFrame, attrs: list[str], solve) -> Dat
         return out.astype({"rec_id": "Int64", "dist": "float64"})
 
     # pools are few bytes but much work: a number of partitions that is named is not merged into fewer tasks at run time
-    parts = int(pool.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    spark = pool.sparkSession
+    parts = min(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
     return rows.repartition(parts, "query_id").groupBy("query_id").applyInPandas(run, PICKED)
 
 
