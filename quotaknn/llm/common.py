@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 MIX = np.uint64(0x9E3779B97F4A7C15)
+#: Bits of a row's number for its place in the file, and the most files whose numbers are broadcast.
+PLACE_BITS, MOST_FILES = 36, 100_000
 
 
 def scratch(spark: SparkSession, name: str) -> str:
@@ -107,8 +109,8 @@ def col(name: str) -> Column:
 def keyed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", *more: str) -> DataFrame:
     """(row_key, doc_id, text, ...): null text is empty; row_key tells repeated rows apart.
 
-    The key comes from the position in the source, so `docs` must be read in the same order each time: a file scan, as
-    here, or a materialised table.
+    The key is a position in this one reading of `docs`: another reading may deal the files otherwise. What reads texts
+    more than once takes placed().
     """
     picked = docs.select(
         col(doc_id).alias("doc_id"), F.coalesce(col(text), F.lit("")).alias("text"), *[col(c).alias(c) for c in more]
@@ -116,6 +118,49 @@ def keyed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", *more: st
     return picked.withColumn("row_key", F.monotonically_increasing_id())
 
 
+def is_scan(docs: DataFrame) -> bool:
+    """Whether each row of `docs` is one row of a Parquet file, so that it has a place there."""
+    plan = docs._jdf.queryExecution().analyzed()
+    if not plan.deterministic():
+        return False
+    while plan.children().size() == 1 and plan.nodeName() in ("Project", "Filter", "SubqueryAlias"):
+        plan = plan.children().head()
+    return plan.children().size() == 0 and "parquet" in plan.toString().lower() and "Relation" in plan.getClass().getSimpleName()
+
+
+def settled(docs: DataFrame) -> DataFrame:
+    """`docs`, written first if it is no scan: its rows have places that stay."""
+    return docs if is_scan(docs) else materialise(docs, "docs")
+
+
+def located(docs: DataFrame) -> tuple[DataFrame, str, str]:
+    """`docs` with the columns file and row at the end (by names it does not have); written first, if it is no scan."""
+    docs = settled(docs)
+    file, row = fresh(docs, "file"), fresh(docs, "row")
+    meta = docs.metadataColumn("_metadata")
+    return docs.select("*", meta["file_path"].alias(file), meta["row_index"].alias(row)), file, row
+
+
+def with_place(docs: DataFrame, name: str) -> DataFrame:
+    """`docs` with a last column `name`, a number of its own for each row: the number of its file in the order of paths, then
+    its place in the file. Readings agree on it however many executors there are and however the files are dealt to them.
+
+    The paths reach the driver, which lists them for each scan anyway; up to `MOST_FILES` are broadcast."""
+    own, file, row = located(docs)
+    paths = sorted(r[0] for r in own.select(col(file)).distinct().collect())
+    number = fresh(own, "number")
+    kind = T.StructType([T.StructField(file, T.StringType()), T.StructField(number, T.LongType())])
+    table = docs.sparkSession.createDataFrame(list(zip(paths, range(len(paths)))), kind)
+    joined = own.join(F.broadcast(table) if len(paths) <= MOST_FILES else table, file)
+    return joined.select(*[col(c) for c in docs.columns], F.shiftleft(col(number), PLACE_BITS).bitwiseOR(col(row)).alias(name))
+
+
+def placed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """(row_key, doc_id, text): null text is empty; row_key tells repeated rows apart, alike in every reading."""
+    rows = with_place(docs.select(col(doc_id).alias("doc_id"), col(text).alias("text")), "row_key")
+    return rows.select("row_key", F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+
+
 def hash_rows(values: np.ndarray) -> np.ndarray:
     """Mixes uint64 values (a splitmix finaliser), wrapping silently."""
     x = values.astype(np.uint64, copy=True)

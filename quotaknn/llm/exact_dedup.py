@@ -18,29 +18,12 @@ from contextlib import contextmanager
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import col, fresh, materialise, scratch
+from quotaknn.llm.common import col, located, materialise, scratch, settled
 
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 LOG = "file string, row long, doc_id long, digest binary, n_bytes long"
 
 
-def is_scan(docs: DataFrame) -> bool:
-    """Whether each row of `docs` is one row of a Parquet file, so that it has a place there."""
-    plan = docs._jdf.queryExecution().analyzed()
-    while plan.children().size() == 1 and plan.nodeName() in ("Project", "Filter", "SubqueryAlias"):
-        plan = plan.children().head()
-    return plan.children().size() == 0 and "parquet" in plan.toString().lower() and "Relation" in plan.getClass().getSimpleName()
-
-
-def located(docs: DataFrame) -> tuple[DataFrame, str, str]:
-    """`docs` with the columns file and row at the end (by names it does not have); written first, if it is no scan."""
-    if not is_scan(docs):
-        docs = materialise(docs, "docs")
-    file, row = fresh(docs, "file"), fresh(docs, "row")
-    meta = docs.metadataColumn("_metadata")
-    return docs.select("*", meta["file_path"].alias(file), meta["row_index"].alias(row)), file, row
-
-
 @contextmanager
 def state_on_disk(spark: SparkSession):
     """RocksDB holds the state for the streams started inside, and lets go of its working folder with each commit; the
@@ -58,8 +41,8 @@ def state_on_disk(spark: SparkSession):
 
 def texts_of(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """file, row, doc_id, text."""
-    placed, file, row = located(docs)
-    return placed.select(col(file).alias("file"), col(row).alias("row"), col(doc_id).cast("long").alias("doc_id"), F.coalesce(col(text), F.lit("")).alias("text"))
+    own, file, row = located(docs)
+    return own.select(col(file).alias("file"), col(row).alias("row"), col(doc_id).cast("long").alias("doc_id"), F.coalesce(col(text), F.lit("")).alias("text"))
 
 
 def arrivals(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -104,8 +87,7 @@ def differing(found: DataFrame) -> DataFrame:
 def exact_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """Decisions, one per row: file, row, doc_id, digest, keep_id, keep_file, keep_row, group_size, kept."""
     spark = docs.sparkSession
-    if not is_scan(docs):
-        docs = materialise(docs, "docs")
+    docs = settled(docs)
     log_path = scratch(spark, "arrivals")
     arrivals(docs, doc_id, text).write.parquet(log_path)
     log = spark.read.schema(LOG).parquet(log_path)
@@ -132,11 +114,10 @@ def exact_dedup(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") ->
 
 def drop_copies(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """`docs` without the rows that exact_dedup drops; all columns stay as they are."""
-    if not is_scan(docs):
-        docs = materialise(docs, "docs")
-    placed, file, row = located(docs)
+    docs = settled(docs)
+    own, file, row = located(docs)
     gone = exact_dedup(docs, doc_id, text).where(~F.col("kept")).select(F.col("file").alias(file), F.col("row").alias(row))
-    return placed.join(gone, [file, row], "left_anti").select(*[col(c) for c in docs.columns])
+    return own.join(gone, [file, row], "left_anti").select(*[col(c) for c in docs.columns])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from quotaknn.llm.common import components, discard, fresh, hash_rows, keyed, materialise, slabs, text_bytes, tidied
+from quotaknn.llm.common import col, components, discard, fresh, hash_rows, materialise, placed, settled, slabs, text_bytes, tidied, with_place
 
 SKETCH, RETAINED = 64, 40
 LONG_LIST, BLOCK, WIDE = 16, 768, 256
@@ -96,8 +96,8 @@ def sets_of(column, words: int):
         yield from shingle_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], words)
 
 
-def sketches(docs: DataFrame, words: int, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """row_key, doc_id, n, digest of the set, sketch (the least hashes in order, as bytes)."""
+def sketches(docs: DataFrame, words: int) -> DataFrame:
+    """row_key, doc_id, n, digest of the set, sketch (the least hashes in order, as bytes) of (row_key, doc_id, text)."""
 
     def run(batches):
         import pyarrow as pa
@@ -113,8 +113,7 @@ def sketches(docs: DataFrame, words: int, doc_id: str = "doc_id", text: str = "t
                 names=["row_key", "doc_id", "n", "digest", "sketch"],
             )
 
-    rows = keyed(docs, doc_id, text).select("row_key", F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return rows.mapInArrow(tidied(run), "row_key long, doc_id long, n long, digest binary, sketch binary")
+    return docs.select("row_key", "doc_id", "text").mapInArrow(tidied(run), "row_key long, doc_id long, n long, digest binary, sketch binary")
 
 
 def postings(nodes: DataFrame) -> DataFrame:
@@ -322,7 +321,8 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, doc_id:
     `percent` is 80 or more: the sketch sizes and the filter are chosen for that, and lesser similarities would lose links."""
     if percent < 80:
         raise ValueError("sketches are sized for a similarity of 80 percent or more")
-    rows = materialise(sketches(docs, words, doc_id, text), "sketches")
+    docs = placed(docs, doc_id, text)
+    rows = materialise(sketches(docs, words), "sketches")
     filled = rows.where("n > 0")
     nodes = materialise(
         filled.groupBy("digest").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "row_key", "n", "sketch")).alias("m"))
@@ -339,7 +339,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, doc_id:
     pivots = materialise(pivots, "pivots")
     stars = rated.join(pivots, "key").where("node <> a").where(fits("n", "na", percent)).select("a", F.col("node").alias("b")).distinct()
     texts = materialise(
-        keyed(docs, doc_id, text).select(F.col("row_key").alias("node"), "text").join(shared.select("node").distinct(), "node"), "texts"
+        docs.select(F.col("row_key").alias("node"), "text").join(shared.select("node").distinct(), "node"), "texts"
     )
     first = materialise(verify(plausible(stars, nodes), texts, words, percent), "verified")
     roots = materialise(components(first), "roots")
@@ -360,9 +360,9 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, doc_id:
 
 def drop_near_copies(docs: DataFrame, words: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """`docs` with one row of each component; all columns stay as they are."""
-    key = fresh(docs, "row_key")
+    docs, key = settled(docs), fresh(docs, "row_key")
     gone = near_duplicates(docs, words, percent, doc_id, text).where(~F.col("stays")).select(F.col("row_key").alias(key))
-    return docs.withColumn(key, F.monotonically_increasing_id()).join(gone, key, "left_anti").drop(key)
+    return with_place(docs, key).join(gone, key, "left_anti").select(*[col(c) for c in docs.columns])
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

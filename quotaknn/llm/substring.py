@@ -22,7 +22,7 @@ import re
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import discard, keyed, materialise, tidied
+from quotaknn.llm.common import discard, materialise, placed, tidied
 
 BREAK = {"line": "\n", "paragraph": "\n\n"}
 BLANKS = re.compile("[ \t\r\v\f\n]+")
@@ -54,8 +54,8 @@ def units_of(text: str, sep: str, min_words: int, sentence_words: int):
         at += len(own) + len(sep)
 
 
-def units(docs: DataFrame, unit: str, min_words: int, sentence_words: int, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """digest, row_key, doc_id, start, stop of each unit."""
+def units(rows: DataFrame, unit: str, min_words: int, sentence_words: int) -> DataFrame:
+    """digest, row_key, doc_id, start, stop of each unit of (row_key, doc_id, text)."""
     sep = BREAK[unit]
 
     def run(batches):
@@ -76,7 +76,6 @@ def units(docs: DataFrame, unit: str, min_words: int, sentence_words: int, doc_i
                         rows = [[] for _ in kinds]
             yield pa.RecordBatch.from_arrays([pa.array(r, t_) for r, t_ in zip(rows, kinds)], names=names)
 
-    rows = keyed(docs, doc_id, text).select("row_key", F.col("doc_id").cast("long").alias("doc_id"), "text")
     return rows.mapInArrow(tidied(run), "digest binary, row_key long, doc_id long, start long, stop long")
 
 
@@ -115,11 +114,12 @@ def remove_units(docs: DataFrame, unit: str = "line", min_words: int = 1, senten
     """row_key, doc_id, n_removed (units), chars_removed, spans (start, stop in characters of the original, in order),
     kept_chars, kept_sha256 and, if asked for, the text kept. sentence_words = 0 leaves sentences inside lines alone."""
     sep = BREAK[unit]
-    found = materialise(units(docs, unit, min_words, sentence_words, doc_id, text), "units")
+    rows = placed(docs, doc_id, text)
+    found = materialise(units(rows, unit, min_words, sentence_words), "units")
     copies, first = later_copies(found)
     per = materialise(copies.groupBy("row_key").agg(F.collect_list(F.struct("start", "stop")).alias("gone")), "gone")
     discard(found, first)
-    whole = keyed(docs, doc_id, text).select("row_key", F.col("doc_id").cast("long").alias("doc_id"), "text").join(per, "row_key", "left")
+    whole = rows.join(per, "row_key", "left")
 
     def cut(batches):
         import hashlib

@@ -27,7 +27,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import discard, hash_rows, keyed, materialise, slabs, text_bytes, tidied
+from quotaknn.llm.common import discard, hash_rows, materialise, placed, slabs, text_bytes, tidied
 
 GRAM = 32
 PART = 1 << 20
@@ -193,7 +193,7 @@ def repeated(pieces: list[bytes], span: int) -> list[np.ndarray]:
     return [mark[a : a + max(0, k - span + 1)] for a, k in zip(at[:-1], sizes)]
 
 
-def find_segments(docs: DataFrame, span: int, doc_id: str, text: str) -> DataFrame:
+def find_segments(docs: DataFrame, span: int) -> DataFrame:
     def run(batches):
         import pyarrow as pa
 
@@ -211,14 +211,14 @@ def find_segments(docs: DataFrame, span: int, doc_id: str, text: str) -> DataFra
                         cols += [pa.array(keys[i + s["text"]]), pa.array(s["start"] + c), pa.array(s["windows"]), pa.array(s["size"]), pa.array(s["twice"].astype(bool))]
                         yield pa.RecordBatch.from_arrays(cols, names=["anchor", "d1", "d2", "row_key", "start", "windows", "size", "twice"])
 
-    return keyed(docs, doc_id, text).select("row_key", "text").mapInArrow(
+    return docs.select("row_key", "text").mapInArrow(
         tidied(run), "anchor long, d1 long, d2 long, row_key long, start long, windows long, size long, twice boolean"
     )
 
 
-def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """row_key, start, windows: runs of windows that also start elsewhere."""
-    found = materialise(find_segments(docs, span, doc_id, text), "segments")
+def marks(docs: DataFrame, span: int = 400) -> DataFrame:
+    """row_key, start, windows: runs of windows of (row_key, doc_id, text) that also start elsewhere."""
+    found = materialise(find_segments(docs, span), "segments")
     content = ["anchor", "d1", "d2"]
     kinds = found.groupBy(*content).agg(
         F.count(F.lit(1)).alias("n"), F.max("twice").alias("twice"), F.min(F.struct("row_key", "start", "size")).alias("one"),
@@ -240,7 +240,7 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
     dealt = chosen.withColumn("hot", F.col("contents") > HOT).withColumn("salt", F.pmod(F.col("d1"), parts))
     dealt = dealt.withColumn("shard", F.pmod(F.xxhash64("anchor", "salt"), F.lit(shards)).cast("int"))
     asked = dealt.groupBy("row_key").agg(F.collect_list(F.struct("shard", "hot", "single", "told", *content, "start", "size")).alias("asked"))
-    sent = keyed(docs, doc_id, text).select("row_key", "text").join(asked, "row_key")
+    sent = docs.select("row_key", "text").join(asked, "row_key")
 
     def cut(batches):
         import pyarrow as pa
@@ -330,8 +330,9 @@ def marks(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str =
 def remove_repeats(docs: DataFrame, span: int = 400, doc_id: str = "doc_id", text: str = "text", with_text: bool = False) -> DataFrame:
     """row_key, doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if asked for, the removed spans [from, to) in bytes of
     the original and the bytes kept."""
-    per = marks(docs, span, doc_id, text).groupBy("row_key").agg(F.collect_list(F.struct("start", "windows")).alias("marks"))
-    whole = keyed(docs, doc_id, text).select("row_key", F.col("doc_id").cast("long").alias("doc_id"), "text").join(per, "row_key", "left")
+    docs = placed(docs, doc_id, text)
+    per = marks(docs, span).groupBy("row_key").agg(F.collect_list(F.struct("start", "windows")).alias("marks"))
+    whole = docs.join(per, "row_key", "left")
 
     def cut(batches):
         import hashlib

@@ -65,7 +65,7 @@ def test_locators_lead_to_rows(spark):
     two = {(r["file"], r["row"]): (r["doc_id"], r["text"]) for r in exact_dedup.texts_of(docs.where("doc_id >= 0").select("text", "doc_id")).collect()}
     assert len(one) == 50 and one == two
     twice = docs.unionByName(docs)
-    assert not exact_dedup.is_scan(twice) and exact_dedup.is_scan(docs.select("doc_id"))
+    assert not common.is_scan(twice) and common.is_scan(docs.select("doc_id"))
     got = exact_dedup.exact_dedup(twice).collect()
     assert len(got) == 100 and sum(r["kept"] for r in got) == 7
 
