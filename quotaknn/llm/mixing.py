@@ -8,9 +8,8 @@ the sample meet the targets in expectation. A draw depends on the id and the see
 warning.
 
 Tokens are counted by a public tokenizer. A topic is the nearest of `TOPICS` centres of token profiles, fitted by k-means on
-at most about `TOPIC_ROWS` rows (that bound is the documented sample; the texts drawn are used whole); pass a column of your
-own to the operators to use another. Only those profiles and the cells, at most the product of the three domains, reach the
-driver; the number of cells is checked.
+all texts; pass a column of your own to the operators to use another. Only each task's sums of profiles and the cells, at most
+the product of the three domains, reach the driver; the number of cells is checked.
 
 Defined cases: a null attribute is a value of its own, `(none)`; null or empty text has no tokens, topic `empty` and
 probability 0; texts of any length are read whole; a null id draws like any other id; repeated rows are drawn alike; a table
@@ -29,7 +28,9 @@ from pyspark.sql import functions as F
 from quotaknn.llm.common import col, encoder, fresh, hash_rows, materialise, release, tokenizer_path
 
 MOST_CELLS, BROADCAST_CELLS = 2_000_000, 200_000
-TOPICS, TOPIC_ROWS, BUCKETS = 8, 2_000, 256
+TOPICS, ROUNDS, BUCKETS = 8, 25, 256
+#: A profile is stored in whole numbers of this part.
+UNIT = 65_535
 #: A miss of a marginal share above this is told.
 MISS = 1e-6
 
@@ -41,57 +42,115 @@ def profile(ids: np.ndarray) -> np.ndarray:
     return x / max(np.linalg.norm(x), 1e-12)
 
 
-def centres(profiles: np.ndarray, k: int, rounds: int = 25) -> np.ndarray:
-    """k-means centres (rows of length 1), started from profiles far from each other; the same for the same rows."""
-    if not len(profiles):
-        return np.zeros((0, BUCKETS))
-    chosen = [0]
-    for _ in range(1, min(k, len(profiles))):
-        chosen.append(int((profiles @ profiles[chosen].T).max(1).argmin()))
-    c = profiles[chosen]
-    for _ in range(rounds):
-        of = (profiles @ c.T).argmax(1)
-        sums = np.stack([profiles[of == j].sum(0) if (of == j).any() else c[j] for j in range(len(c))])
-        c = sums / np.maximum(np.linalg.norm(sums, axis=1, keepdims=True), 1e-12)
-    return c
-
-
-def fit_topics(docs: DataFrame, tokenizer: str, text: str = "text", topics: int = TOPICS, rows: int = TOPIC_ROWS) -> np.ndarray:
-    """Centres of the token profiles of at most about `rows` texts, drawn by a hash of the text, copies once: neither the
-    order nor the files of the table matter."""
-    filled = docs.select(col(text).alias("text"), F.xxhash64(col(text)).alias("hash")).where(F.length("text") > 0)
-    total = filled.count()
-    drawn = filled.where(F.pmod(F.col("hash"), F.lit(1 << 30)) < min(1.0, rows / max(total, 1)) * (1 << 30)).dropDuplicates(["hash"])
+def means(rows: DataFrame, profile_: Column, middle: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Sums and numbers of the profiles by their nearest centre; without centres, their sum, number and products in one row.
+    Whole numbers are summed, so that neither the order nor the files of the table matter."""
 
     def run(batches):
         import pyarrow as pa
 
-        ids = encoder(tokenizer, 0)
-        for b in batches:
-            found = [profile(x[:-1]).astype(np.float32).tobytes() for x in ids(b.column(0))]
-            yield pa.RecordBatch.from_arrays([pa.array(found, pa.binary())], names=["profile"])
+        sums = None
+        for x in (unpacked(b.column(0).slice(i, 2_048).drop_null()) for b in batches for i in range(0, b.num_rows, 2_048)):
+            if not len(x):
+                continue
+            if middle is None:
+                own = np.vstack([x.sum(0), x.T @ x])
+                counts = np.array([len(x)])
+            else:
+                of = (x @ middle.T).argmax(1)
+                hot = np.zeros((len(middle), len(x)))
+                hot[of, np.arange(len(x))] = 1
+                own, counts = hot @ x, np.bincount(of, minlength=len(middle))
+            # sums of whole numbers below 2^53 are exact
+            sums = (own.astype(np.int64), counts) if sums is None else (sums[0] + own.astype(np.int64), sums[1] + counts)
+        if sums is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([sums[0].tobytes()], pa.binary()), pa.array([sums[1].astype(np.int64).tobytes()], pa.binary())], names=["sums", "counts"])
+
+    def added(batches):
+        import pyarrow as pa
 
-    found = sorted(bytes(r["profile"]) for r in drawn.select("text").mapInArrow(run, "profile binary").collect())
-    return centres(np.array([np.frombuffer(r, np.float32) for r in found], float).reshape(-1, BUCKETS), topics)
+        own = None
+        for b in batches:
+            for pair in zip(*[[np.frombuffer(v, np.int64) for v in c.to_pylist()] for c in b.columns]):
+                own = pair if own is None else [x + y for x, y in zip(own, pair)]
+        if own is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([x.tobytes()], pa.binary()) for x in own], names=["sums", "counts"])
+
+    schema = "sums binary, counts binary"
+    few = rows.select(profile_).mapInArrow(run, schema).repartition(4).mapInArrow(added, schema)
+    found = [[np.frombuffer(bytes(v), np.int64) for v in r] for r in few.collect()]
+    if not found:
+        return np.zeros((0, BUCKETS), np.int64), np.zeros(0, np.int64)
+    return sum(r[0] for r in found).reshape(-1, BUCKETS), sum(r[1] for r in found)
+
+
+def fit_topics(rows: DataFrame, profile_: Column, topics: int = TOPICS, rounds: int = ROUNDS) -> np.ndarray:
+    """k-means centres (rows of length 1) of the profiles of all texts, each row counted. The start lies on both sides of the
+    mean along the axes in which all profiles differ most; rounds go on until no centre moves, `rounds` at most."""
+    sums, n = means(rows, profile_)
+    if not len(sums):
+        return np.zeros((0, BUCKETS))
+    mean = sums[0] / n[0]
+    spread, axes = np.linalg.eigh(sums[1:] / n[0] - np.outer(mean, mean))
+    axes = axes * np.sign(axes[np.abs(axes).argmax(0), np.arange(BUCKETS)])
+    number = int(min(topics, n[0]))
+    c = np.repeat(mean[None, :], number, 0)
+    for i in range((number - 1).bit_length()):
+        side = ((np.arange(number) >> i) & 1) * 2.0 - 1
+        c = c + side[:, None] * np.sqrt(max(spread[-1 - i], 0.0)) * axes[:, -1 - i]
+    c = c / np.maximum(np.linalg.norm(c, axis=1, keepdims=True), 1e-12)
+    for _ in range(rounds):
+        sums, n = means(rows, profile_, c)
+        size = np.linalg.norm(sums, axis=1, keepdims=True)
+        new = np.where(size > 0, sums / np.maximum(size, 1e-12), c)
+        still, c = np.abs(new - c).max() < 1e-3, new
+        if still:
+            break
+    return c
 
 
-def read_texts(tokenizer: str, middle: np.ndarray):
-    """An Arrow function from a text column to struct<n_tokens, topic>."""
+def read_texts(tokenizer: str):
+    """An Arrow function from a text column to struct<n_tokens, profile>; no profile where there are no tokens."""
 
-    @F.arrow_udf("struct<n_tokens:long,topic:string>")
+    @F.arrow_udf("struct<n_tokens:long,profile:binary>")
     def read(texts):
         import pyarrow as pa
 
-        n, topic = [], []
+        n, made = [], []
         for ids in encoder(tokenizer, 0)(texts):
             n.append(len(ids) - 1)
-            topic.append(f"t{int((middle @ profile(ids[:-1])).argmax())}" if len(ids) > 1 and len(middle) else "empty")
+            made.append(np.rint(profile(ids[:-1]) * UNIT).astype("<u2").tobytes() if len(ids) > 1 else None)
         release()
-        return pa.StructArray.from_arrays([pa.array(n, pa.int64()), pa.array(topic, pa.string())], names=["n_tokens", "topic"])
+        return pa.StructArray.from_arrays([pa.array(n, pa.int64()), pa.array(made, pa.binary())], names=["n_tokens", "profile"])
 
     return read
 
 
+def unpacked(column) -> np.ndarray:
+    """Profiles in whole numbers, as rows of floats."""
+    ends, data = column.buffers()[1:] if len(column) else (None, None)
+    if ends is None:
+        return np.zeros((0, BUCKETS))
+    first = int(np.frombuffer(ends, np.int32)[column.offset])
+    return np.frombuffer(data, "<u2", len(column) * BUCKETS, first).reshape(-1, BUCKETS).astype(float)
+
+
+def topic_of(middle: np.ndarray):
+    """An Arrow function from profiles to the names of their nearest centres."""
+
+    @F.arrow_udf("string")
+    def name(profiles):
+        import pyarrow as pa
+
+        filled = profiles.is_valid().to_numpy(zero_copy_only=False)
+        out = np.full(len(profiles), "empty", object)
+        if filled.any() and len(middle):
+            out[filled] = [f"t{i}" for i in (unpacked(profiles.drop_null()) @ middle.T).argmax(1).tolist()]
+        return pa.array(out.tolist(), pa.string())
+
+    return name
+
+
 def tempered(shares: dict, power: float) -> dict:
     """Targets proportional to share ** power: 1 leaves the shares, 0 makes them equal."""
     raised = {k: v**power for k, v in shares.items() if v > 0}
@@ -166,16 +225,21 @@ def mix(docs: DataFrame, share: float = 0.5, powers: tuple = (0.0, 0.5, 0.5), ta
     `targets` are shares by value, else tempered by `powers`."""
     spark = docs.sparkSession
     tokenizer = tokenizer or tokenizer_path("word_bpe_49k.json")
-    middle = fit_topics(docs, tokenizer, text) if topics is None else np.zeros((0, BUCKETS))
     facts, read = fresh(docs, "mixed"), fresh(docs, "read")
-    own = read_texts(tokenizer, middle)(F.coalesce(col(text), F.lit("")))
+    own = read_texts(tokenizer)(F.coalesce(col(text), F.lit("")))
     name = lambda c: F.coalesce(c.cast("string"), F.lit("(none)"))
     rows = docs.withColumn(read, own)
-    topic = col(read)["topic"] if topics is None else name(topics)
-    made = F.struct(name(col(source)).alias("source"), name(col(lang)).alias("lang"), topic.alias("topic"), col(read)["n_tokens"].alias("n_tokens"))
     columns = [c for c in docs.columns if keep_text or c != text]
-    # texts are tokenised once: the cells and the draw both read this table
-    rows = materialise(rows.select(*[col(c) for c in columns], made.alias(facts)), "mixed")
+    given = F.lit(None).cast("string") if topics is None else name(topics)
+    made = F.struct(name(col(source)).alias("source"), name(col(lang)).alias("lang"), given.alias("topic"), col(read)["n_tokens"].alias("n_tokens"))
+    kept = [*[col(c) for c in columns], made.alias(facts)]
+    # texts are tokenised once: the fit, the cells and the draw all read this table
+    rows = materialise(rows.select(*kept, *([col(read)["profile"].alias(read)] if topics is None else [])), "mixed")
+    if topics is None:
+        middle = fit_topics(rows, col(read))
+        rows = rows.withColumn(read, topic_of(middle)(col(read)))
+        rows = rows.withColumn(facts, F.struct(*[col(facts)[c].alias(c) for c in ("source", "lang")], col(read).alias("topic"), col(facts)["n_tokens"].alias("n_tokens")))
+        rows = rows.drop(read)
     summed = rows.groupBy(F.col(f"{facts}.source").alias("s"), F.col(f"{facts}.lang").alias("l"), F.col(f"{facts}.topic").alias("t")).agg(F.sum(f"{facts}.n_tokens").alias("tokens"))
     cells = summed.orderBy("s", "l", "t").limit(MOST_CELLS + 1).collect()
     if len(cells) > MOST_CELLS:
