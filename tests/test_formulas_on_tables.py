@@ -6,7 +6,7 @@ from quotaknn.functions import lsh
 from quotaknn.plans import registry
 
 
-@pytest.mark.parametrize("name, source", [("inspect_budget", "part"), ("success_bound", "customer")])
+@pytest.mark.parametrize("name, source", [("inspect_budget", "lineitem"), ("success_bound", "orders")])
 def test_formulas_read_a_table(spark, sf, name, source):
     import duckdb
 
