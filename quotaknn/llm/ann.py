@@ -5,11 +5,11 @@ it matches; then all trees ascend together, a bit at a time, until their matches
 longer prefixes, comes first; the first `scored` of a query's matches are scored exactly. Inner products become angles by one
 more coordinate that gives all vectors the same norm.
 
-One forest serves the whole table. Its arrays are cut by tree and head, the first bits of the strings, so a query goes just to
-the one piece of each tree that its own head names; pieces of very many strings are cut further, and no piece meets all queries.
-Pass one counts the matches of each prefix length, which tells how far a query ascends; pass two hands on those matches; the
-candidates then go to the blocks that hold their vectors. Every step's volume is in proportion to vectors x trees or to the
-matches asked for. Equal vectors are one node of the forest, however many rows they have.
+The vectors are dealt at random into pieces of about `PIECE` at most, and each has a forest of its own, which a task builds in
+memory. Every query meets every piece, ascends and is scored there, and only its k + 1 nearest of the piece (and ties) are handed
+on: neither strings nor matches are ever written. So what is written is in proportion to vectors and to queries x pieces; the work
+is queries x vectors in matches looked at, as the matches asked for are a share of a piece. Equal vectors are one node of the
+forest, however many rows they have; they are known by digests of 128 bits.
 
 `enough` and `scored` are fitted: for at most `SAMPLE` query vectors (that bound is documented) the true neighbours are found
 by an exact scan, one half of them chooses the cheapest setting that reaches the recall `AIM`, the other half measures it.
@@ -29,13 +29,15 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import col, hash_rows, materialise, numbered, tidied
+from quotaknn.llm.common import col, discard, materialise, release
 
-TREES, BITS = 128, 24
-PIECE, BLOCK = 1_000_000, 20_000
+TREES, BITS, HEAD = 128, 24, 12
+#: Most vectors of a forest and most queries that meet it in one task; small tables have up to SPREAD forests of LEAST vectors.
+PIECE, BLOCK = 65_536, 100_000
+SPREAD, LEAST = 16, 4_096
 SAMPLE, AIM = 128, 0.96
-#: Matches of a query, as multiples of the number of vectors, that the fit tries; none beyond MOST_MATCHES.
-TRIED, MOST_MATCHES = (0.25, 0.5, 1.0, 2.0, 4.0, 8.0), 4_000_000
+#: Matches of a query in a piece, as multiples of the piece's vectors, that the fit tries.
+TRIED = (0.0625, 0.125, 0.25, 0.5, 1.0, 2.0, 4.0, 8.0)
 #: What the exact score of a vector costs, in matches that are counted.
 SCORE_COST = 24
 RESULT = "query_id long, rank int, vec_id long, score double"
@@ -43,8 +45,8 @@ RESULT = "query_id long, rank int, vec_id long, score double"
 
 @dataclass(frozen=True)
 class Setting:
-    enough: float  # matches of a query, over all trees
-    scored: int  # candidates that are scored
+    enough: float  # matches of a query in a piece, over all trees, as a multiple of the piece's vectors
+    scored: int  # candidates of a piece that are scored
     recall: float  # on the half of the sample that did not choose the setting
     vectors: int  # distinct ones
 
@@ -54,13 +56,19 @@ class Hashes:
 
     def __init__(self, dim: int, norm: float, seed: int = 11):
         self.norm = norm
-        self.planes = np.random.default_rng(seed).standard_normal((dim + 1, TREES * BITS))
+        self.planes = np.random.default_rng(seed).standard_normal((dim + 1, TREES * BITS)).astype(np.float32)
 
     def codes(self, vectors: np.ndarray, asks: bool) -> np.ndarray:
         """(rows, TREES); the coordinate more makes up for the norm, and is 0 for a vector that asks."""
-        rest = np.zeros(len(vectors)) if asks else np.sqrt(np.maximum(self.norm**2 - (vectors**2).sum(1), 0))
-        bits = (np.column_stack([vectors, rest]) @ self.planes > 0).reshape(-1, TREES, BITS)
-        return bits @ (1 << np.arange(BITS - 1, -1, -1, dtype=np.int64))
+        out = np.empty((len(vectors), TREES), np.int32)
+        for i in range(0, len(vectors), 512):
+            v = vectors[i : i + 512]
+            rest = np.zeros(len(v)) if asks else np.sqrt(np.maximum(self.norm**2 - (v**2).sum(1), 0))
+            # scaled, so that single precision holds the largest and the smallest vectors
+            own = np.column_stack([v, rest]) / (np.abs(v).max(1, initial=0, keepdims=True) if asks else self.norm)
+            three = np.packbits((own.astype(np.float32) @ self.planes > 0).reshape(-1, TREES, BITS), axis=-1).astype(np.int32)
+            out[i : i + 512] = three[:, :, 0] << 16 | three[:, :, 1] << 8 | three[:, :, 2]
+        return out
 
 
 def ranges(strings: np.ndarray, asked: np.ndarray, lengths) -> tuple[np.ndarray, np.ndarray]:
@@ -92,223 +100,171 @@ def ranked(nodes: np.ndarray, lengths: np.ndarray) -> np.ndarray:
 
 def flat(column) -> np.ndarray:
     """Arrow lists of equal length as a matrix."""
-    values = column.flatten().to_numpy(zero_copy_only=False)
+    values = column.flatten() if not hasattr(column, "combine_chunks") else column.combine_chunks().flatten()
+    values = values.to_numpy(zero_copy_only=False).astype(np.float64, copy=False)
     return values.reshape(len(column), -1) if len(column) else np.zeros((0, 1))
 
 
-class Forest:
-    """The forest of the vectors of one dimension: `nodes` (node, v) are `total` distinct vectors with numbers below `numbers`."""
-
-    def __init__(self, nodes: DataFrame, dim: int, norm: float, total: int, numbers: int):
-        self.nodes, self.total, self.dim = nodes, total, dim
-        self.kind = np.dtype("<i4" if numbers < 1 << 31 else "<i8")  # of node numbers, where matches are handed on
-        self.hashes = Hashes(dim, norm)
-        self.strings = materialise(self.hashed(nodes, False), "strings")
-
-    def hashed(self, vectors: DataFrame, asks: bool) -> DataFrame:
-        """tree, code, node: one row for each vector and tree."""
-        hashes = self.hashes
+class Trees:
+    """The forest of one piece, in memory."""
+
+    def __init__(self, hashes: Hashes, vectors: np.ndarray):
+        codes = np.ascontiguousarray(hashes.codes(vectors, False).T)
+        self.n = len(vectors)
+        self.order = np.empty(codes.shape, np.int32)
+        heads = (np.arange((1 << HEAD) + 1) << (BITS - HEAD)).astype(np.int32)
+        self.starts = np.empty((TREES, len(heads)), np.int32)  # first place of each head, for prefixes of at most HEAD bits
+        for t in range(TREES):
+            self.order[t] = np.argsort(codes[t])
+            codes[t] = codes[t][self.order[t]]
+            self.starts[t] = np.searchsorted(codes[t], heads)
+        self.strings = codes
+
+    def spans(self, asked: np.ndarray, x: int) -> tuple[np.ndarray, np.ndarray]:
+        """First and end place of the matches of prefix length x, as (query, tree)."""
+        if x <= HEAD:
+            at = ((asked >> (BITS - x)) << (HEAD - x)) + np.arange(TREES) * self.starts.shape[1]
+            return self.starts.ravel()[at], self.starts.ravel()[at + (1 << (HEAD - x))]
+        each = [ranges(s, a, [x]) for s, a in zip(self.strings, asked.T)]
+        return np.stack([lo[0] for lo, _ in each], 1), np.stack([hi[0] for _, hi in each], 1)
+
+    def ascend(self, asked: np.ndarray, enough: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The longest prefix length at which all trees together have `enough` matches, and their places there. Matches fall
+        with the length, so it is found from the root."""
+        reach, open_ = np.zeros(len(asked), np.int64), np.arange(len(asked))
+        first, end = np.zeros(asked.shape, np.int64), np.full(asked.shape, self.n, np.int64)
+        for x in range(1, BITS + 1):
+            lo, hi = self.spans(asked[open_], x)
+            still = (hi - lo).sum(1) >= enough
+            open_ = open_[still]
+            if not len(open_):
+                break
+            reach[open_], first[open_], end[open_] = x, lo[still], hi[still]
+        return reach, first, end
+
+    def matches(self, code: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The vectors in the trees' ranges, and how long a prefix each matches there (as `matched` has it for one tree)."""
+        size = hi - lo
+        at = np.repeat(lo + np.arange(TREES) * self.n - (np.cumsum(size) - size), size) + np.arange(size.sum())
+        apart = (self.strings.ravel()[at] ^ np.repeat(code, size)).astype(np.float32)
+        return self.order.ravel()[at], BITS - np.maximum((apart.view(np.int32) >> 23) - 126, 0)  # the exponent tells the first bit
+
+    def first(self, code: np.ndarray, lo: np.ndarray, hi: np.ndarray, scored: int) -> np.ndarray:
+        """The first `scored` of `ranked`, in no order."""
+        bits = np.bincount(*self.matches(code, lo, hi), minlength=self.n).astype(np.int64)
+        met = np.flatnonzero(bits)
+        if len(met) <= scored:
+            return met
+        bits = bits[met]
+        above = np.cumsum(np.bincount(bits)[::-1])[::-1]  # how many have at least so many bits
+        last = int(np.flatnonzero(above >= scored)[-1])
+        sure = met[bits > last]
+        return np.append(sure, met[bits == last][: scored - len(sure)])
+
+
+def best(x: np.ndarray, at: np.ndarray, v: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Those of the rows `at` of x that are among the `most` nearest to v or tie with the last, with their exact scores."""
+    score = np.einsum("ij,j->i", x[at], v)  # row by row and in one thread: equal rows have equal scores
+    if len(at) > most:
+        least = np.partition(score, len(score) - most)[len(score) - most]
+        at, score = at[score >= least], score[score >= least]
+    return at, score
 
-        def run(batches):
-            import pyarrow as pa
 
-            trees = np.arange(TREES, dtype=np.int32)
-            for b in batches:
-                node, v = b.column(0).to_numpy(), flat(b.column(1))
-                for i in range(0, len(node), 512):
-                    c = hashes.codes(v[i : i + 512], asks)
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.tile(trees, len(c))), pa.array(c.ravel()), pa.array(np.repeat(node[i : i + 512], TREES))], names=["tree", "code", "node"]
-                    )
-
-        return vectors.select("node", "v").mapInArrow(tidied(run), "tree int, code long, node long")
-
-    def head_bits(self, enough: float) -> int:
-        """Heads so short that the matches below them are `enough` several times over."""
-        return int(min(BITS - 1, max(0, np.floor(np.log2(max(1.0, TREES * self.total / (8 * enough)))))))
-
-    def pieces(self, asked: DataFrame, head: int) -> tuple[DataFrame, DataFrame]:
-        """Strings and queries with the piece (tree, head, part) where they meet; a piece of very many strings has parts."""
-        cut = F.shiftright("code", BITS - head).alias("head")
-        strings = self.strings.select("tree", cut, "code", "node")
-        sizes = strings.groupBy("tree", "head").agg(F.ceil(F.count(F.lit(1)) / PIECE).cast("int").alias("parts"))
-        sizes = materialise(sizes, "pieces")
-        large = sizes.where("parts > 1")
-        own = strings.join(large, ["tree", "head"], "left").select("tree", "head", F.coalesce(F.pmod(F.xxhash64("node"), F.col("parts")), F.lit(0)).cast("int").alias("part"), "code", "node")
-        asks = asked.withColumn("head", F.shiftright("code", BITS - head)).join(sizes, ["tree", "head"])
-        return own, asks.withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
-
-    def matches(self, asking: DataFrame, enoughs: list[float]) -> tuple[DataFrame, int]:
-        """(query, reach, nodes, lengths) for each piece, nodes and lengths as bytes: what matches at least as long a prefix
-        as the largest of `enoughs` asks for; reach holds the prefix length of each of `enoughs`."""
-        head = self.head_bits(max(enoughs))
-        asked = self.hashed(asking, True).withColumnRenamed("node", "query")
-        own, asks = self.pieces(asked, head)
-        keys, lengths = ["tree", "head", "part"], range(head, BITS + 1)
-
-        def count(strings, queries):
-            import pyarrow as pa
-
-            lo, hi = ranges(np.sort(strings.column("code").to_numpy()), queries.column("code").to_numpy(), lengths)
-            return pa.table({"query": queries.column("query"), "counts": pa.array(list((hi - lo).T), pa.list_(pa.int64()))})
-
-        counted = own.groupBy(*keys).cogroup(asks.groupBy(*keys)).applyInArrow(count, "query long, counts array<long>")
-        # counts fall with the prefix length: the number of lengths with enough matches tells the longest of them
-        sums = counted.groupBy("query").agg(*[F.sum(F.col("counts")[i]).alias(f"n{i}") for i in range(len(lengths))])
-        reach = [F.greatest(F.lit(0), reduce(lambda a, b: a + b, [(F.col(f"n{i}") >= float(e)).cast("int") for i in range(len(lengths))]) - 1) + head for e in enoughs]
-        reach = materialise(sums.select("query", F.array(*reach).alias("reach")), "reach")
-        asks, kind = asks.join(reach, "query"), self.kind
-
-        def hand(strings, queries):
-            import pyarrow as pa
+class Forest:
+    """The forests of the vectors of one dimension: `nodes` (node, v) are `total` distinct vectors."""
 
-            code, node = strings.column("code").to_numpy(), strings.column("node").to_numpy().astype(kind)
-            order = np.argsort(code, kind="stable")
-            lo, hi = ranges(code[order], queries.column("code").to_numpy(), lengths)
-            out: list[list] = [[], [], [], []]
-            for i, (q, r) in enumerate(zip(queries.column("query").to_pylist(), queries.column("reach").to_pylist())):
-                x = min(r) - head
-                a, b = lo[x, i], hi[x, i]
-                if a < b:
-                    for c, v in zip(out, (q, r, node[order[a:b]].tobytes(), matched(lo[x:, i], hi[x:, i], x + head).tobytes())):
-                        c.append(v)
-            kinds = [pa.int64(), pa.list_(pa.int32()), pa.binary(), pa.binary()]
-            return pa.Table.from_arrays([pa.array(c, k) for c, k in zip(out, kinds)], names=["query", "reach", "nodes", "lengths"])
-
-        handed = own.groupBy(*keys).cogroup(asks.groupBy(*keys)).applyInArrow(hand, "query long, reach array<int>, nodes binary, lengths binary")
-        return handed, head
+    def __init__(self, nodes: DataFrame, dim: int, norm: float, total: int):
+        self.total, self.hashes = total, Hashes(dim, norm)
+        self.count = max(-(-total // PIECE), min(SPREAD, -(-total // LEAST)), 1)
+        self.nodes = nodes.select("node", "v", F.pmod(F.xxhash64("node", F.lit(5)), F.lit(self.count)).cast("int").alias("piece"))
 
     def fit(self, asking: DataFrame, k: int) -> Setting:
         """The cheapest (enough, scored) that finds `AIM` of the true neighbours of one half of a bounded sample."""
-        sample = materialise(asking.orderBy(F.xxhash64("node", F.lit(3)), "node").limit(SAMPLE), "sample")
-        drawn = sorted((r["node"], np.array(r["v"])) for r in sample.collect())
+        drawn = sorted((r["node"], np.array(r["v"], float)) for r in asking.orderBy(F.xxhash64("node", F.lit(3)), "node").limit(SAMPLE).collect())
+        if not drawn:
+            return Setting(1.0, k + 1, 1.0, self.total)
         ids, q = np.array([n for n, _ in drawn]), np.array([v for _, v in drawn])
-
-        def scan(batches):
-            import pyarrow as pa
-
-            for b in batches:
-                node, v = b.column(0).to_numpy(), flat(b.column(1))
-                score = q @ v.T
-                score[ids[:, None] == node[None, :]] = -np.inf
-                near = np.argsort(-score, axis=1, kind="stable")[:, :k]
-                at = np.repeat(np.arange(len(ids)), near.shape[1])
-                yield pa.RecordBatch.from_arrays([pa.array(ids[at]), pa.array(node[near.ravel()]), pa.array(score[at, near.ravel()])], names=["query", "node", "score"])
-
-        order = Window.partitionBy("query").orderBy(F.desc("score"), "node")
-        best = self.nodes.select("node", "v").mapInArrow(tidied(scan), "query long, node long, score double").where("score > double('-infinity')")
-        truth: dict = {}
-        for r in best.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).collect():
-            truth.setdefault(r["query"], []).append(r["node"])
-        enoughs = sorted({min(t * self.total, MOST_MATCHES) for t in TRIED})
-        handed, _ = self.matches(sample, enoughs)
-        kind = self.kind
+        hashes = self.hashes
 
         def places(table):
+            """The k nearest of the piece and where each setting ranks them there."""
             import pyarrow as pa
 
-            query = table.column("query")[0].as_py()
-            reach = table.column("reach")[0].as_py()
-            node = np.frombuffer(b"".join(table.column("nodes").to_pylist()), kind)
-            length = np.frombuffer(b"".join(table.column("lengths").to_pylist()), np.int8)
-            out = []
-            for i, x in enumerate(reach):
-                order = ranked(node[length >= x], length[length >= x])
-                order = order[order != query]
-                at = {n: j for j, n in enumerate(order.tolist())}
-                out += [(query, i, at.get(n, -1)) for n in truth[query]]
-            return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), (pa.int64(), pa.int32(), pa.int64()))], names=["query", "setting", "place"])
-
-        found = handed.where(F.col("query").isin([int(i) for i in truth])).groupBy("query").applyInArrow(places, "query long, setting int, place long").collect()
-        half = set(ids[::2].tolist())
-        aim = {h: sum(len(t) for n, t in truth.items() if (n in half) == h) for h in (True, False)}
-        choices = []
-        for i, e in enumerate(enoughs):
-            at = {h: np.sort([r["place"] for r in found if r["setting"] == i and r["place"] >= 0 and (r["query"] in half) == h]) for h in (True, False)}
-            need = int(np.ceil(AIM * aim[True]))
+            node, v = table.column("node").to_numpy(), flat(table.column("v"))
+            trees, codes = Trees(hashes, v), hashes.codes(q, True)
+            near, out = [], []
+            for i, own in enumerate(ids):
+                at, score = best(v, np.flatnonzero(node != own), q[i], k)
+                near.append((at, score))
+            for e in TRIED:
+                reach, lo, hi = trees.ascend(codes, e * trees.n)
+                for i, (at, score) in enumerate(near):
+                    order = ranked(*trees.matches(codes[i], lo[i], hi[i])) if reach[i] else np.arange(0)
+                    order = order[node[order] != ids[i]]
+                    place = np.full(trees.n, -1 if reach[i] else 0)
+                    place[order] = np.arange(len(order))
+                    out += zip([int(ids[i])] * len(at), [e] * len(at), node[at].tolist(), score.tolist(), place[at].tolist())
+            release()
+            kinds = (pa.int64(), pa.float64(), pa.int64(), pa.float64(), pa.int64())
+            return pa.Table.from_arrays([pa.array(c, t) for c, t in zip(list(zip(*out)) or [[]] * 5, kinds)], names=["query", "enough", "node", "score", "place"])
+
+        order = Window.partitionBy("query", "enough").orderBy(F.desc("score"), "node")
+        found = self.nodes.repartition(4 * self.count, "piece").groupBy("piece").applyInArrow(places, "query long, enough double, node long, score double, place long")
+        found = found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).collect()
+        half, most, choices = set(ids[::2].tolist()), -(-self.total // self.count), []
+        for e in TRIED:
+            own = {h: [r["place"] for r in found if r["enough"] == e and (r["query"] in half) == h] for h in (True, False)}
+            at = {h: np.sort([p for p in own[h] if p >= 0]) for h in own}
+            need = int(np.ceil(AIM * len(own[True])))
             reached = len(at[True]) >= need
             scored = (int(at[True][need - 1]) + 1 if need else 1) if reached else self.total
-            recall = float((at[False] < scored).sum() / aim[False]) if aim[False] else 1.0
-            choices.append((not reached, scored * SCORE_COST + e, Setting(e, max(scored, k + 1), recall, self.total)))
-        return min(choices, key=lambda c: c[:2])[2] if truth else Setting(1.0, k + 1, 1.0, self.total)
-
-    def candidates(self, asking: DataFrame, setting: Setting, blocks: int, k: int) -> DataFrame:
-        """query, block, nodes (bytes): the first `scored` matches of each query and its own node, by the vectors' blocks. A
-        query that too few match ascends to the root: null nodes stand for a whole block."""
-        handed, _ = self.matches(asking, [setting.enough])
-        kind = self.kind
-        own = asking.select(F.col("node").alias("query"), F.lit(None).cast("array<int>").alias("reach"), F.lit(None).cast("binary").alias("nodes"), F.lit(None).cast("binary").alias("lengths"))
-
-        def choose(table):
-            import pyarrow as pa
-
-            query = table.column("query")[0].as_py()
-            node = np.frombuffer(b"".join(table.column("nodes").drop_null().to_pylist()), kind)
-            length = np.frombuffer(b"".join(table.column("lengths").drop_null().to_pylist()), np.int8)
-            first = ranked(node, length)
-            first = np.append(first[first != query][: setting.scored], query).astype(np.int64)
-            if len(first) <= k:
-                return pa.table({"query": pa.array([query] * blocks, pa.int64()), "block": pa.array(range(blocks), pa.int64()), "nodes": pa.nulls(blocks, pa.binary())})
-            of = (hash_rows(first.astype(np.uint64)) % np.uint64(blocks)).astype(np.int64)
-            each = np.unique(of)
-            return pa.Table.from_arrays(
-                [pa.array([query] * len(each), pa.int64()), pa.array(each), pa.array([first[of == b].tobytes() for b in each.tolist()], pa.binary())], names=["query", "block", "nodes"]
-            )
-
-        return handed.unionByName(own).groupBy("query").applyInArrow(choose, "query long, block long, nodes binary")
+            recall = float((at[False] < scored).sum() / len(own[False])) if own[False] else 1.0
+            choices.append((not reached, scored * SCORE_COST + e * most, Setting(e, max(scored, k + 1), recall, self.total)))
+        return min(choices, key=lambda c: c[:2])[2]
 
     def nearest(self, asking: DataFrame, setting: Setting, k: int) -> DataFrame:
-        """query, node, score: at least the k + 1 best of each block's candidates, exactly scored."""
-        blocks, dim = max(1, -(-self.total // BLOCK)), self.dim
-
-        def deal(batches):
-            import pyarrow as pa
-
-            for b in batches:
-                of = (hash_rows(b.column(0).to_numpy().astype(np.uint64)) % np.uint64(blocks)).astype(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(of), *b.columns], names=["block", "node", "v"])
-
-        vectors = self.nodes.select("node", "v").mapInArrow(deal, "block long, node long, v array<double>")
-        asked = self.candidates(asking, setting, blocks, k).join(asking.select(F.col("node").alias("query"), "v"), "query")
-        vectors = vectors.select("block", F.lit(0).alias("role"), "node", "v", F.lit(None).cast("binary").alias("nodes"))
-        asked = asked.select("block", F.lit(1).alias("role"), F.col("query").alias("node"), "v", "nodes")
-        # in each partition a block's vectors come first; the queries that name it stream by
-        both = vectors.unionByName(asked).repartition("block").sortWithinPartitions("block", "role")
-
-        def run(batches):
+        """query, node, score: at least the k + 1 best of each piece's candidates, exactly scored. A query that too few match
+        ascends to the root, and is scored with the whole piece."""
+        parts, hashes = max(1, -(-asking.count() // BLOCK)), self.hashes
+        every = F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part")
+        own = F.pmod(F.xxhash64("node", F.lit(7)), F.lit(parts)).cast("int").alias("part")
+        pairs = [F.col("node").alias("id"), F.col("v").alias("x")]  # new names, as both sides stem from one table
+        vectors = self.nodes.select(F.col("piece").alias("p"), every, *pairs)
+        asked = asking.select(F.explode(F.sequence(F.lit(0), F.lit(self.count - 1))).alias("p"), own, *pairs)
+        keys, tasks = ["p", "part"], min(20_000, 4 * parts * self.count)
+
+        def run(vectors, queries):
             import pyarrow as pa
 
-            held, ids, x, now = [], None, None, None
-            for b in batches:
-                block, role = b.column(0).to_numpy(), b.column(1).to_numpy()
-                out: list[list] = [[], [], []]
-                edge = np.flatnonzero(np.append(True, (np.diff(block) != 0) | (np.diff(role) != 0)))
-                for i, j in zip(edge, np.append(edge[1:], len(block))):
-                    own = b.slice(i, j - i)
-                    if role[i] == 0:
-                        held = held if now == block[i] else []
-                        now = block[i]
-                        held.append((own.column(2).to_numpy(), flat(own.column(3))))
-                        ids = None
-                        continue
-                    if now != block[i]:
-                        continue  # no vector lies in this block
-                    if ids is None:
-                        ids, x = np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held])
-                        order = np.argsort(ids)
-                        ids, x = ids[order], x[order]
-                    for query, v, nodes in zip(own.column(2).to_pylist(), flat(own.column(3)), own.column(4).to_pylist()):
-                        at = np.searchsorted(ids, np.frombuffer(nodes, np.int64)) if nodes is not None else np.arange(len(ids))
-                        score = (x[at] * v).sum(1)
-                        if len(at) > k + 1:  # all that tie with the last go on: their ids decide
-                            least = np.partition(score, len(score) - k - 1)[len(score) - k - 1]
-                            at, score = at[score >= least], score[score >= least]
-                        out[0] += [query] * len(at)
-                        out[1] += ids[at].tolist()
-                        out[2] += score.tolist()
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, (pa.int64(), pa.int64(), pa.float64()))], names=["query", "node", "score"])
-
-        return both.mapInArrow(tidied(run), "query long, node long, score double")
+            out: list[list] = [[], [], []]
+            if len(vectors) and len(queries):
+                order = np.argsort(vectors.column("id").to_numpy())
+                ids, x = vectors.column("id").to_numpy()[order], flat(vectors.column("x"))[order]
+                trees, enough = Trees(hashes, x), setting.enough * len(ids)
+                asks, v = queries.column("id").to_numpy(), flat(queries.column("x"))
+                for i in range(0, len(asks), 512):
+                    codes = hashes.codes(v[i : i + 512], True)
+                    reach, lo, hi = trees.ascend(codes, enough)
+                    mine = np.searchsorted(ids, asks[i : i + 512])
+                    for j, query in enumerate(asks[i : i + 512].tolist()):
+                        whole = not reach[j] or setting.scored >= len(ids)
+                        at = np.arange(len(ids)) if whole else trees.first(codes[j], lo[j], hi[j], setting.scored + 1)
+                        if len(at) <= k:
+                            at = np.arange(len(ids))
+                        elif mine[j] < len(ids) and ids[mine[j]] == query and mine[j] not in at:
+                            at = np.append(at, mine[j])  # other rows may hold the query's own vector
+                        at, score = best(x, at, v[i + j], k + 1)
+                        out[0].append(np.full(len(at), query))
+                        out[1].append(ids[at])
+                        out[2].append(score)
+                del trees, x
+                release()
+            kinds = (pa.int64(), pa.int64(), pa.float64())
+            return pa.Table.from_arrays([pa.array(np.concatenate(c) if c else [], t) for c, t in zip(out, kinds)], names=["query", "node", "score"])
+
+        vectors, asked = vectors.repartition(tasks, *keys), asked.repartition(tasks, *keys)
+        return vectors.groupBy(*keys).cogroup(asked.groupBy(*keys)).applyInArrow(run, "query long, node long, score double")
 
 
 def sound(v) -> object:
@@ -318,20 +274,22 @@ def sound(v) -> object:
 
 def forests(table: DataFrame, every: int, vec_id: str, vector: str) -> tuple[DataFrame, list[tuple[Forest, DataFrame]]]:
     """(vec_id, row, node) of all sound rows, and for each dimension its forest and the nodes (node, v) that ask."""
-    v = col(vector).cast("array<double>")
-    rows = table.select(F.monotonically_increasing_id().alias("row"), col(vec_id).cast("long").alias("vec_id"), v.alias("v"))
-    rows = materialise(rows.where(sound(F.col("v"))), "vectors")
+    # single precision stays as it is on disk; arithmetic is in double precision throughout
+    narrow = dict(table.select(col(vector).alias("v")).dtypes)["v"] == "array<float>"
+    v = col(vector) if narrow else col(vector).cast("array<double>")
+    rows = table.select(F.monotonically_increasing_id().alias("row"), col(vec_id).cast("long").alias("vec_id"), v.alias("v")).where(sound(F.col("v")))
+    rows = materialise(rows.withColumns({"a": F.xxhash64("v"), "b": F.xxhash64(F.lit(2), "v")}), "vectors")
     asks = F.coalesce(F.col("vec_id") % every == 0, F.lit(False))
-    nodes = rows.groupBy("v").agg(F.min("row").alias("first"), F.max(asks).alias("asks"), F.size("v").alias("dim"), F.lit(0).alias("all"))
-    nodes = materialise(numbered(nodes, "all", ["first"], "node"), "nodes")
-    numbers = nodes.count()
-    members = materialise(rows.join(nodes.select("v", "node"), "v").select("vec_id", "row", "node"), "members")
-    norm2 = F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x)
+    nodes = rows.groupBy("a", "b").agg(F.min("row").alias("node"), F.max(asks).alias("asks"), F.first("v").alias("v"))
+    nodes = materialise(nodes.withColumn("dim", F.size("v")), "nodes")
+    members = materialise(rows.select("vec_id", "row", "a", "b").join(nodes.select("a", "b", "node"), ["a", "b"]).select("vec_id", "row", "node"), "members")
+    discard(rows)
+    norm2 = F.aggregate("v", F.lit(0.0), lambda a, x: a + x.cast("double") * x)
     made = []
     for r in nodes.groupBy("dim").agg(F.sqrt(F.max(norm2)).alias("norm"), F.count(F.lit(1)).alias("n"), F.max("asks").alias("asks")).orderBy("dim").collect():
         if r["asks"]:
             own = nodes.where(F.col("dim") == r["dim"])
-            made.append((Forest(own.select("node", "v"), r["dim"], r["norm"], r["n"], numbers), own.where("asks").select("node", "v")))
+            made.append((Forest(own.select("node", "v"), r["dim"], r["norm"], r["n"]), own.where("asks").select("node", "v")))
     return members, made
 
 
@@ -341,7 +299,9 @@ def search(table: DataFrame, every: int = 20, k: int = 20, vec_id: str = "vec_id
     if not made:
         return table.sparkSession.createDataFrame([], RESULT)
     found = [f.nearest(asking, f.fit(asking, k), k) for f, asking in made]
-    found = reduce(DataFrame.unionByName, found)
+    # a query's k + 1 nearest of all pieces, and what ties with the last
+    nearest = F.rank().over(Window.partitionBy("query").orderBy(F.desc("score")))
+    found = reduce(DataFrame.unionByName, found).withColumn("place", nearest).where(F.col("place") <= k + 1).drop("place")
     # of equal vectors, the k + 1 rows with the least ids can be among a query's k nearest
     place = F.row_number().over(Window.partitionBy("node").orderBy(F.col("vec_id").asc_nulls_last(), "row"))
     heads = materialise(members.withColumn("place", place).where(F.col("place") <= k + 1).select("node", "vec_id", "row"), "heads")
