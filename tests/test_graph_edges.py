@@ -52,3 +52,22 @@ def test_pruning_across_batches(spark, monkeypatch):
                 kept.append(j)
         want += [(i, j) for j in kept]
     assert got == sorted(want)
+
+
+def test_walks_in_cells_equal_walks_by_joins(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    x = rng.integers(0, 4, (300, 3)).astype(float)  # many equal distances
+    rows = [(i, v.tolist(), str(i % 3)) for i, v in enumerate(x)]
+    index = build_index(spark.createDataFrame(rows, "rec_id long, vec array<double>, g string"), ["g"], tables=1)
+    made = graph.build(index, 4, per_cell=True)
+    queries = spark.createDataFrame([(i, rng.standard_normal(3).tolist()) for i in range(4)], "query_id long, qvec array<double>")
+    starts = queries.select("query_id").crossJoin(made.entries).select("query_id", "scope", "rec_id")
+    keys = ["query_id", "scope", "rec_id", "dist"]
+    got = sorted(map(tuple, graph.walk_cells(made, index, queries, starts, 6).select(keys).collect()))
+    assert got == sorted(map(tuple, graph.walk(made, index, queries, starts, None, 6).select(keys).collect())) and len(got) > 60
+    need = index.cells.select("cell_code", "n_cell").crossJoin(queries.select("query_id")).selectExpr("query_id", "0L as group_id", "cell_code", "n_cell", "3 as quota")
+    found = []
+    for local in (graph.LOCAL, 0):  # cells too large for one task are walked by joins
+        monkeypatch.setattr(graph, "LOCAL", local)
+        found.append([sorted(map(tuple, d.collect())) for d in graph.retrieve(made, "graph_collection", index, queries, need)])
+    assert found[0] == found[1] and found[0][0]
