@@ -21,7 +21,7 @@ import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from quotaknn.llm.common import col, fresh, hash_rows, release, slabs, text_bytes, tidied
+from quotaknn.llm.common import col, forget, fresh, hash_rows, lean, release, slabs, text_bytes
 
 SLAB = 1 << 20
 LETTER = regex.compile(r"\p{L}")
@@ -144,7 +144,7 @@ def train(docs: DataFrame, may_learn: Column, text: str = "text", lang: str = "l
                 size = 0
         yield from flush()
 
-    counts = drawn.select("lang", "text").mapInArrow(tidied(count), "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
+    counts = drawn.select("lang", "text").mapInArrow(lean(count), "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).where(F.col("n") >= least)
     totals = counts.groupBy("lang").agg(F.sum("n").alias("total"))
     rates = counts.join(F.broadcast(totals), "lang").withColumn("rate", F.col("n") / F.col("total"))
     top = rates.groupBy("gram").agg(F.max("rate").alias("most"))
@@ -171,6 +171,7 @@ def predictor(spark: SparkSession, model: Model):
     def predict(texts):
         import pyarrow as pa
 
+        forget()
         m = Model(*shared.value)
         best, score, count = m.measured(texts)
         release()

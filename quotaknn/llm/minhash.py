@@ -26,10 +26,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from quotaknn.llm.common import col, components, discard, fresh, hash_rows, materialise, placed, settled, slabs, text_bytes, tidied, with_place
+from quotaknn.llm.common import col, components, discard, fresh, hash_rows, lean, materialise, placed, settled, slabs, text_bytes, with_place
 
 SKETCH, RETAINED = 64, 40
 LONG_LIST, BLOCK, WIDE = 16, 768, 256
+#: Rows of a batch that are turned into Python objects at once, and rows of a block whose pairs are weighed at once.
+AT_ONCE, STRIP = 1024, 128
 #: An estimate below this from 64 values has a chance near 1e-8 for sets of similarity 0.8.
 LEAST_ESTIMATE = 0.5
 LONG_WORD = 64
@@ -92,7 +94,7 @@ def shingle_sets(data: np.ndarray, offsets: np.ndarray, words: int) -> list[np.n
 
 def sets_of(column, words: int):
     data, offs = text_bytes(column)
-    for i, j in slabs(offs, 2 << 20):
+    for i, j in slabs(offs, 1 << 20):
         yield from shingle_sets(data[offs[i] : offs[j]], offs[i : j + 1] - offs[i], words)
 
 
@@ -113,7 +115,7 @@ def sketches(docs: DataFrame, words: int) -> DataFrame:
                 names=["row_key", "doc_id", "n", "digest", "sketch"],
             )
 
-    return docs.select("row_key", "doc_id", "text").mapInArrow(tidied(run), "row_key long, doc_id long, n long, digest binary, sketch binary")
+    return docs.select("row_key", "doc_id", "text").mapInArrow(lean(run), "row_key long, doc_id long, n long, digest binary, sketch binary")
 
 
 def postings(nodes: DataFrame) -> DataFrame:
@@ -135,7 +137,7 @@ def postings(nodes: DataFrame) -> DataFrame:
                     [pa.array(np.concatenate(keys).view(np.int64)), b.column(0).take(at), b.column(1).take(at)], names=["key", "node", "n"]
                 )
 
-    return nodes.select("node", "n", "sketch").mapInArrow(tidied(run), "key long, node long, n long")
+    return nodes.select("node", "n", "sketch").mapInArrow(lean(run), "key long, node long, n long")
 
 
 def estimate(a: bytes, b: bytes) -> float:
@@ -186,7 +188,7 @@ def verify(pairs: DataFrame, texts: DataFrame, words: int, percent: int) -> Data
                     vs.append(node)
             yield pa.RecordBatch.from_arrays([pa.array(us, pa.int64()), pa.array(vs, pa.int64())], names=["u", "v"])
 
-    return sent.mapInArrow(tidied(run), "u long, v long")
+    return sent.mapInArrow(lean(run), "u long, v long")
 
 
 def fits(a: str, b: str, percent: int):
@@ -204,24 +206,60 @@ def shared_counts(values: list[np.ndarray], chunk: int) -> np.ndarray:
         own = (column >= c) & (column < c + chunk)
         m = np.zeros((n, chunk), np.float32)
         m[at[own], column[own] - c] = 1
-        out += m @ m.T
+        for i in range(0, n, 256):
+            out[i : i + 256] += m[i : i + 256] @ m.T
     return out
 
 
+def block_pairs(rows: list[tuple], percent: int) -> tuple[np.ndarray, np.ndarray]:
+    """The pairs of nodes, each node once as the lesser, that meet in this block first and that sizes, cores and sketches leave.
+    The matrices of pairs are made `STRIP` rows at a time; whole are only what two nodes share and what is still possible.
+
+    A row is (own block, node, n, root, sketch, i, j, core, keys, key)."""
+    ids = np.array([r[1] for r in rows])
+    # two nodes are compared in the first list that they share
+    lower = [np.array(r[8], np.int64) for r in rows]
+    lower = [k[k < rows[0][9]] for k in lower]
+    own, size, root, core = (np.array([r[k] for r in rows]) for k in (0, 2, 3, 7))
+    ok = shared_counts(lower, 2048) == 0
+    for s in (slice(i, i + STRIP) for i in range(0, len(rows), STRIP)):
+        ok[s] &= (ids[s, None] < ids) & (root[s, None] != root)
+        ok[s] &= 100 * np.minimum.outer(size[s], size) >= percent * np.maximum.outer(size[s], size)
+        ok[s] &= (100 + percent) * np.minimum.outer(core[s], core) >= percent * np.add.outer(size[s], size)
+        if rows[0][6] != rows[0][5]:
+            ok[s] &= own[s, None] != own
+    left = np.flatnonzero(ok.any(0) | ok.any(1))
+    if not len(left):
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    ids, size, ok = ids[left], size[left], ok[np.ix_(left, left)]
+    values = [np.frombuffer(rows[i][4], np.uint64) for i in left]
+    common = shared_counts(values, 1024)
+    held = np.array([len(v) for v in values])
+    for s in (slice(i, i + STRIP) for i in range(0, len(left), STRIP)):
+        both, most = np.add.outer(size[s], size), np.maximum.outer(size[s], size)
+        # where both sketches are whole sets this is exact; else what similar sets must share, less six deviations
+        share = np.minimum(1.0, percent * both / ((100 + percent) * most))
+        some = np.minimum.outer(held[s], held)
+        ok[s] &= common[s] >= some * share - 6 * np.sqrt(some * share * (1 - share)) - 1e-3
+        ok[s] &= (most > WIDE) | (100 * common[s] >= percent * (both - common[s]) - 1e-3)
+    x, y = np.nonzero(ok)
+    return ids[x], ids[y]
+
+
 def cores(members: DataFrame, texts: DataFrame, words: int) -> DataFrame:
     """node, core: how many of a node's shingles occur in another node of `members` too. No partner there can share more."""
 
     def run(batches):
         import pyarrow as pa
 
-        for b in batches:
+        for b in (x.slice(at, AT_ONCE) for x in batches for at in range(0, x.num_rows, AT_ONCE)):
             nodes = b.column(0).to_numpy()
             sets = list(sets_of(b.column(1), words))
             yield pa.RecordBatch.from_arrays(
                 [pa.array(np.concatenate(sets).view(np.int64)), pa.array(np.repeat(nodes, [len(x) for x in sets]))], names=["shingle", "node"]
             )
 
-    every = texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(tidied(run), "shingle long, node long")
+    every = texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(lean(run), "shingle long, node long")
     own = every.groupBy("shingle").agg(F.count(F.lit(1)).alias("times"), F.min("node").alias("node")).where("times = 1")
     lone = own.groupBy("node").agg(F.count(F.lit(1)).alias("lone"))
     return members.join(lone, "node", "left").withColumn("core", F.col("n") - F.coalesce("lone", F.lit(0))).drop("lone")
@@ -236,7 +274,7 @@ def wide_sketches(members: DataFrame, texts: DataFrame, words: int) -> DataFrame
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x[:WIDE].tobytes() for x in sets_of(b.column(1), words)], pa.binary())], names=["node", "sketch"])
 
-    return texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(tidied(run), "node long, sketch binary")
+    return texts.join(members.select("node").distinct(), "node").select("node", "text").mapInArrow(lean(run), "node long, sketch binary")
 
 
 def mixed(members: DataFrame) -> DataFrame:
@@ -267,40 +305,12 @@ def unresolved(shared: DataFrame, roots: DataFrame, nodes: DataFrame, texts: Dat
     def run(batches):
         import pyarrow as pa
 
-        none = pa.RecordBatch.from_arrays([pa.array([], pa.int64())] * 2, names=["a", "b"])
-
         def close(rows):
-            ids = np.array([r[1] for r in rows])
-            # two nodes are compared in the first list that they share
-            lower = [np.array(r[8], np.int64) for r in rows]
-            lower = [k[k < rows[0][9]] for k in lower]
-            fresh_ = ~shared_counts(lower, 2048).astype(bool)
-            fresh_ &= ids[:, None] < ids[None, :]
-            own, size, root, core = (np.array([r[k] for r in rows]) for k in (0, 2, 3, 7))
-            both, most = np.add.outer(size, size), np.maximum.outer(size, size)
-            ok = fresh_ & (root[:, None] != root[None, :])
-            ok &= 100 * np.minimum.outer(size, size) >= percent * most
-            ok &= (100 + percent) * np.minimum.outer(core, core) >= percent * both
-            if rows[0][6] != rows[0][5]:
-                ok &= own[:, None] != own[None, :]
-            left = np.flatnonzero(ok.any(0) | ok.any(1))
-            if not len(left):
-                return none
-            at = np.ix_(left, left)
-            ids, both, most, ok = ids[left], both[at], most[at], ok[at]
-            values = [np.frombuffer(rows[i][4], np.uint64) for i in left]
-            common = shared_counts(values, 4096)
-            # where both sketches are whole sets this is exact; else what similar sets must share, less six deviations
-            held = np.array([len(v) for v in values])
-            share = np.minimum(1.0, percent * both / ((100 + percent) * most))
-            some = np.minimum.outer(held, held)
-            ok &= common >= some * share - 6 * np.sqrt(some * share * (1 - share)) - 1e-3
-            ok &= (most > WIDE) | (100 * common >= percent * (both - common) - 1e-3)
-            x, y = np.nonzero(ok)
-            return pa.RecordBatch.from_arrays([pa.array(ids[x], pa.int64()), pa.array(ids[y], pa.int64())], names=["a", "b"])
+            a, b = block_pairs(rows, percent)
+            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
         rows, last = [], None
-        for b in batches:
+        for b in (x.slice(at, AT_ONCE) for x in batches for at in range(0, x.num_rows, AT_ONCE)):
             d = [b.column(k).to_pylist() for k in range(10)]
             for key, i, j, own, node, n, root, sk, core, keys in zip(*d):
                 if (key, i, j) != last and rows:
@@ -311,7 +321,7 @@ def unresolved(shared: DataFrame, roots: DataFrame, nodes: DataFrame, texts: Dat
         if rows:
             yield close(rows)
 
-    dense = many.select("key", "i", "j", "own", "node", "n", "root", "sketch", "core", "keys").mapInArrow(tidied(run), "a long, b long")
+    dense = many.select("key", "i", "j", "own", "node", "n", "root", "sketch", "core", "keys").mapInArrow(lean(run), "a long, b long")
     return open_, kept, plausible(few, nodes).unionByName(dense).distinct()
 
 
